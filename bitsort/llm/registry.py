@@ -6,7 +6,7 @@ from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
-from bitsort.llm import packing, quality, secrets, sharding, substring_dedup
+from bitsort.llm import jaccard_join, packing, quality, secrets, sharding, substring_dedup
 from bitsort.llm.stages import table
 
 #: The folder that holds this package; Python workers on executors find it through their PYTHONPATH.
@@ -40,6 +40,11 @@ def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.quality_report(table(spark, sf_dir, "documents"))
 
 
+def op7_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ready(spark)
+    return jaccard_join.near_duplicates(table(spark, sf_dir, "documents"), n=4, threshold=85).drop("text_hash")
+
+
 def op8_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.sharded(table(spark, sf_dir, "documents"))
 
@@ -49,7 +54,7 @@ def op10_secret_scans(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_best_fit_packing, op2_substring_dedup, op6_quality_rules, op8_sharding, op10_secret_scans)}
+    return {f.__name__: f for f in (op1_best_fit_packing, op2_substring_dedup, op6_quality_rules, op7_ngram_jaccard_join, op8_sharding, op10_secret_scans)}
 
 
 def oracle_sql() -> dict[str, str]:
