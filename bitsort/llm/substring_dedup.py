@@ -30,14 +30,16 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from bitsort.llm.stages import partitions
-from bitsort.llm.text import U64, Chunk, binaries, chunks, window_starts
+from bitsort.llm.text import U64, Chunk, chunks, mix, window_starts
 
 WIDTH = 13
 BLOCK_BYTES = 24 << 20
 NO_ID = np.iinfo(np.int64).max
 #: What travels: sorted hashes and places of one block in one bucket, and the block's documents.
 MESSAGE = "bucket int, docs binary, hashes binary, places binary, hits binary"
-HITS = "doc_id long, text_hash int, places binary"
+HITS = "home int, hits binary"
+#: Documents are gathered with their repeats in so many groups a shuffle partition.
+HOMES_A_PARTITION = 4
 
 
 def _squeeze(*arrays: np.ndarray) -> bytes:
@@ -141,45 +143,75 @@ def _documents(data: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return ids, np.frombuffer(raw, np.int32, n, 8 + 8 * n), np.frombuffer(raw, np.int64, n, 8 + 12 * n)
 
 
-def _hit_rows(ids, text_hash, first, places: np.ndarray) -> pa.Table:
-    """One row per document of a block: its repeats as word positions."""
+def home_of(ids: np.ndarray, text_hash: np.ndarray, homes: int) -> np.ndarray:
+    return (mix(ids.astype(U64) ^ mix(text_hash.astype(U64))) % U64(homes)).astype(np.int32)
+
+
+def _hits_by_home(ids, text_hash, first, places: np.ndarray, homes: int, out: dict[int, list]) -> None:
+    """Note a block's repeats under the homes of their documents, as word positions."""
     doc = np.searchsorted(first, places, side="right") - 1
-    ends = np.flatnonzero(np.concatenate([doc[1:] != doc[:-1], [True]])) + 1
-    own = doc[ends - 1]
-    return pa.table([pa.array(ids[own]), pa.array(text_hash[own]), binaries((places - first[doc]).astype("<u4"), ends)], ["doc_id", "text_hash", "places"])
+    home = home_of(ids, text_hash, homes)[doc]
+    order = np.argsort(home, kind="stable")
+    home, doc, places = home[order], doc[order], places[order]
+    edges = np.flatnonzero(np.concatenate([[True], home[1:] != home[:-1], [True]]))
+    for i, j in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True):
+        own = doc[i:j]
+        out.setdefault(int(home[i]), []).append((ids[own], text_hash[own], places[i:j] - first[own]))
+
+
+def _pack_hits(parts: list) -> bytes:
+    ids, text_hash, places = (np.concatenate([p[k] for p in parts]) for k in range(3))
+    order = np.lexsort([places, text_hash, ids])
+    ids, text_hash, places = ids[order], text_hash[order], places[order]
+    edges = np.flatnonzero(np.concatenate([[True], (ids[1:] != ids[:-1]) | (text_hash[1:] != text_hash[:-1]), [True]]))
+    first = edges[:-1]
+    return _squeeze(np.array([len(first)], dtype=np.int64), ids[first], np.diff(edges), text_hash[first].astype(np.int32), places.astype("<u4"))
+
+
+def _unpack_hits(data: bytes) -> Iterator[tuple[tuple[int, int], np.ndarray]]:
+    raw = zstandard.decompress(data)
+    n = int(np.frombuffer(raw, np.int64, 1)[0])
+    ids, counts, text_hash = np.frombuffer(raw, np.int64, n, 8), np.frombuffer(raw, np.int64, n, 8 + 8 * n), np.frombuffer(raw, np.int32, n, 8 + 16 * n)
+    places, at = np.frombuffer(raw, "<u4", offset=8 + 20 * n), 0
+    for key, k in zip(zip(ids.tolist(), text_hash.tolist(), strict=True), counts.tolist(), strict=True):
+        yield key, places[at : at + k]
+        at += k
 
 
-def _count_bucket(table: pa.Table) -> pa.Table:
+def _count_bucket(homes: int):
     """Windows of one bucket: which places hold a hash that a smaller document has too."""
-    hashes, ids, blocks, places, out, known = [], [], [], [], [], []
-    for docs, h, at, hits in zip(*(table[c].to_pylist() for c in ("docs", "hashes", "places", "hits")), strict=True):
-        block = _documents(docs)
-        first = np.cumsum(block[2]) - block[2]
-        if hits is not None:
-            out.append(_hit_rows(block[0], block[1], first, np.cumsum(np.frombuffer(zstandard.decompress(hits), np.int64))))
-        if h is not None:
-            at = _from_low_bytes(at[1:], at[0]).astype(np.int64)
-            hashes.append(_unpack_sorted(h))
-            places.append(at.astype(np.uint32) if first[-1] < 1 << 32 else at)
-            ids.append(block[0][np.searchsorted(first, at, side="right") - 1])
-            blocks.append(np.full(len(at), len(known), dtype=np.int32))
-            known.append((block[0], block[1], first))
-    if hashes:
-        h, doc = np.concatenate(hashes), np.concatenate(ids)
-        order = np.argsort(h, kind="stable")
-        h = h[order]
-        new = np.concatenate([[True], h[1:] != h[:-1]])
-        doc = doc[order]
-        order = order[doc > np.minimum.reduceat(doc, np.flatnonzero(new))[np.cumsum(new) - 1]]
-        blocks, places = np.concatenate(blocks)[order], np.concatenate(places)[order].astype(np.int64)
-        order = np.lexsort([places, blocks])
-        blocks, places = blocks[order], places[order]
-        for b, (i, j) in enumerate(zip(np.searchsorted(blocks, range(len(known))), np.searchsorted(blocks, range(len(known)), side="right"), strict=True)):
-            if j > i:
-                out.append(_hit_rows(*known[b], places[i:j]))
-    if not out:
-        return pa.table([pa.array([], pa.int64()), pa.array([], pa.int32()), pa.array([], pa.binary())], ["doc_id", "text_hash", "places"])
-    return pa.concat_tables(out)
+
+    def run(table: pa.Table) -> pa.Table:
+        hashes, ids, blocks, places, known = [], [], [], [], []
+        out: dict[int, list] = {}
+        for docs, h, at, hits in zip(*(table[c].to_pylist() for c in ("docs", "hashes", "places", "hits")), strict=True):
+            block = _documents(docs)
+            first = np.cumsum(block[2]) - block[2]
+            if hits is not None:
+                _hits_by_home(block[0], block[1], first, np.cumsum(np.frombuffer(zstandard.decompress(hits), np.int64)), homes, out)
+            if h is not None:
+                at = _from_low_bytes(at[1:], at[0]).astype(np.int64)
+                hashes.append(_unpack_sorted(h))
+                places.append(at.astype(np.uint32) if first[-1] < 1 << 32 else at)
+                ids.append(block[0][np.searchsorted(first, at, side="right") - 1])
+                blocks.append(np.full(len(at), len(known), dtype=np.int32))
+                known.append((block[0], block[1], first))
+        if hashes:
+            h, doc = np.concatenate(hashes), np.concatenate(ids)
+            order = np.argsort(h, kind="stable")
+            h = h[order]
+            new = np.concatenate([[True], h[1:] != h[:-1]])
+            doc = doc[order]
+            order = order[doc > np.minimum.reduceat(doc, np.flatnonzero(new))[np.cumsum(new) - 1]]
+            blocks, places = np.concatenate(blocks)[order], np.concatenate(places)[order].astype(np.int64)
+            order = np.lexsort([places, blocks])
+            blocks, places = blocks[order], places[order]
+            for b, (i, j) in enumerate(zip(np.searchsorted(blocks, range(len(known))), np.searchsorted(blocks, range(len(known)), side="right"), strict=True)):
+                if j > i:
+                    _hits_by_home(*known[b], places[i:j], homes, out)
+        return pa.table([pa.array(list(out), pa.int32()), pa.array([_pack_hits(x) for x in out.values()], pa.binary())], ["home", "hits"])
+
+    return run
 
 
 def covered(n_words: int, places: np.ndarray, width: int) -> np.ndarray:
@@ -195,37 +227,57 @@ def intervals(mask: np.ndarray) -> list[tuple[int, int]]:
     return list(zip(np.flatnonzero(edge == 1).tolist(), np.flatnonzero(edge == -1).tolist(), strict=True))
 
 
-def repeated_places(docs: DataFrame, width: int = WIDTH, buckets: int | None = None) -> DataFrame:
-    """Rows (doc_id, text_hash, places): starts of repeated windows, as uint32 word positions.
+def repeated_places(docs: DataFrame, width: int = WIDTH, buckets: int | None = None, homes: int | None = None) -> DataFrame:
+    """Rows (home, hits): the starts of repeated windows of the documents of one home, packed.
 
-    A document can have several rows.  ``buckets``: how many ways to deal the hashes; by default
-    one for every shuffle partition.
+    ``buckets``: how many ways to deal the hashes, by default one for every shuffle partition;
+    ``homes``: how many groups the documents form.
     """
     buckets = buckets or partitions(docs.sparkSession)
     rows = docs.select(F.col("doc_id").cast("long"), F.hash("text").alias("text_hash"), F.col("text").cast("string"))
-    return rows.mapInArrow(_window_messages(width, buckets), MESSAGE).groupBy("bucket").applyInArrow(_count_bucket, HITS)
-
+    return rows.mapInArrow(_window_messages(width, buckets), MESSAGE).groupBy("bucket").applyInArrow(_count_bucket(homes or HOMES_A_PARTITION * buckets), HITS)
 
-def deduplicated(docs: DataFrame, width: int = WIDTH) -> DataFrame:
-    """Every row with its kept text: doc_id, text (kept words joined by one space), n_words, n_removed, removed (word intervals)."""
-    hits = repeated_places(docs, width).withColumn("doc_id", F.coalesce("doc_id", F.lit(int(NO_ID)))).groupBy("doc_id", "text_hash").agg(F.collect_list("places").alias("places"))
-    rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"), F.hash("text").alias("text_hash"), F.coalesce(F.col("doc_id").cast("long"), F.lit(int(NO_ID))).alias("key"))
-    joined = rows.join(hits.withColumnRenamed("doc_id", "key"), ["key", "text_hash"], "left").select("doc_id", "text", "places")
 
+def _at_home(homes: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out: list[tuple] = []
-            texts = batch.column(1).cast(pa.binary()).to_pylist()
-            for doc, text, places in zip(batch.column(0).to_pylist(), texts, batch.column(2).to_pylist(), strict=True):
+            ids = batch.column(0).fill_null(NO_ID).to_numpy(zero_copy_only=False)
+            home = home_of(ids, batch.column(1).to_numpy(zero_copy_only=False), homes)
+            yield pa.RecordBatch.from_arrays([pa.array(home), *batch.columns], ["home", "doc_id", "text_hash", "text"])
+
+    return run
+
+
+def _without_repeats(width: int):
+    def run(docs: pa.Table, hits: pa.Table) -> pa.Table:
+        starts: dict[tuple[int, int], list] = {}
+        for packed in hits["hits"].to_pylist():
+            for key, places in _unpack_hits(packed):
+                starts.setdefault(key, []).append(places)
+        out = []
+        for batch in docs.select(["doc_id", "text_hash", "text"]).to_batches(max_chunksize=256):
+            rows: list[tuple] = []
+            for doc, text_hash, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).cast(pa.binary()).to_pylist(), strict=True):
                 words = (text or b"").split()
                 n, gone = len(words), []
-                if places:
-                    mask = covered(n, np.concatenate([np.frombuffer(p, "<u4") for p in places]).astype(np.int64), width)
+                if places := starts.get((NO_ID if doc is None else doc, text_hash)):
+                    mask = covered(n, np.concatenate(places).astype(np.int64), width)
                     gone, words = intervals(mask), list(compress(words, (~mask).tolist()))
-                out.append((doc, b" ".join(words), n, n - len(words), [{"start": i, "end": j} for i, j in gone]))
-            yield _output(out)
+                rows.append((doc, b" ".join(words), n, n - len(words), [{"start": i, "end": j} for i, j in gone]))
+            out.append(_output(rows))
+        return pa.Table.from_batches(out or [_output([])])
+
+    return run
+
 
-    return joined.mapInArrow(run, "doc_id long, text string, n_words long, n_removed long, removed array<struct<start:long,end:long>>")
+def deduplicated(docs: DataFrame, width: int = WIDTH) -> DataFrame:
+    """Every row with its kept text: doc_id, text (kept words joined by one space), n_words, n_removed, removed (word intervals)."""
+    homes = HOMES_A_PARTITION * partitions(docs.sparkSession)
+    hits = repeated_places(docs, width, homes=homes)
+    rows = docs.select(F.col("doc_id").cast("long"), F.hash("text").alias("text_hash"), F.col("text").cast("string"))
+    rows = rows.mapInArrow(_at_home(homes), "home int, doc_id long, text_hash int, text string")
+    kept = rows.groupBy("home").cogroup(hits.groupBy("home"))
+    return kept.applyInArrow(_without_repeats(width), "doc_id long, text string, n_words long, n_removed long, removed array<struct<start:long,end:long>>")
 
 
 _SPANS = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
