@@ -71,7 +71,7 @@ class Chunk:
     """Documents ``first .. first+len(ptr)-2`` of a batch, cut into words.
 
     ``start``/``end``: byte range of each word in ``data``; words of document ``i`` are
-    ``ptr[i]:ptr[i+1]``.
+    ``ptr[i]:ptr[i+1]``, its bytes ``edges[i]:edges[i+1]``.
     """
 
     first: int
@@ -79,6 +79,7 @@ class Chunk:
     start: np.ndarray
     end: np.ndarray
     ptr: np.ndarray
+    edges: np.ndarray
 
     def doc_of_word(self) -> np.ndarray:
         return np.repeat(np.arange(len(self.ptr) - 1), np.diff(self.ptr))
@@ -152,7 +153,7 @@ def chunks(column: pa.Array, breaks: np.ndarray = WHITE, lower: bool = False, si
         j = max(i + 1, int(np.searchsorted(offsets, offsets[i] + size, side="right")) - 1)
         part, off = data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i]
         part = LOWER[part] if lower else part
-        yield Chunk(i, part, *split_words(part, off, breaks))
+        yield Chunk(i, part, *split_words(part, off, breaks), off)
         i = j
 
 
