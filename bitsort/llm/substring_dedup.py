@@ -91,17 +91,24 @@ class _Block:
         self.hashes.append(chunk.windows(self.width)[1])
         self.bytes += len(chunk.data)
 
+    def window_places(self, ptr: np.ndarray) -> np.ndarray:
+        return window_starts(ptr, self.width)
+
+    def settled(self, ids: np.ndarray, least: np.ndarray) -> np.ndarray:
+        """Windows that are repeats for what this block shows; only the others go on."""
+        return ids > least
+
     def messages(self, buckets: int) -> pa.RecordBatch:
         ids, text_hash, words = (np.concatenate(x) for x in (self.ids, self.text_hash, self.words))
         first = np.cumsum(words) - words
         ptr = np.concatenate([first, [int(words.sum())]])
-        place, h = window_starts(ptr, self.width), np.concatenate(self.hashes)
+        place, h = self.window_places(ptr), np.concatenate(self.hashes)
         order = np.argsort(h, kind="stable")
         h, place = h[order], place[order]
         doc = np.searchsorted(first, place, side="right") - 1
         new = np.concatenate([[True], h[1:] != h[:-1]]) if len(h) else np.zeros(0, dtype=bool)
         least = np.minimum.reduceat(ids[doc], np.flatnonzero(new)) if len(h) else ids[:0]
-        hit = ids[doc] > least[np.cumsum(new) - 1] if len(h) else new
+        hit = self.settled(ids[doc], least[np.cumsum(new) - 1]) if len(h) else new
         docs = _squeeze(np.array([len(ids)], dtype=np.int64), np.diff(ids, prepend=0), text_hash, words.astype(np.int64))
         out = []
         keep_h, keep_at = h[~hit], place[~hit]
@@ -180,6 +187,11 @@ def _unpack_hits(data: bytes) -> Iterator[tuple[tuple[int, int], np.ndarray]]:
 
 def _count_bucket(homes: int):
     """Windows of one bucket: which places hold a hash that a smaller document has too."""
+    return _count_bucket_of(homes, lambda doc, least, most: doc > least)
+
+
+def _count_bucket_of(homes: int, wanted):
+    """Places of one bucket for which ``wanted(doc_id, least, most doc_id with the hash)`` holds, by home."""
 
     def run(table: pa.Table) -> pa.Table:
         hashes, ids, blocks, places, known = [], [], [], [], []
@@ -202,7 +214,8 @@ def _count_bucket(homes: int):
             h = h[order]
             new = np.concatenate([[True], h[1:] != h[:-1]])
             doc = doc[order]
-            order = order[doc > np.minimum.reduceat(doc, np.flatnonzero(new))[np.cumsum(new) - 1]]
+            first, group = np.flatnonzero(new), np.cumsum(new) - 1
+            order = order[wanted(doc, np.minimum.reduceat(doc, first)[group], np.maximum.reduceat(doc, first)[group])]
             blocks, places = np.concatenate(blocks)[order], np.concatenate(places)[order].astype(np.int64)
             order = np.lexsort([places, blocks])
             blocks, places = blocks[order], places[order]
