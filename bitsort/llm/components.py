@@ -2,12 +2,34 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from bitsort.llm.stages import checkpointed
 
 
+def _forests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Of each batch of links only a spanning forest, as (smallest node, node)."""
+    for batch in batches:
+        parent: dict[int, int] = {}
+
+        def root(x: int, parent=parent) -> int:
+            while (up := parent.setdefault(x, x)) != x:
+                parent[x] = x = parent[up]
+            return x
+
+        for a, b in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+            a, b = root(a), root(b)
+            if a != b:
+                parent[max(a, b)] = min(a, b)
+        rows = [(root(x), x) for x in list(parent)]
+        rows = [r for r in rows if r[0] != r[1]]
+        yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], pa.int64()) for k in (0, 1)], ["a", "b"])
+
+
 def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """(node, label) for every node of ``links``; label is the smallest node of its component.
 
@@ -15,7 +37,8 @@ def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     and drops loops and repeats, so the table shrinks fast; the maps are chained afterwards.  All
     of it stays in tables; each round ends in a checkpoint.
     """
-    edges = checkpointed(links.select(F.col(a).alias("a"), F.col(b).alias("b")).filter("a <> b").distinct())
+    edges = links.select(F.col(a).cast("long").alias("a"), F.col(b).cast("long").alias("b")).filter("a <> b")
+    edges = checkpointed(edges.mapInArrow(_forests, "a long, b long").distinct())
     maps: list[DataFrame] = []
     while not edges.isEmpty():
         both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))

@@ -10,8 +10,9 @@
    GROUP similar ones with the union of their n-grams; a set's overlap with the union bounds that
    with every member, and only groups that pass are opened.  One link to a component is enough, so
    no group of copies is paired off.
-4. Classes of more than BLOCK sets are split: sets that link to the class's first set are settled
-   at once, the others meet all sets of the class block by block, in separate tasks.
+4. Classes of more than BLOCK sets are dealt to blocks, each matched on its own.  What links to the
+   class's first set, of which every block has a copy, is settled at once; the rest meets all sets
+   of the class, block by block, in separate tasks, which stop at one link between two components.
 
 Node keys and n-grams are 64-bit hashes.
 
@@ -36,7 +37,7 @@ from bitsort.llm.substring_dedup import _from_low_bytes, _pack_places, _pack_sor
 from bitsort.llm.text import U64, Chunk, chunks, mix, sorted_unique, window_hashes
 
 NGRAM, THRESHOLD = 5, 80
-GROUP, BLOCK = 48, 2000
+GROUP, BLOCK = 512, 2000
 BLOCK_BYTES = 24 << 20
 SKETCH = "doc_id long, text_hash int, n_shingles long, node long, bucket int, nodes binary, signatures binary, places binary"
 
@@ -118,8 +119,12 @@ def _sketch(n: int, t: int, buckets: int):
         sig, place = sig[order], place[order]
         cut = np.searchsorted(sig, np.array([(b << 64) // buckets for b in range(1, buckets)], dtype=U64)) if buckets > 1 else []
         edges = [0, *cut, len(sig)]
-        known = np.array(nodes, dtype=np.int64).tobytes()
-        return [(None, None, None, None, b, known, _pack_sorted(sig[i:j]), _pack_places(place[i:j])) for b, (i, j) in enumerate(zip(edges, edges[1:], strict=False)) if j > i]
+        known, out = np.array(nodes, dtype=np.int64), []
+        for b, (i, j) in enumerate(zip(edges, edges[1:], strict=False)):
+            if j > i:
+                used, own = np.unique(place[i:j], return_inverse=True)
+                out.append((None, None, None, None, b, known[used].tobytes(), _pack_sorted(sig[i:j]), _pack_places(own)))
+        return out
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         parts, seen, nodes, sigs, size = Parts(t), set(), [], [], 0
@@ -245,72 +250,100 @@ def _sets(table: pa.Table) -> list[frozenset]:
     return [frozenset(np.frombuffer(x, np.int64).tolist()) for x in table["tokens"].to_pylist()]
 
 
+def _match(groups: TokenGroups, sets: list[frozenset]) -> None:
+    """Add all sets and join those that are linked."""
+    for tokens in sets:
+        hits = groups.linked(tokens, set())
+        i = groups.add(tokens, hits[0] if hits else None)
+        for j in hits:
+            groups.join(i, j)
+
+
 def _match_class(t: int):
     """All sets of one class of candidates: (node, label), label the smallest linked node."""
 
     def run(table: pa.Table) -> pa.Table:
         table = table.sort_by("node")  # so labels do not depend on the order of arrival
         groups, nodes = _groups(t), table["node"].to_pylist()
-        for tokens in _sets(table):
-            hits = groups.linked(tokens, set())
-            i = groups.add(tokens, hits[0] if hits else None)
-            for j in hits:
-                groups.join(i, j)
+        _match(groups, _sets(table))
         return pa.table([pa.array(nodes, pa.int64()), pa.array([nodes[groups.root(i)] for i in range(len(nodes))], pa.int64())], ["node", "label"])
 
     return run
 
 
-def _match_blocks(t: int):
-    """Unsettled sets of one block against the sets of another: links (a, b)."""
+MATCHED = "class long, block int, node long, label long, settled boolean, tokens binary"
+
+
+def _match_block(t: int):
+    """One block of a large class, and which of its components link to the class's first set."""
 
     def run(table: pa.Table) -> pa.Table:
-        table = table.sort_by("node")
-        groups, nodes, links = _groups(t), [], []
-        roles, settled, keys = table["query"].to_pylist(), table["settled"].to_pylist(), table["node"].to_pylist()
-        sets, first = _sets(table), None
-        for tokens, query, done, node in zip(sets, roles, settled, keys, strict=True):
-            if not query:
-                i = groups.add(tokens, len(nodes) - 1 if nodes else None)
-                nodes.append(node)
-                if done and first is not None:
-                    groups.join(i, first)
-                first = i if done and first is None else first
-        for tokens, query, node in zip(sets, roles, keys, strict=True):
-            if query:
-                links += [(node, nodes[j]) for j in groups.linked(tokens, set()) if nodes[j] != node]
-        cols = list(zip(*links, strict=True)) or [[], []]
-        return pa.table([pa.array(c, pa.int64()) for c in cols], ["a", "b"])
+        is_first = table["first"].to_numpy()
+        first = _sets(table.filter(pa.array(is_first)))
+        table = table.filter(pa.array(~is_first)).sort_by("node")
+        groups, nodes, sets = _groups(t), table["node"].to_pylist(), _sets(table)
+        _match(groups, sets)
+        roots = [groups.root(i) for i in range(len(nodes))]
+        settled: set[int] = set()
+        for tokens, root in zip(sets, roots, strict=True):
+            if root not in settled and first:
+                both = len(tokens & first[0])
+                if 100 * both >= t * (len(tokens) + len(first[0]) - both):
+                    settled.add(root)
+        return pa.table(
+            [table["class"], table["block"], table["node"], pa.array([nodes[r] for r in roots], pa.int64()), pa.array([r in settled for r in roots], pa.bool_()), table["tokens"]],
+            ["class", "block", "node", "label", "settled", "tokens"],
+        )
 
     return run
 
 
-def _settles(t: int):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            keep = []
-            for own, first in zip(batch.column("tokens").to_pylist(), batch.column("first").to_pylist(), strict=True):
-                a, b = np.frombuffer(own, np.int64), np.frombuffer(first, np.int64)
-                both = len(np.intersect1d(a, b, assume_unique=True))
-                keep.append(100 * both >= t * (len(a) + len(b) - both))
-            yield pa.RecordBatch.from_arrays([batch.column("class"), batch.column("node"), batch.column("tokens"), pa.array(keep, pa.bool_())], ["class", "node", "tokens", "settled"])
+def _match_blocks(t: int):
+    """Unsettled sets against the sets of one block: a link (a, b) for each two linked components."""
+
+    def run(table: pa.Table) -> pa.Table:
+        table = table.sort_by("node")
+        query = table["query"].to_numpy()
+        asking, members = table.filter(pa.array(query)), table.filter(pa.array(~query))
+        groups, nodes, at = _groups(t), members["node"].to_pylist(), {}
+        for tokens, label, settled in zip(_sets(members), members["label"].to_pylist(), members["settled"].to_pylist(), strict=True):
+            key = None if settled else label  # what is settled is one component
+            i = groups.add(tokens, at.get(key))
+            if key in at:
+                groups.join(i, at[key])
+            at.setdefault(key, i)
+        every = {groups.root(i) for i in range(len(nodes))}
+        done: dict[int, set[int]] = {}
+        links = []
+        for tokens, label, node in zip(_sets(asking), asking["label"].to_pylist(), asking["node"].to_pylist(), strict=True):
+            known = done.setdefault(label, {groups.root(at[label])} if label in at else set())
+            if len(known) < len(every):
+                for j in groups.linked(tokens, known):
+                    links.append((node, nodes[j]))
+                    known.add(groups.root(j))
+        cols = list(zip(*links, strict=True)) or [[], []]
+        return pa.table([pa.array(c, pa.int64()) for c in cols], ["a", "b"])
 
     return run
 
 
 def _match_large(sets: DataFrame, sizes: DataFrame, t: int) -> DataFrame:
     """(node, label) of classes with more than BLOCK sets."""
-    first = sets.filter(F.col("node") == F.col("class")).select("class", F.col("tokens").alias("first"))
-    told = written(sets.join(first, "class").select("class", "node", "tokens", "first").mapInArrow(_settles(t), "class long, node long, tokens binary, settled boolean"))
-    links = told.filter("settled").select(F.col("class").alias("a"), F.col("node").alias("b"))
+    n = 4 * partitions(sets.sparkSession)  # an own count, or the few rows of costly blocks were put into one task
+    blocks = lambda c: F.greatest(F.lit(1), F.ceil(F.col(c) / BLOCK)).cast("int")
+    every = lambda c: F.explode(F.sequence(F.lit(0), blocks(c) - 1))
+    dealt = sets.join(sizes, "class")
+    own = dealt.select("class", F.pmod(F.xxhash64("node"), blocks("sets")).cast("int").alias("block"), "node", "tokens", F.lit(False).alias("first"))
+    first = dealt.filter(F.col("node") == F.col("class")).select("class", every("sets").alias("block"), "node", "tokens", F.lit(True).alias("first"))
+    told = own.unionByName(first).repartition(n, "class", "block").groupBy("class", "block").applyInArrow(_match_block(t), MATCHED)
+    told = written(told)
+    links = told.select(F.col("label").alias("a"), F.col("node").alias("b")).unionByName(told.filter("settled").select(F.col("class").alias("a"), F.col("node").alias("b")))
     open_sizes = told.filter("not settled").groupBy("class").agg(F.count(F.lit(1)).alias("open"))
-    dealt = told.join(sizes, "class").join(open_sizes, "class")
-    blocks = lambda n: F.greatest(F.lit(1), F.ceil(F.col(n) / BLOCK)).cast("int")
-    deal = lambda n: F.pmod(F.xxhash64("node"), blocks(n)).cast("int")
-    every = lambda n: F.explode(F.sequence(F.lit(0), blocks(n) - 1))
-    members = dealt.select("class", "node", "tokens", "settled", F.lit(False).alias("query"), deal("sets").alias("i"), every("open").alias("j"))
-    asking = dealt.filter("not settled").select("class", "node", "tokens", "settled", F.lit(True).alias("query"), every("sets").alias("i"), deal("open").alias("j"))
-    more = members.unionByName(asking).groupBy("class", "i", "j").applyInArrow(_match_blocks(t), "a long, b long")
+    both = told.join(sizes, "class").join(open_sizes, "class")
+    cols = ("class", "node", "label", "settled", "tokens")
+    members = both.select(*cols, F.lit(False).alias("query"), every("open").alias("i"), F.col("block").alias("j"))
+    asking = both.filter("not settled").select(*cols, F.lit(True).alias("query"), F.pmod(F.xxhash64("node"), blocks("open")).cast("int").alias("i"), every("sets").alias("j"))
+    more = members.unionByName(asking).repartition(n, "class", "i", "j").groupBy("class", "i", "j").applyInArrow(_match_blocks(t), "a long, b long")
     return components(links.unionByName(more))
 
 
@@ -334,7 +367,7 @@ def near_duplicates(docs: DataFrame, n: int = NGRAM, threshold: int = THRESHOLD)
 
     key = [F.coalesce("doc_id", F.lit(-1)).alias("k"), F.col("text_hash")]
     texts = rows.select(*key, "text").join(reps.select(*key, "node", "class"), ["k", "text_hash"]).select("node", "class", "text")
-    sets = written(texts.mapInArrow(regain, "node long, class long, tokens binary").dropDuplicates(["node"]))
+    sets = written(texts.mapInArrow(regain, "node long, class long, tokens binary"))
     sizes = classes.groupBy("class").agg(F.count(F.lit(1)).alias("sets"))
     large = sizes.filter(F.col("sets") > BLOCK)
     labels = sets.join(large, "class", "left_anti").groupBy("class").applyInArrow(_match_class(threshold), "node long, label long")

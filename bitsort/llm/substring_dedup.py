@@ -73,7 +73,8 @@ def _unpack_sorted(data: bytes) -> np.ndarray:
 
 
 def _pack_places(values: np.ndarray) -> bytes:
-    n = 3 if not len(values) or int(values.max()) < 1 << 24 else 5
+    top = int(values.max()) if len(values) else 0
+    n = 2 if top < 1 << 16 else 3 if top < 1 << 24 else 5
     return bytes([n]) + _low_bytes(values, n).tobytes()
 
 
