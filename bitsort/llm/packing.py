@@ -255,7 +255,7 @@ def pack(pieces: DataFrame, n_docs: int, capacity: int = CAPACITY, group_docs: i
     schema = PACKED + ", fill long"
 
     def run(level: int):
-        def pack_group(keys, table: pa.Table) -> pa.Table:
+        def pack_group(keys: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
             return _packed(table.select(["doc_id", "piece", "start", "length", "ids_crc32"]), capacity, (2 * keys[0].as_py() + level) << 32)
 
         return pack_group

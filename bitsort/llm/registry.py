@@ -6,7 +6,7 @@ from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
-from bitsort.llm import jaccard_join, packing, quality, secrets, sharding, substring_dedup
+from bitsort.llm import decontamination, html_text, jaccard_join, license_scan, packing, quality, secrets, sharding, substring_dedup, suffix_dedup
 from bitsort.llm.stages import table
 
 #: The folder that holds this package; Python workers on executors find it through their PYTHONPATH.
@@ -36,6 +36,21 @@ def op2_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substring_dedup.digest(substring_dedup.deduplicated(table(spark, sf_dir, "documents")))
 
 
+def op3_suffix_array_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ready(spark)
+    return suffix_dedup.deduplication_report(table(spark, sf_dir, "documents"))
+
+
+def op4_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ready(spark)
+    return html_text.main_text(table(spark, sf_dir, "pages"))
+
+
+def op5_license_scans(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ready(spark)
+    return license_scan.license_report(table(spark, sf_dir, "documents"))
+
+
 def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.quality_report(table(spark, sf_dir, "documents"))
 
@@ -49,12 +64,36 @@ def op8_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.sharded(table(spark, sf_dir, "documents"))
 
 
+def op9_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ready(spark)
+    return decontamination.leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op10_secret_scans(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.secret_report(table(spark, sf_dir, "documents"))
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_best_fit_packing, op2_substring_dedup, op6_quality_rules, op7_ngram_jaccard_join, op8_sharding, op10_secret_scans)}
+    ops = (
+        op1_best_fit_packing,
+        op2_substring_dedup,
+        op3_suffix_array_dedup,
+        op4_html_extraction,
+        op5_license_scans,
+        op6_quality_rules,
+        op7_ngram_jaccard_join,
+        op8_sharding,
+        op9_benchmark_decontamination,
+        op10_secret_scans,
+        pipeline,
+    )
+    return {f.__name__: f for f in ops}
 
 
 def oracle_sql() -> dict[str, str]:
