@@ -174,14 +174,20 @@ def _candidate_pairs(table: pa.Table) -> pa.Table:
 
 
 class TokenGroups:
-    """Sets in groups of similar ones, with the union of each group's n-grams."""
+    """Sets in groups of similar ones, and a matrix that tells which n-grams each group's union has.
 
-    def __init__(self, t: int):
-        self.t = t
-        self.sets: list[frozenset] = []
+    The matrix has a row a group and a column an n-gram that two sets or more of the task share.
+    """
+
+    def __init__(self, t: int, width: int):
+        self.t, self.width = t, width
+        self.sets: list[np.ndarray] = []  # columns of each set's shared n-grams
+        self.sizes: list[int] = []
         self.parent: list[int] = []  # union-find over sets
+        self.group_at: list[int] = []
         self.members: list[list[int]] = []
-        self.groups_of: dict[int, list[int]] = {}  # n-gram -> groups whose union has it
+        self.unions = np.zeros((8, width), dtype=bool)
+        self.mark = np.zeros(width, dtype=bool)
 
     def root(self, i: int) -> int:
         while self.parent[i] != i:
@@ -189,72 +195,68 @@ class TokenGroups:
             i = self.parent[i]
         return i
 
-    def overlaps(self, tokens) -> dict[int, int]:
-        """The set's overlap with each group's union."""
-        count: dict[int, int] = {}
-        for x in tokens:
-            for g in self.groups_of.get(x, ()):
-                count[g] = count.get(g, 0) + 1
-        return count
+    def similar(self, i: int, own: np.ndarray, size: int, both: int) -> bool:
+        return 100 * both >= self.t * (size + self.sizes[i] - both)
 
-    def linked(self, tokens: frozenset, skip: set[int]) -> list[int]:
+    def linked(self, own: np.ndarray, size: int, skip: set[int]) -> list[int]:
         """One linked set of every component (but those in ``skip``) that has one."""
-        need = -(-self.t * len(tokens) // 100)  # a linked set has so much of this one
+        need = -(-self.t * size // 100)  # a linked set has so much of this one
+        if not self.members or len(own) < need:
+            return []
+        overlap = self.unions[: len(self.members), own].sum(axis=1)
+        self.mark[own] = True
         found, done = [], set(skip)
-        for g, n in sorted(self.overlaps(tokens).items(), key=lambda x: (-x[1], x[0])):
-            if n < need:
-                break
+        for g in np.flatnonzero(overlap >= need)[np.argsort(-overlap[overlap >= need], kind="stable")].tolist():
             for i in self.members[g]:
-                if (root := self.root(i)) in done:
-                    continue
-                other = self.sets[i]
-                if self.t * max(len(tokens), len(other)) > 100 * min(len(tokens), len(other)):
+                if (root := self.root(i)) in done or self.t * max(size, self.sizes[i]) > 100 * min(size, self.sizes[i]):
                     continue
-                both = len(tokens & other)
-                if 100 * both >= self.t * (len(tokens) + len(other) - both):
+                if self.similar(i, own, size, int(self.mark[self.sets[i]].sum())):
                     found.append(i)
                     done.add(root)
+        self.mark[own] = False
         return found
 
-    def add(self, tokens: frozenset, near: int | None = None) -> int:
+    def add(self, own: np.ndarray, size: int, near: int | None = None) -> int:
         """Put a set into the group of ``near`` if that has room, else into a new one."""
         i = len(self.sets)
-        self.sets.append(tokens)
+        self.sets.append(own)
+        self.sizes.append(size)
         self.parent.append(i)
         g = self.group_at[near] if near is not None else None
         if g is None or len(self.members[g]) >= GROUP:
             g = len(self.members)
             self.members.append([])
+            if g == len(self.unions):
+                self.unions = np.concatenate([self.unions, np.zeros_like(self.unions)])
         self.members[g].append(i)
         self.group_at.append(g)
-        for x in tokens:
-            own = self.groups_of.setdefault(x, [])
-            if g not in own:
-                own.append(g)
+        self.unions[g, own] = True
         return i
 
-    group_at: list[int]
-
     def join(self, i: int, j: int) -> None:
         i, j = self.root(i), self.root(j)
         self.parent[max(i, j)] = min(i, j)
 
 
-def _groups(t: int) -> TokenGroups:
-    out = TokenGroups(t)
-    out.group_at = []
-    return out
-
-
-def _sets(table: pa.Table) -> list[frozenset]:
-    return [frozenset(np.frombuffer(x, np.int64).tolist()) for x in table["tokens"].to_pylist()]
+def _sets(table: pa.Table) -> tuple[list[np.ndarray], list[int], int]:
+    """(shared n-grams of each set as columns, sizes, number of columns)."""
+    own = [np.frombuffer(x, np.int64) for x in table["tokens"].to_pylist()]
+    sizes = [len(x) for x in own]
+    flat = np.concatenate(own) if own else np.zeros(0, dtype=np.int64)
+    _, column, count = np.unique(flat, return_inverse=True, return_counts=True)
+    shared = count >= 2
+    number = np.cumsum(shared) - 1
+    keep = shared[column]
+    ends = np.cumsum(sizes)[:-1] if sizes else []
+    parts = np.split(number[column].astype(np.int32), ends) if sizes else []
+    return [p[k] for p, k in zip(parts, np.split(keep, ends) if sizes else [], strict=True)], sizes, int(shared.sum())
 
 
-def _match(groups: TokenGroups, sets: list[frozenset]) -> None:
+def _match(groups: TokenGroups, sets: list[np.ndarray], sizes: list[int]) -> None:
     """Add all sets and join those that are linked."""
-    for tokens in sets:
-        hits = groups.linked(tokens, set())
-        i = groups.add(tokens, hits[0] if hits else None)
+    for own, size in zip(sets, sizes, strict=True):
+        hits = groups.linked(own, size, set())
+        i = groups.add(own, size, hits[0] if hits else None)
         for j in hits:
             groups.join(i, j)
 
@@ -264,8 +266,10 @@ def _match_class(t: int):
 
     def run(table: pa.Table) -> pa.Table:
         table = table.sort_by("node")  # so labels do not depend on the order of arrival
-        groups, nodes = _groups(t), table["node"].to_pylist()
-        _match(groups, _sets(table))
+        nodes = table["node"].to_pylist()
+        sets, sizes, width = _sets(table)
+        groups = TokenGroups(t, width)
+        _match(groups, sets, sizes)
         return pa.table([pa.array(nodes, pa.int64()), pa.array([nodes[groups.root(i)] for i in range(len(nodes))], pa.int64())], ["node", "label"])
 
     return run
@@ -278,18 +282,16 @@ def _match_block(t: int):
     """One block of a large class, and which of its components link to the class's first set."""
 
     def run(table: pa.Table) -> pa.Table:
-        is_first = table["first"].to_numpy()
-        first = _sets(table.filter(pa.array(is_first)))
-        table = table.filter(pa.array(~is_first)).sort_by("node")
-        groups, nodes, sets = _groups(t), table["node"].to_pylist(), _sets(table)
-        _match(groups, sets)
-        roots = [groups.root(i) for i in range(len(nodes))]
-        settled: set[int] = set()
-        for tokens, root in zip(sets, roots, strict=True):
-            if root not in settled and first:
-                both = len(tokens & first[0])
-                if 100 * both >= t * (len(tokens) + len(first[0]) - both):
-                    settled.add(root)
+        # the first set comes last, after all sets of the block; in its own block it is there twice
+        table = table.sort_by([("first", "ascending"), ("node", "ascending")])
+        is_first = table["first"].to_pylist()
+        n = is_first.index(True) if True in is_first else len(is_first)
+        sets, sizes, width = _sets(table)
+        groups = TokenGroups(t, width)
+        _match(groups, sets[:n], sizes[:n])
+        table = table.slice(0, n)
+        nodes, roots = table["node"].to_pylist(), [groups.root(i) for i in range(n)]
+        settled = {groups.root(i) for i in groups.linked(sets[n], sizes[n], set())} if n < len(sets) else set()
         return pa.table(
             [table["class"], table["block"], table["node"], pa.array([nodes[r] for r in roots], pa.int64()), pa.array([r in settled for r in roots], pa.bool_()), table["tokens"]],
             ["class", "block", "node", "label", "settled", "tokens"],
@@ -302,24 +304,26 @@ def _match_blocks(t: int):
     """Unsettled sets against the sets of one block: a link (a, b) for each two linked components."""
 
     def run(table: pa.Table) -> pa.Table:
-        table = table.sort_by("node")
-        query = table["query"].to_numpy()
-        asking, members = table.filter(pa.array(query)), table.filter(pa.array(~query))
-        groups, nodes, at = _groups(t), members["node"].to_pylist(), {}
-        for tokens, label, settled in zip(_sets(members), members["label"].to_pylist(), members["settled"].to_pylist(), strict=True):
-            key = None if settled else label  # what is settled is one component
-            i = groups.add(tokens, at.get(key))
+        table = table.sort_by([("query", "ascending"), ("node", "ascending")])
+        query, nodes = table["query"].to_pylist(), table["node"].to_pylist()
+        labels, settled = table["label"].to_pylist(), table["settled"].to_pylist()
+        sets, sizes, width = _sets(table)
+        n = query.index(True) if True in query else len(query)
+        groups, at = TokenGroups(t, width), {}
+        for k in range(n):
+            key = None if settled[k] else labels[k]  # what is settled is one component
+            i = groups.add(sets[k], sizes[k], at.get(key))
             if key in at:
                 groups.join(i, at[key])
             at.setdefault(key, i)
-        every = {groups.root(i) for i in range(len(nodes))}
+        every = {groups.root(i) for i in range(n)}
         done: dict[int, set[int]] = {}
         links = []
-        for tokens, label, node in zip(_sets(asking), asking["label"].to_pylist(), asking["node"].to_pylist(), strict=True):
-            known = done.setdefault(label, {groups.root(at[label])} if label in at else set())
+        for k in range(n, len(nodes)):
+            known = done.setdefault(labels[k], {groups.root(at[labels[k]])} if labels[k] in at else set())
             if len(known) < len(every):
-                for j in groups.linked(tokens, known):
-                    links.append((node, nodes[j]))
+                for j in groups.linked(sets[k], sizes[k], known):
+                    links.append((nodes[k], nodes[j]))
                     known.add(groups.root(j))
         cols = list(zip(*links, strict=True)) or [[], []]
         return pa.table([pa.array(c, pa.int64()) for c in cols], ["a", "b"])
