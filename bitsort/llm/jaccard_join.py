@@ -6,6 +6,9 @@
    its own size class and the next larger one; sets with a common signature are candidates.  No
    link is lost: parts that are empty in both are allowed for by extra parts, and sets with more
    empty parts than that send signatures of the empty ones too.
+   Classes of more than BLOCK sets (many documents with one common passage, say) are split again by
+   stronger signatures of the same kind: over several parts at once, two of six left out, so that
+   one of them is equal although a few n-grams differ in its parts.
 3. A token-group matrix decides within each class of candidates: sets lie in groups of at most
    GROUP similar ones with the union of their n-grams; a set's overlap with the union bounds that
    with every member, and only groups that pass are opened.  One link to a component is enough, so
@@ -25,6 +28,7 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterator
+from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
@@ -75,10 +79,14 @@ class Parts:
 
     def of_class(self, i: int) -> tuple[int, int]:
         """(parts, empty parts allowed for) of the pairs whose larger set is in class i."""
-        differ = 2 * (self._upto(i) - 1) * (100 - self.t) // (100 + self.t)
+        differ = self.differ(i)
         spare = 1 + int(self.spare * (differ + 1))
         return differ + 1 + spare, spare
 
+    def differ(self, i: int) -> int:
+        """The most n-grams in which linked sets differ whose larger one is in class i."""
+        return 2 * (self._upto(i) - 1) * (100 - self.t) // (100 + self.t)
+
     def classes(self, size: int) -> list[int]:
         """Its own class, and the next if a partner can be there."""
         i = self.class_of(size)
@@ -104,28 +112,74 @@ def signatures(tokens: np.ndarray, parts: Parts) -> np.ndarray:
     return np.concatenate(out)
 
 
+#: Strong signatures: second-level parts, and how many of them may differ.
+SECOND, OUT = 6, 2
+
+
+def strong_signatures(tokens: np.ndarray, parts: Parts, salt: int) -> np.ndarray:
+    """Signatures over SECOND - OUT of SECOND parts of each first-level part.
+
+    There are so many first-level parts that one has at most OUT differences; leaving out the (at
+    most OUT) second-level parts that hold them, the rest is equal.
+    """
+    out = []
+    with np.errstate(over="ignore"):
+        spread = mix(tokens ^ U64(0x9FB21C651E98DF25))
+        value = mix(spread ^ U64(0x5851F42D4C957F2D))
+        for c in parts.classes(len(tokens)):
+            differ = parts.differ(c)
+            left_out = min(OUT, differ)
+            n = differ // (left_out + 1) + 1
+            cell = ((spread >> U64(32)) * U64(n * SECOND)) >> U64(32)
+            total = np.zeros(n * SECOND, dtype=U64)
+            np.add.at(total, cell.astype(np.int64), value)
+            total = mix(total + np.arange(n * SECOND, dtype=U64) * U64(0xD1342543DE82EF95)).reshape(n, SECOND)
+            every = total.sum(axis=1, dtype=U64)
+            base = U64((c * 0x9E3779B97F4A7C15 + salt) & (2**64 - 1))
+            for k, gone in enumerate(combinations(range(SECOND), left_out)):
+                out.append(mix(every - total[:, list(gone)].sum(axis=1, dtype=U64) + base + U64(k * 0x2545F491)))
+    return np.concatenate(out)
+
+
+def _strong(t: int, buckets: int):
+    """Messages of the strong signatures of sets, apart for each class."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        parts = Parts(t)
+        for batch in batches:
+            for part in (batch.slice(i, 2000) for i in range(0, batch.num_rows, 2000)):
+                sets = [np.frombuffer(x, np.int64).view(U64) for x in part.column("tokens").to_pylist()]
+                sigs = [strong_signatures(x, parts, c) for x, c in zip(sets, part.column("class").to_pylist(), strict=True)]
+                if sigs:
+                    yield _rows([r[4:] for r in _message(part.column("node").to_pylist(), sigs, buckets)], pa.schema(list(_SKETCH)[4:]))
+
+    return run
+
+
 def set_key(tokens: np.ndarray) -> int:
     with np.errstate(over="ignore"):
         return int(mix(np.array([np.add.reduce(mix(tokens + U64(0x632BE59BD9B4E019)))], dtype=U64) + U64(len(tokens))).astype(np.int64)[0])
 
 
+def _message(nodes: list[int], sigs: list[np.ndarray], buckets: int) -> list[tuple]:
+    """A block's signatures for every bucket, with the nodes that send them."""
+    sig = np.concatenate(sigs)
+    place = np.repeat(np.arange(len(nodes)), [len(s) for s in sigs])
+    order = np.argsort(sig, kind="stable")
+    sig, place = sig[order], place[order]
+    cut = np.searchsorted(sig, np.array([(b << 64) // buckets for b in range(1, buckets)], dtype=U64)) if buckets > 1 else []
+    edges = [0, *cut, len(sig)]
+    known, out = np.array(nodes, dtype=np.int64), []
+    for b, (i, j) in enumerate(zip(edges, edges[1:], strict=False)):
+        if j > i:
+            used, own = np.unique(place[i:j], return_inverse=True)
+            out.append((None, None, None, None, b, known[used].tobytes(), _pack_sorted(sig[i:j]), _pack_places(own)))
+    return out
+
+
 def _sketch(n: int, t: int, buckets: int):
     """Rows of two kinds: a document's node, and a block's signatures for one bucket."""
 
-    def message(nodes: list[int], sigs: list[np.ndarray]) -> list[tuple]:
-        sig = np.concatenate(sigs)
-        place = np.repeat(np.arange(len(nodes)), [len(s) for s in sigs])
-        order = np.argsort(sig, kind="stable")
-        sig, place = sig[order], place[order]
-        cut = np.searchsorted(sig, np.array([(b << 64) // buckets for b in range(1, buckets)], dtype=U64)) if buckets > 1 else []
-        edges = [0, *cut, len(sig)]
-        known, out = np.array(nodes, dtype=np.int64), []
-        for b, (i, j) in enumerate(zip(edges, edges[1:], strict=False)):
-            if j > i:
-                used, own = np.unique(place[i:j], return_inverse=True)
-                out.append((None, None, None, None, b, known[used].tobytes(), _pack_sorted(sig[i:j]), _pack_places(own)))
-        return out
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         parts, seen, nodes, sigs, size = Parts(t), set(), [], [], 0
         for batch in batches:
@@ -141,11 +195,11 @@ def _sketch(n: int, t: int, buckets: int):
                         sigs.append(signatures(tokens, parts))
                 size += len(chunk.data)
                 if size >= BLOCK_BYTES:
-                    rows += message(nodes, sigs) if nodes else []
+                    rows += _message(nodes, sigs, buckets) if nodes else []
                     seen, nodes, sigs, size = set(), [], [], 0
                 yield _rows(rows, _SKETCH)
         if nodes:
-            yield _rows(message(nodes, sigs), _SKETCH)
+            yield _rows(_message(nodes, sigs, buckets), _SKETCH)
 
     return run
 
@@ -351,6 +405,21 @@ def _match_large(sets: DataFrame, sizes: DataFrame, t: int) -> DataFrame:
     return components(links.unionByName(more))
 
 
+def _refined(sets: DataFrame, t: int) -> DataFrame:
+    """(node, label) of the sets of large classes, which strong signatures split first."""
+    buckets = partitions(sets.sparkSession)
+    messages = sets.select("class", "node", "tokens").mapInArrow(_strong(t, buckets), "bucket int, nodes binary, signatures binary, places binary")
+    pairs = messages.groupBy("bucket").applyInArrow(_candidate_pairs, "a long, b long")
+    classes = components(pairs).select("node", F.col("label").alias("class"))
+    sets = written(sets.select("node", "tokens").join(classes, "node").select("class", "node", "tokens"))
+    sizes = sets.groupBy("class").agg(F.count(F.lit(1)).alias("sets"))
+    large = sizes.filter(F.col("sets") > BLOCK)
+    out = sets.join(large, "class", "left_anti").groupBy("class").applyInArrow(_match_class(t), "node long, label long")
+    if not large.isEmpty():
+        out = out.unionByName(_match_large(sets.join(large, "class", "left_semi"), large, t))
+    return out
+
+
 def near_duplicates(docs: DataFrame, n: int = NGRAM, threshold: int = THRESHOLD) -> DataFrame:
     """doc_id, text_hash, n_shingles, component_id for every row of ``docs``."""
     spark = docs.sparkSession
@@ -376,7 +445,7 @@ def near_duplicates(docs: DataFrame, n: int = NGRAM, threshold: int = THRESHOLD)
     large = sizes.filter(F.col("sets") > BLOCK)
     labels = sets.join(large, "class", "left_anti").groupBy("class").applyInArrow(_match_class(threshold), "node long, label long")
     if not large.isEmpty():
-        labels = labels.unionByName(_match_large(sets.join(large, "class", "left_semi"), large, threshold))
+        labels = labels.unionByName(_refined(sets.join(large, "class", "left_semi"), threshold))
     labels = written(labels)
     nodes = of_docs.filter("node is not null").groupBy("node").agg(F.min("doc_id").alias("rep"))
     named = labels.join(nodes, "node")
