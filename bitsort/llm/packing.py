@@ -29,40 +29,70 @@ PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 PACKED = PIECES + ", sequence_id long, offset long"
 #: Documents whose pieces are packed together in the first pass, and groups joined in the second.
 GROUP_DOCS, FAN_IN = 4096, 64
-#: Words kept with their ids by a worker; words longer than LONG_WORD bytes are not kept.
-CACHE_WORDS, LONG_WORD = 1_000_000, 64
+#: Words that a worker keeps with their ids before it starts anew.
+CACHE_WORDS = 1_000_000
+_PLAIN = frozenset(b"abcdefghijklmnopqrstuvwxyz0123456789")
 
 
 class WordTokenizer:
     """ids of a text as little-endian uint32 bytes, word by word.
 
-    Valid for tokenizers whose rules never look across ASCII white space (as word_bpe_49k): the
-    ids of a text are then those of its words, and each distinct word is encoded once.
+    Valid for tokenizers whose rules never look across ASCII white space, ignore case and part
+    letters and digits from punctuation (as word_bpe_49k): the ids of a text are those of its
+    words, and each distinct word is encoded once, without its final marks.
     """
 
     def __init__(self, path: str):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.known = Tokenizer.from_file(path), {}
+        self.tokenizer, self.known, self.stems = Tokenizer.from_file(path), {}, {}
+        vocabulary = self.tokenizer.get_vocab()
+        self.ends = np.zeros(max(vocabulary.values()) + 1, dtype=bool)  # tokens that end a unit
+        self.ends[[i for t, i in vocabulary.items() if t.endswith("</w>")]] = True
+
+    def _encoded(self, words: list[str]) -> list[bytes]:
+        """ids of words.  Words of letters alone are one unit each, so many go into one call."""
+        out: list[bytes | None] = [None] * len(words)
+        plain = [i for i, w in enumerate(words) if w.isalpha()]
+        lines = [plain[i : i + 64] for i in range(0, len(plain), 64)]
+        for own, e in zip(lines, self.tokenizer.encode_batch_fast([" ".join(words[i] for i in own) for own in lines], add_special_tokens=False), strict=True):
+            ids = np.array(e.ids, dtype="<u4")
+            cut = [0, *(np.flatnonzero(self.ends[ids]) + 1).tolist()]
+            if len(cut) == len(own) + 1 and cut[-1] == len(ids):
+                for k, i in enumerate(own):
+                    out[i] = ids[cut[k] : cut[k + 1]].tobytes()
+        rest = [i for i, x in enumerate(out) if x is None]
+        for i, e in zip(rest, self.tokenizer.encode_batch_fast([words[i] for i in rest], add_special_tokens=False), strict=True):
+            out[i] = np.array(e.ids, dtype="<u4").tobytes()
+        return out
 
-    def _learn(self, words: set[bytes]) -> dict[bytes, bytes]:
-        words = list(words)
-        got = self.tokenizer.encode_batch_fast([w.decode("utf-8", "replace") for w in words], add_special_tokens=False)
-        return {w: np.array(e.ids, dtype="<u4").tobytes() for w, e in zip(words, got, strict=True)}
+    def learn(self, words: set[bytes]) -> None:
+        """Make ``words`` known."""
+        if len(self.stems) > CACHE_WORDS:
+            self.stems.clear()
+        parts = []
+        for w in words.difference(self.known):
+            low = w.lower()
+            stem = low.rstrip(b".,;:!?")
+            if not stem or stem[-1] not in _PLAIN:  # only after an ASCII letter or digit do marks stand apart
+                stem = low
+            parts.append((w, stem, low[len(stem) :]))
+        new = list({x for _, s, m in parts for x in (s, m) if x}.difference(self.stems))
+        self.stems.update(zip(new, self._encoded([x.decode("utf-8", "replace") for x in new]), strict=True))
+        self.known.update((w, self.stems[s] + self.stems[m] if m else self.stems[s]) for w, s, m in parts)
 
     def ids(self, text: bytes) -> bytes:
-        words = text.split()
-        try:
-            return b"".join(map(self.known.__getitem__, words))
-        except KeyError:
-            pass
-        new = self._learn(set(words).difference(self.known))
-        out = b"".join([self.known.get(w) or new.get(w, b"") for w in words])
+        return next(self.many([text]))
+
+    def many(self, texts: list[bytes]) -> Iterator[bytes]:
+        """ids of several texts; new words are learned together."""
         if len(self.known) > CACHE_WORDS:
             self.known.clear()
-        self.known.update((w, x) for w, x in new.items() if len(w) <= LONG_WORD)
-        return out
+        split = [t.split() for t in texts]
+        self.learn({w for words in split for w in words if w not in self.known})
+        for words in split:
+            yield b"".join(map(self.known.__getitem__, words))
 
 
 @functools.lru_cache(maxsize=2)
@@ -78,10 +108,11 @@ def token_pieces(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY,
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tokenizer = tokenizer_at(tokenizer_path)
         for batch in batches:
-            for part in (batch.slice(i, 512) for i in range(0, batch.num_rows, 512)):
+            for part in (batch.slice(i, 128) for i in range(0, batch.num_rows, 128)):
                 rows: list[tuple] = []
-                for doc, text in zip(part.column(0).to_pylist(), part.column(1).cast(pa.binary()).to_pylist(), strict=True):
-                    ids = tokenizer.ids(text or b"") + end
+                texts = [t or b"" for t in part.column(1).cast(pa.binary()).to_pylist()]
+                for doc, ids in zip(part.column(0).to_pylist(), tokenizer.many(texts), strict=True):
+                    ids += end
                     for k, at in enumerate(range(0, len(ids), 4 * capacity)):
                         own = ids[at : at + 4 * capacity]
                         rows.append((doc, k, at // 4, len(own) // 4, zlib.crc32(own)))
@@ -135,13 +166,14 @@ def best_fit_decreasing(lengths: np.ndarray, capacity: int) -> np.ndarray:
     return out
 
 
-def local_search(lengths: np.ndarray, place: np.ndarray, capacity: int, steps: int | None = None) -> np.ndarray:
+def local_search(lengths: np.ndarray, place: np.ndarray, capacity: int, steps: int | None = None, patience: int = 4) -> np.ndarray:
     """Empty underfull sequences by moving and exchanging pieces.
 
     The sequence with the least fill gives: a piece moves over, one piece is exchanged for a
     smaller one, two for one smaller than both together, or one for two smaller ones.  Each step
     shifts tokens from a sequence to one at least as full, so the sum of squared fills grows and
-    the search ends.  It stops at the lower bound, ceil(sum / capacity).
+    the search ends.  It stops at the lower bound, ceil(sum / capacity), or after ``patience``
+    sequences in a row from which no step leads.
     """
     place, n_bins = place.copy(), int(place.max()) + 1 if len(place) else 0
     fill = np.bincount(place, weights=lengths, minlength=n_bins).astype(np.int64)
@@ -149,7 +181,8 @@ def local_search(lengths: np.ndarray, place: np.ndarray, capacity: int, steps: i
     least = -(-int(lengths.sum()) // capacity)
     steps = 20 * len(lengths) + 1000 if steps is None else steps
     stuck = np.zeros(n_bins, dtype=bool)
-    while alive > least and steps > 0:
+    tries = patience
+    while alive > least and steps > 0 and tries > 0:
         open_bins = np.flatnonzero((fill > 0) & (fill < capacity))
         sources = open_bins[~stuck[open_bins]]
         if not len(sources):
@@ -163,6 +196,7 @@ def local_search(lengths: np.ndarray, place: np.ndarray, capacity: int, steps: i
         move = _best_step(lengths, place, fill, capacity, s, mine, near)
         if move is None:
             stuck[s] = True
+            tries -= 1
             continue
         give, take, target = move
         moved = int(lengths[give].sum() - lengths[take].sum())
@@ -172,6 +206,7 @@ def local_search(lengths: np.ndarray, place: np.ndarray, capacity: int, steps: i
         stuck[target] = False
         if fill[s] == 0:
             alive -= 1
+            tries = patience
     return place
 
 

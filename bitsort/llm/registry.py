@@ -10,14 +10,17 @@ from bitsort.llm import decontamination, html_text, jaccard_join, license_scan,
 from bitsort.llm.stages import table
 
 #: The folder that holds this package; Python workers on executors find it through their PYTHONPATH.
+BATCH_ROWS = 1000
 HOME = str(Path(__file__).resolve().parents[2])
 
 
 def ready(spark: SparkSession) -> None:
-    """Let Python workers import this package wherever it lies at the same path."""
+    """Let Python workers import this package wherever it lies at the same path, and get texts in small batches."""
     known = spark.sparkContext.environment.get("PYTHONPATH", "")
     if HOME not in known.split(":"):
         spark.sparkContext.environment["PYTHONPATH"] = f"{HOME}:{known}".rstrip(":")
+    if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch", "10000")) > BATCH_ROWS:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
 
 
 def tokenizer_path() -> str:
