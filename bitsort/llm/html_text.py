@@ -148,16 +148,24 @@ def _chosen(found: list[tuple[int, str]]) -> tuple[list[str] | None, list[str],
 PARSED = "page_id long, url string, text string, loose array<string>, context array<string>"
 
 
-def _parse(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _parse(texts: bool):
+    """Pages as texts where structure decides (``texts``), or what the hosts' suffix arrays need of them."""
     kinds = (pa.int64(), pa.string(), pa.string(), pa.list_(pa.string()), pa.list_(pa.string()))
-    for batch in batches:
-        for part in (batch.slice(i, 256) for i in range(0, batch.num_rows, 256)):
-            rows = []
-            for page_id, url, page in zip(*(c.to_pylist() for c in part.columns), strict=True):
-                text, loose, context = _chosen(blocks(page or ""))
-                rows.append((page_id, url, None if text is None else "\n\n".join(text), loose, context))
-            cols = list(zip(*rows, strict=True)) or [[]] * 5
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds, strict=True)], ["page_id", "url", "text", "loose", "context"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in (batch.slice(i, 256) for i in range(0, batch.num_rows, 256)):
+                rows = []
+                for page_id, url, page in zip(*(c.to_pylist() for c in part.columns), strict=True):
+                    text, loose, context = _chosen(blocks(page or ""))
+                    if not texts:
+                        rows.append((page_id, url, None if text is None else "", loose, context))
+                    elif text is not None:
+                        rows.append((page_id, url, "\n\n".join(text), None, None))
+                cols = list(zip(*rows, strict=True)) or [[]] * 5
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds, strict=True)], ["page_id", "url", "text", "loose", "context"])
+
+    return run
 
 
 def prefix_ranks(tokens: np.ndarray, depth: int) -> np.ndarray:
@@ -232,10 +240,11 @@ def _without_boilerplate(table: pa.Table) -> pa.Table:
 
 def main_text(pages: DataFrame) -> DataFrame:
     """page_id, url, text, n_chars of every row."""
-    parsed = pages.select(F.col("page_id").cast("long"), F.col("url").cast("string"), F.col("html").cast("string")).mapInArrow(_parse, PARSED)
+    own = pages.select(F.col("page_id").cast("long"), F.col("url").cast("string"), F.col("html").cast("string"))
     host = F.coalesce(F.lower(F.regexp_extract("url", r"^[A-Za-z][A-Za-z0-9+.-]*://([^/?#:]*)", 1)), F.lit(""))
-    parsed = written(parsed.withColumn("host", host))
-    decided = parsed.filter("text is not null").select("page_id", "url", "text")
+    # pages are parsed twice, once for the streams and once for the texts, so that no text is stored
+    parsed = written(own.mapInArrow(_parse(False), PARSED).withColumn("host", host))
+    decided = own.mapInArrow(_parse(True), PARSED).select("page_id", "url", "text")
     # hosts with an undecided page, dealt to groups of bounded size
     sizes = parsed.groupBy("host").agg(F.count(F.lit(1)).alias("n"), F.count_if(F.col("text").isNull()).alias("open")).filter("open > 0").select("host", F.ceil(F.col("n") / GROUP_PAGES).alias("groups"))
     open_hosts = parsed.join(sizes, "host").withColumn("grp", F.pmod(F.xxhash64("page_id", "url"), F.col("groups")))
