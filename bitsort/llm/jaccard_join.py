@@ -38,7 +38,7 @@ from pyspark.sql import functions as F
 from bitsort.llm.components import components
 from bitsort.llm.stages import partitions, written
 from bitsort.llm.substring_dedup import _from_low_bytes, _pack_places, _pack_sorted, _unpack_sorted
-from bitsort.llm.text import U64, Chunk, chunks, mix, sorted_unique, window_hashes
+from bitsort.llm.text import U64, Chunk, chunks, mix, sorted_unique, trim, window_hashes
 
 NGRAM, THRESHOLD = 5, 80
 GROUP, BLOCK = 512, 2000
@@ -197,6 +197,7 @@ def _sketch(n: int, t: int, buckets: int):
                 if size >= BLOCK_BYTES:
                     rows += _message(nodes, sigs, buckets) if nodes else []
                     seen, nodes, sigs, size = set(), [], [], 0
+                    trim()
                 yield _rows(rows, _SKETCH)
         if nodes:
             yield _rows(_message(nodes, sigs, buckets), _SKETCH)
@@ -223,6 +224,7 @@ def _candidate_pairs(table: pa.Table) -> pa.Table:
     sig, node = sig[order], node[order]
     new = np.concatenate([[True], sig[1:] != sig[:-1]])
     least = np.minimum.reduceat(node, np.flatnonzero(new))[np.cumsum(new) - 1]
+    trim()
     star = np.unique(np.stack([least, node], axis=1)[least != node], axis=0) if (least != node).any() else np.zeros((0, 2), dtype=np.int64)
     return pa.table([pa.array(star[:, 0]), pa.array(star[:, 1])], ["a", "b"])
 
@@ -380,6 +382,8 @@ def _match_blocks(t: int):
                     links.append((nodes[k], nodes[j]))
                     known.add(groups.root(j))
         cols = list(zip(*links, strict=True)) or [[], []]
+        del groups, sets
+        trim()
         return pa.table([pa.array(c, pa.int64()) for c in cols], ["a", "b"])
 
     return run

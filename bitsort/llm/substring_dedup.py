@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from bitsort.llm.stages import partitions
-from bitsort.llm.text import U64, Chunk, chunks, mix, window_starts
+from bitsort.llm.text import U64, Chunk, chunks, mix, trim, window_starts
 
 WIDTH = 13
 BLOCK_BYTES = 24 << 20
@@ -138,6 +138,7 @@ def _window_messages(width: int, buckets: int):
                 if block.bytes >= BLOCK_BYTES:
                     yield block.messages(buckets)
                     block = _Block(width)
+                    trim()
         if block.ids:
             yield block.messages(buckets)
 
@@ -223,6 +224,7 @@ def _count_bucket_of(homes: int, wanted):
             for b, (i, j) in enumerate(zip(np.searchsorted(blocks, range(len(known))), np.searchsorted(blocks, range(len(known)), side="right"), strict=True)):
                 if j > i:
                     _hits_by_home(*known[b], places[i:j], homes, out)
+        trim()
         return pa.table([pa.array(list(out), pa.int32()), pa.array([_pack_hits(x) for x in out.values()], pa.binary())], ["home", "hits"])
 
     return run
@@ -279,6 +281,7 @@ def _without_repeats(width: int):
                     gone, words = intervals(mask), list(compress(words, (~mask).tolist()))
                 rows.append((doc, b" ".join(words), n, n - len(words), [{"start": i, "end": j} for i, j in gone]))
             out.append(_output(rows))
+        trim()
         return pa.Table.from_batches(out or [_output([])])
 
     return run

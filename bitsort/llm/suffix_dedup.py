@@ -43,7 +43,7 @@ from bitsort.llm.substring_dedup import (
     _unpack_hits,
     intervals,
 )
-from bitsort.llm.text import U64, Chunk, chunks, window_hashes
+from bitsort.llm.text import U64, Chunk, chunks, trim, window_hashes
 
 MIN_WORDS, SEED = 50, 20
 LEFT, RIGHT = MIN_WORDS - SEED, MIN_WORDS
@@ -120,6 +120,7 @@ def _sparse_messages(min_words: int, seed: int, buckets: int):
                 if block.bytes >= 24 << 20:
                     yield block.messages(buckets)
                     block = _SparseBlock(min_words, seed)
+                    trim()
         if block.ids:
             yield block.messages(buckets)
 
@@ -169,6 +170,8 @@ def _contexts(buckets: int, seed: int):
             for a, b in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True):
                 own = order[a:b]
                 out.append((int(bucket[a]), s[own].tobytes(), i[own].tobytes(), t[own].tobytes(), p[own].tobytes(), c[own].tobytes()))
+        seeds = contexts = places = None
+        trim()
         cols = list(zip(*out, strict=True)) or [[]] * 6
         return pa.table([pa.array(cols[0], pa.int32()), *(pa.array(c, pa.binary()) for c in cols[1:])], ["bucket", "seed", "ids", "text_hash", "places", "context"])
 
@@ -246,6 +249,8 @@ def _compare_bucket(min_words: int):
             far = np.concatenate([[True], ~same | ((start + run)[1:] > np.maximum.accumulate(end + run)[:-1])])
             first = np.flatnonzero(far)
             start, end, doc, text, source = start[first], np.maximum.reduceat(end, first), doc[first], text[first], source[first]
+        del context
+        trim()
         return pa.table([pa.array(doc), pa.array(text), pa.array(start), pa.array(end), pa.array(source)], ["doc_id", "text_hash", "start", "end", "source_id"])
 
     return run

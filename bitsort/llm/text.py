@@ -8,6 +8,7 @@ spreads them.  Nulls count as empty texts.
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -15,6 +16,17 @@ import numpy as np
 import pyarrow as pa
 
 U64 = np.uint64
+# Workers live on between tasks: Arrow takes memory from the C library, and ``trim`` hands back what is free.
+pa.set_memory_pool(pa.system_memory_pool())
+_LIBC = ctypes.CDLL(None)
+
+
+def trim() -> None:
+    """Give free memory of this process back to the system, where the C library can."""
+    if hasattr(_LIBC, "malloc_trim"):
+        _LIBC.malloc_trim(0)
+
+
 #: Odd multipliers of the byte and the word polynomial; any odd value works, both sides must agree.
 BYTE_BASE = 0x9E3779B97F4A7C15
 WORD_BASE = 0xD6E8FEB86659FD93
