@@ -15,6 +15,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 WORD_BREAKS = r"[\x20\x09-\x0D]+"
+#: Marks that can follow a word.
+MARKS = ".,;:!?'\"()-"
 #: Share of letters, white space, digits, punctuation (.,;:!?'"()-) and all other characters in
 #: running text; fixed values, rounded from general prose of the languages.
 CLASSES = ("letters", "spaces", "digits", "punctuation", "others")
@@ -54,12 +56,16 @@ def _count_of(words: str, value: str) -> Column:
     return F.size(F.filter(words, lambda w: w == F.lit(value)))
 
 
-def repeated_window_words(words: Column, n: int = 3) -> Column:
-    """How many words lie in windows of n words that the array holds twice or more."""
+def window_hashes(words: Column, n: int = 3) -> Column:
+    """The hash of every run of n words of an array."""
     count = F.size(words) - F.lit(n - 1)
-    hashes = F.transform(F.sequence(F.lit(0), count - 1), lambda i: F.struct(F.xxhash64(*[F.get(words, i + k) for k in range(n)]).alias("h"), i.alias("i")))
+    return F.when(count <= 0, F.array().cast("array<bigint>")).otherwise(F.transform(F.sequence(F.lit(0), count - 1), lambda i: F.xxhash64(*[F.get(words, i + k) for k in range(n)])))
+
+
+def repeated_window_words(hashes: Column, n: int = 3) -> Column:
+    """How many words lie in windows of n words whose hash an array holds twice or more."""
     # sorted, equal hashes lie side by side, in order of place
-    order = F.array_sort(hashes)
+    order = F.array_sort(F.transform(hashes, lambda h, i: F.struct(h.alias("h"), i.alias("i"))))
 
     def places(s: Column) -> Column:
         marked = F.transform(s, lambda x, j: F.when((x["h"] == F.get(s, j + 1)["h"]) | F.coalesce(x["h"] == F.get(s, j - 1)["h"], F.lit(False)), x["i"]))
@@ -70,8 +76,7 @@ def repeated_window_words(words: Column, n: int = 3) -> Column:
         return F.aggregate(p, F.struct(F.lit(-n).alias("last"), F.lit(0).alias("sum")), lambda a, x: F.struct(x.alias("last"), (a["sum"] + F.least(F.lit(n), x - a["last"])).alias("sum")), lambda a: a["sum"])
 
     bind = lambda value, f: F.get(F.transform(F.array(value), f), F.lit(0))  # noqa: E731  evaluate once, use many times
-    distinct = F.size(F.array_distinct(F.transform(hashes, lambda x: x["h"])))
-    return F.when(count <= 1, F.lit(0)).when(distinct == count, F.lit(0)).otherwise(bind(order, lambda s: cover(places(s))))
+    return F.when(F.size(F.array_distinct(hashes)) == F.size(hashes), F.lit(0)).otherwise(bind(order, lambda s: cover(places(s))))
 
 
 def measured(docs: DataFrame) -> DataFrame:
@@ -80,7 +85,7 @@ def measured(docs: DataFrame) -> DataFrame:
     df = docs.withColumn("_t", text)
     df = df.withColumn("_w", F.filter(F.split("_t", WORD_BREAKS), lambda x: x != ""))
     lines = F.filter(F.split("_t", "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
-    df = df.withColumn("_lines", lines)
+    df = df.withColumn("_lines", lines).withColumn("_h", window_hashes(F.col("_w")))
     df = (
         df.withColumn("n_words", F.size("_w").cast("long"))
         .withColumn("n_chars_all", F.length("_t").cast("long"))
@@ -90,12 +95,13 @@ def measured(docs: DataFrame) -> DataFrame:
         .withColumn("n_punctuation", _without(F.col("_t"), r"""[^.,;:!?'"()\-]+""").cast("long"))
         .withColumn("n_symbols", _without(F.col("_t"), r"[^#*$%&|<>]+").cast("long"))
         .withColumn("n_dup_lines", (F.size("_lines") - F.size(F.array_distinct("_lines"))).cast("long"))
-        .withColumn("n_repeat_words", repeated_window_words(F.col("_w")).cast("long"))
+        .withColumn("n_repeat_words", repeated_window_words(F.col("_h")).cast("long"))
     )
     df = df.withColumn("word_chars", F.col("n_chars_all") - F.col("n_spaces"))
     known = sorted({w for ref in WORD_REFERENCE.values() for w in ref})
-    plain = F.transform(F.col("_w"), lambda w: F.lower(F.regexp_replace(w, r"[.,;:!?'\"()\-]+$", "")))
-    df = df.withColumn("_common", F.filter(plain, lambda w: w.isin(known)))
+    longest = max(map(len, known)) + 2  # with up to two marks after it
+    short = F.filter(F.col("_w"), lambda w: F.length(w) <= longest)
+    df = df.withColumn("_common", F.filter(F.transform(short, lambda w: F.lower(F.rtrim(w, F.lit(MARKS)))), lambda w: w.isin(known)))
     df = df.withColumn("_counts", F.array(*[_count_of("_common", x) for x in known]))
     chars, words = F.greatest(F.col("n_chars_all"), F.lit(1)), F.greatest(F.col("n_words"), F.lit(1))
     others = F.col("n_chars_all") - F.col("n_letters") - F.col("n_spaces") - F.col("n_digits") - F.col("n_punctuation")
@@ -108,7 +114,7 @@ def measured(docs: DataFrame) -> DataFrame:
         q = [n / 1000 for n in ref.values()]
         by_language.append(js_distance([*p, F.greatest(rest, F.lit(0.0))], [*q, 1 - sum(q)]))
     df = df.withColumn("word_distance", F.least(*by_language))
-    return df.drop("_t", "_w", "_lines", "_common", "_counts")
+    return df.drop("_t", "_w", "_h", "_lines", "_common", "_counts")
 
 
 def judged(docs: DataFrame) -> DataFrame:
