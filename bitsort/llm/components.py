@@ -11,36 +11,40 @@ from pyspark.sql import functions as F
 from bitsort.llm.stages import checkpointed
 
 
-def _forests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Of each batch of links only a spanning forest, as (smallest node, node)."""
-    for batch in batches:
-        parent: dict[int, int] = {}
+#: Tables of at most so many links are settled by one task; larger ones are contracted until they are as small.
+ONE_TASK = 300_000
+
 
-        def root(x: int, parent=parent) -> int:
-            while (up := parent.setdefault(x, x)) != x:
-                parent[x] = x = parent[up]
-            return x
+def _settled(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(node, smallest node of its component) of all links of a task."""
+    parent: dict[int, int] = {}
 
+    def root(x: int) -> int:
+        while (up := parent.setdefault(x, x)) != x:
+            parent[x] = x = parent[up]
+        return x
+
+    for batch in batches:
         for a, b in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
             a, b = root(a), root(b)
             if a != b:
                 parent[max(a, b)] = min(a, b)
-        rows = [(root(x), x) for x in list(parent)]
-        rows = [r for r in rows if r[0] != r[1]]
-        yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], pa.int64()) for k in (0, 1)], ["a", "b"])
+    nodes = list(parent)
+    yield pa.RecordBatch.from_arrays([pa.array(nodes, pa.int64()), pa.array([root(x) for x in nodes], pa.int64())], ["node", "label"])
 
 
 def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """(node, label) for every node of ``links``; label is the smallest node of its component.
 
     Each round maps every node to its smallest neighbour's smallest neighbour, rewrites the links
-    and drops loops and repeats, so the table shrinks fast; the maps are chained afterwards.  All
-    of it stays in tables; each round ends in a checkpoint.
+    and drops loops and repeats, so the table shrinks fast; once it has at most ONE_TASK links, one
+    task settles them.  The maps are chained afterwards.  All of it stays in tables; each round ends
+    in a checkpoint.
     """
     edges = links.select(F.col(a).cast("long").alias("a"), F.col(b).cast("long").alias("b")).filter("a <> b")
-    edges = checkpointed(edges.mapInArrow(_forests, "a long, b long").distinct())
+    edges = checkpointed(edges.distinct())
     maps: list[DataFrame] = []
-    while not edges.isEmpty():
+    while edges.count() > ONE_TASK:
         both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
         parent = checkpointed(both.groupBy("a").agg(F.least(F.col("a"), F.min("b")).alias("p")))
         # one pointer jump; a node's parent has a row of its own
@@ -49,8 +53,10 @@ def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
         maps.append(parent)
         edges = edges.join(parent.withColumnRenamed("p", "pa"), "a").join(parent.select(F.col("a").alias("b"), F.col("p").alias("pb")), "b")
         edges = checkpointed(edges.select(F.least("pa", "pb").alias("a"), F.greatest("pa", "pb").alias("b")).filter("a <> b").distinct())
+    last = edges.coalesce(1).mapInArrow(_settled, "node long, label long")
     if not maps:
-        return edges.select(F.col("a").alias("node"), F.col("b").alias("label"))
+        return last
+    maps.append(last.withColumnsRenamed({"node": "a", "label": "p"}))
     out = maps[0].select(F.col("a").alias("node"), F.col("p").alias("label"))
     for parent in maps[1:]:
         step = parent.select(F.col("a").alias("label"), F.col("p").alias("_next"))

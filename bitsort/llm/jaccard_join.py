@@ -42,6 +42,8 @@ from bitsort.llm.text import U64, Chunk, chunks, mix, sorted_unique, trim, windo
 
 NGRAM, THRESHOLD = 5, 80
 GROUP, BLOCK = 512, 2000
+#: Signatures are dealt to one bucket for so many documents.
+BUCKET_DOCS = 16_000
 BLOCK_BYTES = 24 << 20
 SKETCH = "doc_id long, text_hash int, n_shingles long, node long, bucket int, nodes binary, signatures binary, places binary"
 
@@ -214,7 +216,7 @@ def _rows(rows: list[tuple], schema: pa.Schema) -> pa.RecordBatch:
 
 
 def _candidate_pairs(table: pa.Table) -> pa.Table:
-    """Stars of the nodes that share a signature: (smallest node, other node)."""
+    """A forest over the nodes that share signatures: (smallest node, other node)."""
     sigs, nodes = [], []
     for known, s, p in zip(*(table[c].to_pylist() for c in ("nodes", "signatures", "places")), strict=True):
         sigs.append(_unpack_sorted(s))
@@ -226,13 +228,26 @@ def _candidate_pairs(table: pa.Table) -> pa.Table:
     least = np.minimum.reduceat(node, np.flatnonzero(new))[np.cumsum(new) - 1]
     trim()
     star = np.unique(np.stack([least, node], axis=1)[least != node], axis=0) if (least != node).any() else np.zeros((0, 2), dtype=np.int64)
-    return pa.table([pa.array(star[:, 0]), pa.array(star[:, 1])], ["a", "b"])
+    # of the bucket's stars a spanning forest says as much
+    parent: dict[int, int] = {}
+
+    def root(x: int) -> int:
+        while (up := parent.setdefault(x, x)) != x:
+            parent[x] = x = parent[up]
+        return x
+
+    for a, b in star.tolist():
+        a, b = root(a), root(b)
+        if a != b:
+            parent[max(a, b)] = min(a, b)
+    forest = [(root(x), x) for x in parent if root(x) != x]
+    return pa.table([pa.array([r[k] for r in forest], pa.int64()) for k in (0, 1)], ["a", "b"])
 
 
 class TokenGroups:
     """Sets in groups of similar ones, and a matrix that tells which n-grams each group's union has.
 
-    The matrix has a row a group and a column an n-gram that two sets or more of the task share.
+    The matrix has a row a group and a bit an n-gram that two sets or more of the task share.
     """
 
     def __init__(self, t: int, width: int):
@@ -242,7 +257,7 @@ class TokenGroups:
         self.parent: list[int] = []  # union-find over sets
         self.group_at: list[int] = []
         self.members: list[list[int]] = []
-        self.unions = np.zeros((8, width), dtype=bool)
+        self.unions = np.zeros((8, (width + 7) // 8), dtype=np.uint8)
         self.mark = np.zeros(width, dtype=bool)
 
     def root(self, i: int) -> int:
@@ -259,7 +274,7 @@ class TokenGroups:
         need = -(-self.t * size // 100)  # a linked set has so much of this one
         if not self.members or len(own) < need:
             return []
-        overlap = self.unions[: len(self.members), own].sum(axis=1)
+        overlap = ((self.unions[: len(self.members), own >> 3] >> (own & 7).astype(np.uint8)) & 1).sum(axis=1)
         self.mark[own] = True
         found, done = [], set(skip)
         for g in np.flatnonzero(overlap >= need)[np.argsort(-overlap[overlap >= need], kind="stable")].tolist():
@@ -286,7 +301,7 @@ class TokenGroups:
                 self.unions = np.concatenate([self.unions, np.zeros_like(self.unions)])
         self.members[g].append(i)
         self.group_at.append(g)
-        self.unions[g, own] = True
+        np.bitwise_or.at(self.unions[g], own >> 3, np.left_shift(1, own & 7).astype(np.uint8))
         return i
 
     def join(self, i: int, j: int) -> None:
@@ -409,26 +424,32 @@ def _match_large(sets: DataFrame, sizes: DataFrame, t: int) -> DataFrame:
     return components(links.unionByName(more))
 
 
-def _refined(sets: DataFrame, t: int) -> DataFrame:
+#: Up to so many large classes are named in a broadcast.
+BROADCAST_CLASSES = 100_000
+
+
+def _refined(sets: DataFrame, t: int, buckets: int) -> DataFrame:
     """(node, label) of the sets of large classes, which strong signatures split first."""
-    buckets = partitions(sets.sparkSession)
     messages = sets.select("class", "node", "tokens").mapInArrow(_strong(t, buckets), "bucket int, nodes binary, signatures binary, places binary")
     pairs = messages.groupBy("bucket").applyInArrow(_candidate_pairs, "a long, b long")
     classes = components(pairs).select("node", F.col("label").alias("class"))
     sets = written(sets.select("node", "tokens").join(classes, "node").select("class", "node", "tokens"))
     sizes = sets.groupBy("class").agg(F.count(F.lit(1)).alias("sets"))
     large = sizes.filter(F.col("sets") > BLOCK)
+    n_large = large.count()
+    if not n_large:
+        return sets.groupBy("class").applyInArrow(_match_class(t), "node long, label long")
+    large = F.broadcast(large) if n_large <= BROADCAST_CLASSES else large
     out = sets.join(large, "class", "left_anti").groupBy("class").applyInArrow(_match_class(t), "node long, label long")
-    if not large.isEmpty():
-        out = out.unionByName(_match_large(sets.join(large, "class", "left_semi"), large, t))
-    return out
+    return out.unionByName(_match_large(sets.join(large, "class", "left_semi"), large, t))
 
 
 def near_duplicates(docs: DataFrame, n: int = NGRAM, threshold: int = THRESHOLD) -> DataFrame:
     """doc_id, text_hash, n_shingles, component_id for every row of ``docs``."""
     spark = docs.sparkSession
     rows = docs.select(F.col("doc_id").cast("long"), F.hash("text").alias("text_hash"), F.col("text").cast("string"))
-    sketch = written(rows.mapInArrow(_sketch(n, threshold, partitions(spark)), SKETCH))
+    buckets = max(1, -(-docs.count() // BUCKET_DOCS))
+    sketch = written(rows.mapInArrow(_sketch(n, threshold, buckets), SKETCH))
     of_docs = sketch.filter("n_shingles is not null").select("doc_id", "text_hash", "n_shingles", "node")
     pairs = sketch.filter("bucket is not null").select("bucket", "nodes", "signatures", "places").groupBy("bucket").applyInArrow(_candidate_pairs, "a long, b long")
     classes = written(components(pairs).select("node", F.col("label").alias("class")))
@@ -447,9 +468,13 @@ def near_duplicates(docs: DataFrame, n: int = NGRAM, threshold: int = THRESHOLD)
     sets = written(texts.mapInArrow(regain, "node long, class long, tokens binary"))
     sizes = classes.groupBy("class").agg(F.count(F.lit(1)).alias("sets"))
     large = sizes.filter(F.col("sets") > BLOCK)
-    labels = sets.join(large, "class", "left_anti").groupBy("class").applyInArrow(_match_class(threshold), "node long, label long")
-    if not large.isEmpty():
-        labels = labels.unionByName(_refined(sets.join(large, "class", "left_semi"), threshold))
+    n_large = large.count()
+    if n_large:
+        large = F.broadcast(large) if n_large <= BROADCAST_CLASSES else large
+        labels = sets.join(large, "class", "left_anti").groupBy("class").applyInArrow(_match_class(threshold), "node long, label long")
+        labels = labels.unionByName(_refined(sets.join(large, "class", "left_semi"), threshold, buckets))
+    else:
+        labels = sets.groupBy("class").applyInArrow(_match_class(threshold), "node long, label long")
     labels = written(labels)
     nodes = of_docs.filter("node is not null").groupBy("node").agg(F.min("doc_id").alias("rep"))
     named = labels.join(nodes, "node")
