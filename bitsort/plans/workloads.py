@@ -234,13 +234,13 @@ for _p in permutations(range(3)):
 
 @query_of("equivalent_reflected_order")
 def equivalent_reflected_order(spark, sf_dir):
-    """Words of the key-sorted index against those of alternating codes with plain sorting: both sizes, equal."""
+    """Alternating codes with rows sorted by value, and with rows sorted by their codes' keys: equal sizes."""
     df, _ = S.fixture(spark, sf_dir, "line3")
     df, cols = checkpointed(df), ["ln", "disc", "part"]
     out = []
     for k in (1, 2):
         cheap = build.build_index(df, cols, k, "reflected_alternating", "lex", 32)
-        direct = build.build_index(df, cols, k, "reflected", "reflected", 32)
+        direct = build.build_index(df, cols, k, "reflected_alternating", "reflected", 32)
         out += [tagged(measure.total_sizes(x).select("compressed"), k=k, method=m) for m, x in (("alternating", cheap), ("keys", direct))]
     return union(out)
 
