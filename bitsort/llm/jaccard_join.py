@@ -38,12 +38,12 @@ from pyspark.sql import functions as F
 from bitsort.llm.components import components
 from bitsort.llm.stages import partitions, written
 from bitsort.llm.substring_dedup import _from_low_bytes, _pack_places, _pack_sorted, _unpack_sorted
-from bitsort.llm.text import U64, Chunk, chunks, mix, sorted_unique, trim, window_hashes
+from bitsort.llm.text import U64, Chunk, chunks, mix, release, sorted_unique, trim, window_hashes
 
 NGRAM, THRESHOLD = 5, 80
 GROUP, BLOCK = 512, 2000
 #: Signatures are dealt to one bucket for so many documents.
-BUCKET_DOCS = 16_000
+BUCKET_DOCS = 8_000
 BLOCK_BYTES = 24 << 20
 SKETCH = "doc_id long, text_hash int, n_shingles long, node long, bucket int, nodes binary, signatures binary, places binary"
 
@@ -183,6 +183,7 @@ def _sketch(n: int, t: int, buckets: int):
     """Rows of two kinds: a document's node, and a block's signatures for one bucket."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        release()
         parts, seen, nodes, sigs, size = Parts(t), set(), [], [], 0
         for batch in batches:
             ids, hashes = batch.column(0).to_pylist(), batch.column(1).to_pylist()
@@ -222,8 +223,10 @@ def _candidate_pairs(table: pa.Table) -> pa.Table:
         sigs.append(_unpack_sorted(s))
         nodes.append(np.frombuffer(known, np.int64)[_from_low_bytes(p[1:], p[0]).astype(np.int64)])
     sig, node = np.concatenate(sigs), np.concatenate(nodes)
-    order = np.argsort(sig, kind="stable")
+    sigs = nodes = None
+    order = np.argsort(sig)
     sig, node = sig[order], node[order]
+    del order
     new = np.concatenate([[True], sig[1:] != sig[:-1]])
     least = np.minimum.reduceat(node, np.flatnonzero(new))[np.cumsum(new) - 1]
     trim()

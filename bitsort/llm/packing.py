@@ -23,6 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from bitsort.llm.stages import removed, written
+from bitsort.llm.text import CACHES
 
 CAPACITY = 2048
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
@@ -46,7 +47,7 @@ class WordTokenizer:
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.known, self.stems = Tokenizer.from_file(path), {}, {}
+        self.tokenizer, self.known = Tokenizer.from_file(path), {}
         vocabulary = self.tokenizer.get_vocab()
         self.ends = np.zeros(max(vocabulary.values()) + 1, dtype=bool)  # tokens that end a unit
         self.ends[[i for t, i in vocabulary.items() if t.endswith("</w>")]] = True
@@ -68,9 +69,7 @@ class WordTokenizer:
         return out
 
     def learn(self, words: set[bytes]) -> None:
-        """Make ``words`` known."""
-        if len(self.stems) > CACHE_WORDS:
-            self.stems.clear()
+        """Make ``words`` and their stems known."""
         parts = []
         for w in words.difference(self.known):
             low = w.lower()
@@ -78,9 +77,9 @@ class WordTokenizer:
             if not stem or stem[-1] not in _PLAIN:  # only after an ASCII letter or digit do marks stand apart
                 stem = low
             parts.append((w, stem, low[len(stem) :]))
-        new = list({x for _, s, m in parts for x in (s, m) if x}.difference(self.stems))
-        self.stems.update(zip(new, self._encoded([x.decode("utf-8", "replace") for x in new]), strict=True))
-        self.known.update((w, self.stems[s] + self.stems[m] if m else self.stems[s]) for w, s, m in parts)
+        new = list({x for _, s, m in parts for x in (s, m) if x}.difference(self.known))
+        self.known.update(zip(new, self._encoded([x.decode("utf-8", "replace") for x in new]), strict=True))
+        self.known.update((w, self.known[s] + self.known[m] if m else self.known[s]) for w, s, m in parts)
 
     def ids(self, text: bytes) -> bytes:
         return next(self.many([text]))
@@ -101,6 +100,9 @@ def tokenizer_at(path: str) -> WordTokenizer:
     return WordTokenizer(path)
 
 
+CACHES.append(tokenizer_at.cache_clear)
+
+
 def token_pieces(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, end_id: int = 0) -> DataFrame:
     """Rows (doc_id, piece, start, length, ids_crc32): every document's ids, then ``end_id``, cut at ``capacity``."""
     end = np.array([end_id], dtype="<u4").tobytes()
