@@ -478,7 +478,7 @@ def near_duplicates(docs: DataFrame, n: int = NGRAM, threshold: int = THRESHOLD)
         labels = labels.unionByName(_refined(sets.join(large, "class", "left_semi"), threshold, buckets))
     else:
         labels = sets.groupBy("class").applyInArrow(_match_class(threshold), "node long, label long")
-    labels = written(labels)
+    labels = written(labels.dropDuplicates(["node"]))  # repeated rows bring a set twice
     nodes = of_docs.filter("node is not null").groupBy("node").agg(F.min("doc_id").alias("rep"))
     named = labels.join(nodes, "node")
     least = named.groupBy("label").agg(F.min("rep").alias("least"))
