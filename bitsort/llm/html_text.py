@@ -36,7 +36,7 @@ _QUOTED = r"""[^>"']*(?:(?:"[^"]*"|'[^']*')[^>"']*)*"""
 _TAG = re.compile(
     r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)"
     r"|<(?P<raw>script|style|noscript|template|textarea|select|svg|math|iframe|object|canvas|button|option)\b[^>]*>.*?(?:</(?P=raw)\s*>|\Z)"
-    rf"|<(?P<close>/?)(?P<name>[a-zA-Z][a-zA-Z0-9:-]*)(?P<attrs>{_QUOTED})>|<(?P<close2>/?)(?P<name2>[a-zA-Z][a-zA-Z0-9:-]*)[^>]*>|<[!?][^>]*>",
+    rf"|<(?P<close>/?)(?P<name>[a-zA-Z][a-zA-Z0-9:-]*)(?P<attrs>{_QUOTED})>|<(?P<shut>/?)(?P<plain>[a-zA-Z][a-zA-Z0-9:-]*)[^>]*>|<[!?][^>]*>",
     re.S | re.I,
 )
 #: Elements that part blocks, those among them that can hold others, and those that hold no main text.
@@ -89,10 +89,10 @@ def blocks(page: str) -> list[tuple[int, str]]:
         if m.start() > at:
             pieces.append(page[at : m.start()])
         at = m.end()
-        name = (m["name"] or m["name2"] or "").lower()
+        name = (m["name"] or m["plain"] or "").lower()
         if not name:
             continue
-        if m["close"] or m["close2"]:
+        if m["close"] or m["shut"]:
             if name in BLOCK:
                 flush()
             for k in range(len(stack) - 1, -1, -1):
