@@ -6,7 +6,7 @@ from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
-from bitsort.llm import decontamination, html_text, jaccard_join, license_scan, packing, quality, secrets, sharding, substring_dedup, suffix_dedup
+from bitsort.llm import decontamination, html_text, jaccard_join, license_scan, oracles, packing, quality, secrets, sharding, substring_dedup, suffix_dedup
 from bitsort.llm.stages import table
 
 #: The folder that holds this package; Python workers on executors find it through their PYTHONPATH.
@@ -100,4 +100,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op2_substring_dedup": oracles.SUBSTRING_DEDUP, "op7_ngram_jaccard_join": oracles.NGRAM_JACCARD_JOIN}
