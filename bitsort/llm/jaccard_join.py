@@ -36,7 +36,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from bitsort.llm.components import components
-from bitsort.llm.stages import partitions, written
+from bitsort.llm.stages import partitions, released, removed, written
 from bitsort.llm.substring_dedup import _from_low_bytes, _pack_places, _pack_sorted, _unpack_sorted
 from bitsort.llm.text import U64, Chunk, chunks, mix, release, sorted_unique, trim, window_hashes
 
@@ -453,9 +453,12 @@ def near_duplicates(docs: DataFrame, n: int = NGRAM, threshold: int = THRESHOLD)
     rows = docs.select(F.col("doc_id").cast("long"), F.hash("text").alias("text_hash"), F.col("text").cast("string"))
     buckets = max(1, -(-docs.count() // BUCKET_DOCS))
     sketch = written(rows.mapInArrow(_sketch(n, threshold, buckets), SKETCH))
-    of_docs = sketch.filter("n_shingles is not null").select("doc_id", "text_hash", "n_shingles", "node")
+    of_docs = written(sketch.filter("n_shingles is not null").select("doc_id", "text_hash", "n_shingles", "node"))
     pairs = sketch.filter("bucket is not null").select("bucket", "nodes", "signatures", "places").groupBy("bucket").applyInArrow(_candidate_pairs, "a long, b long")
     classes = written(components(pairs).select("node", F.col("label").alias("class")))
+    removed(sketch)  # the signatures have done their work
+    del pairs, sketch
+    released(spark)
     # one document of each candidate set gives its n-grams once more
     reps = of_docs.filter("node is not null").join(classes, "node").groupBy("node", "class").agg(F.min(F.struct("doc_id", "text_hash")).alias("r")).select("node", "class", "r.doc_id", "r.text_hash")
 
@@ -479,6 +482,7 @@ def near_duplicates(docs: DataFrame, n: int = NGRAM, threshold: int = THRESHOLD)
     else:
         labels = sets.groupBy("class").applyInArrow(_match_class(threshold), "node long, label long")
     labels = written(labels.dropDuplicates(["node"]))  # repeated rows bring a set twice
+    removed(sets)
     nodes = of_docs.filter("node is not null").groupBy("node").agg(F.min("doc_id").alias("rep"))
     named = labels.join(nodes, "node")
     least = named.groupBy("label").agg(F.min("rep").alias("least"))
