@@ -31,7 +31,7 @@ PACKED = PIECES + ", sequence_id long, offset long"
 #: Documents whose pieces are packed together in the first pass, and groups joined in the second.
 GROUP_DOCS, FAN_IN = 4096, 64
 #: Words that a worker keeps with their ids before it starts anew.
-CACHE_WORDS = 1_000_000
+CACHE_WORDS = 1_700_000
 _PLAIN = frozenset(b"abcdefghijklmnopqrstuvwxyz0123456789")
 
 
