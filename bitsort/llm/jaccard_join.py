@@ -1,23 +1,25 @@
 """Exact Jaccard self-join of documents on word n-grams, as classes of linked documents.
 
 1. Documents become sets of n-gram hashes; equal sets are one node from here on.
-2. Candidates.  Linked sets differ in few n-grams, so if the hash space is cut into more parts than
-   that, some part holds the same n-grams in both.  Each set sends a signature of every part, for
-   its own size class and the next larger one; sets with a common signature are candidates.  No
-   link is lost: parts that are empty in both are allowed for by extra parts, and sets with more
-   empty parts than that send signatures of the empty ones too.
-   Classes of more than BLOCK sets (many documents with one common passage, say) are split again by
-   stronger signatures of the same kind: over several parts at once, two of six left out, so that
-   one of them is equal although a few n-grams differ in its parts.
-3. A token-group matrix decides within each class of candidates: sets lie in groups of at most
-   GROUP similar ones with the union of their n-grams; a set's overlap with the union bounds that
-   with every member, and only groups that pass are opened.  One link to a component is enough, so
-   no group of copies is paired off.
-4. Classes of more than BLOCK sets are dealt to blocks, each matched on its own.  What links to the
+2. First matrix.  Tasks cut the rows into blocks; for every block the n-grams of its sets (shortened
+   hashes) go to buckets, which count in how many sets each n-gram lies.  A set of s n-grams links
+   only to sets that have at least threshold percent of s; sets with fewer n-grams that any other
+   set holds too are linked with nothing and go no further.
+3. Token groups.  What is left is dealt to groups of at most GROUP similar sets (equal smallest
+   hash).  A group's members are matched at once; the group's token union goes to the second matrix,
+   which tells for every n-gram how many unions have it.  A set's overlap with the unions of the
+   other groups bounds that with any set in them; only sets that reach the bound stay open.
+4. Open sets meet on their rarest n-grams (as counted over the unions): linked sets have a common
+   one among the first s - need + 1.  Those that meet form classes, and a matrix of token groups
+   decides within each class: a set's overlap with a group's union bounds that with every member,
+   and only groups that pass are opened.  One link to a component is enough, so no group of copies
+   is paired off.
+5. Classes of more than BLOCK sets are dealt to blocks, each matched on its own.  What links to the
    class's first set, of which every block has a copy, is settled at once; the rest meets all sets
    of the class, block by block, in separate tasks, which stop at one link between two components.
 
-Node keys and n-grams are 64-bit hashes.
+Node keys and n-grams are 64-bit hashes; equal shortened hashes only leave more sets open.  ``docs``
+must give the same rows at every read (a table, not a random sample).
 
 Defined results: null and empty texts have no n-grams and are linked with nothing; a text shorter
 than n words is one n-gram; a null doc_id takes part but never names a class that has others;
@@ -26,12 +28,12 @@ repeated rows are one class; an empty table gives no rows; other columns are ign
 
 from __future__ import annotations
 
-import math
 from collections.abc import Iterator
-from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
+import zstandard
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -42,10 +44,9 @@ from bitsort.llm.text import U64, Chunk, chunks, mix, release, sorted_unique, tr
 
 NGRAM, THRESHOLD = 5, 80
 GROUP, BLOCK = 512, 2000
-#: Signatures are dealt to one bucket for so many documents.
-BUCKET_DOCS = 8_000
+#: N-grams are dealt to one bucket for so many documents, sets to one home for so many sets.
+BUCKET_DOCS, HOME_SETS = 8_000, 2_000
 BLOCK_BYTES = 24 << 20
-SKETCH = "doc_id long, text_hash int, n_shingles long, node long, bucket int, nodes binary, signatures binary, places binary"
 
 
 def shingles(chunk: Chunk, n: int) -> Iterator[np.ndarray]:
@@ -59,161 +60,243 @@ def shingles(chunk: Chunk, n: int) -> Iterator[np.ndarray]:
             yield mix(window_hashes(words[i:j], j - i)) if j > i else words[:0]
 
 
-class Parts:
-    """Size classes and numbers of parts for a threshold of ``t`` percent."""
+def set_key(tokens: np.ndarray) -> int:
+    with np.errstate(over="ignore"):
+        return int(mix(np.array([np.add.reduce(mix(tokens + U64(0x632BE59BD9B4E019)))], dtype=U64) + U64(len(tokens))).astype(np.int64)[0])
 
-    def __init__(self, t: int):
-        self.t, self.limits = t, [1]
-        r = t / 100
-        self.spare = 2 * math.exp(-(r * r * (1 + r)) / (2 * (1 - r)))
 
-    def _upto(self, i: int) -> int:
-        """First size beyond class i: all partners of sizes below limit i are below limit i + 1."""
-        while len(self.limits) <= i:
-            self.limits.append(max(self.limits[-1] + 1, 100 * (self.limits[-1] - 1) // self.t + 1))
-        return self.limits[i]
+def least_hash(tokens: np.ndarray) -> int:
+    """A value that sets of similarity j share with probability j."""
+    return int(mix(tokens ^ U64(0x5851F42D4C957F2D)).min().astype(np.int64))
 
-    def class_of(self, size: int) -> int:
-        i = 1
-        while self._upto(i) <= size:
-            i += 1
-        return i
 
-    def of_class(self, i: int) -> tuple[int, int]:
-        """(parts, empty parts allowed for) of the pairs whose larger set is in class i."""
-        differ = self.differ(i)
-        spare = 1 + int(self.spare * (differ + 1))
-        return differ + 1 + spare, spare
+def needed(size: int, t: int) -> int:
+    """So many n-grams of a set of ``size`` every set linked to it has."""
+    return -(-t * size // 100)
 
-    def differ(self, i: int) -> int:
-        """The most n-grams in which linked sets differ whose larger one is in class i."""
-        return 2 * (self._upto(i) - 1) * (100 - self.t) // (100 + self.t)
 
-    def classes(self, size: int) -> list[int]:
-        """Its own class, and the next if a partner can be there."""
-        i = self.class_of(size)
-        return [i, i + 1] if 100 * size // self.t >= self._upto(i) else [i]
+def token_bits(docs: int) -> int:
+    """Bits of shortened hashes: by chance about one n-gram in ten thousand meets another, at any size."""
+    return min(64, max(docs, 1).bit_length() + 22)
 
 
-def signatures(tokens: np.ndarray, parts: Parts) -> np.ndarray:
-    """64-bit signatures of a set's parts (see the module)."""
-    out = []
-    with np.errstate(over="ignore"):
-        value = mix(tokens ^ U64(0x5851F42D4C957F2D))
-        high = tokens >> U64(32)
-        for c in parts.classes(len(tokens)):
-            m, spare = parts.of_class(c)
-            part = (high * U64(m)) >> U64(32)
-            first = np.flatnonzero(np.concatenate([[True], part[1:] != part[:-1]]))
-            part = part[first]
-            salt = U64((c * 0x9E3779B97F4A7C15) & (2**64 - 1))
-            out.append(mix(np.add.reduceat(value, first) + part * U64(0xD1342543DE82EF95) + salt))
-            if m - len(part) > spare:
-                empty = np.setdiff1d(np.arange(m, dtype=U64), part)
-                out.append(mix(mix(empty + salt) ^ U64(0x2545F4914F6CDD1D)))
-    return np.concatenate(out)
-
-
-#: Strong signatures: second-level parts, and how many of them may differ.
-SECOND, OUT = 6, 2
-
-
-def strong_signatures(tokens: np.ndarray, parts: Parts, salt: int) -> np.ndarray:
-    """Signatures over SECOND - OUT of SECOND parts of each first-level part.
-
-    There are so many first-level parts that one has at most OUT differences; leaving out the (at
-    most OUT) second-level parts that hold them, the rest is equal.
-    """
-    out = []
-    with np.errstate(over="ignore"):
-        spread = mix(tokens ^ U64(0x9FB21C651E98DF25))
-        value = mix(spread ^ U64(0x5851F42D4C957F2D))
-        for c in parts.classes(len(tokens)):
-            differ = parts.differ(c)
-            left_out = min(OUT, differ)
-            n = differ // (left_out + 1) + 1
-            cell = ((spread >> U64(32)) * U64(n * SECOND)) >> U64(32)
-            total = np.zeros(n * SECOND, dtype=U64)
-            np.add.at(total, cell.astype(np.int64), value)
-            total = mix(total + np.arange(n * SECOND, dtype=U64) * U64(0xD1342543DE82EF95)).reshape(n, SECOND)
-            every = total.sum(axis=1, dtype=U64)
-            base = U64((c * 0x9E3779B97F4A7C15 + salt) & (2**64 - 1))
-            for k, gone in enumerate(combinations(range(SECOND), left_out)):
-                out.append(mix(every - total[:, list(gone)].sum(axis=1, dtype=U64) + base + U64(k * 0x2545F491)))
-    return np.concatenate(out)
-
-
-def _strong(t: int, buckets: int):
-    """Messages of the strong signatures of sets, apart for each class."""
+def _cuts(values: np.ndarray, buckets: int, bits: int) -> list[int]:
+    """Where each bucket's share of ascending ``values`` begins, and the end."""
+    inner = np.searchsorted(values, np.array([(b << bits) // buckets for b in range(1, buckets)], dtype=U64)).tolist() if buckets > 1 else []
+    return [0, *inner, len(values)]
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        parts = Parts(t)
-        for batch in batches:
-            for part in (batch.slice(i, 2000) for i in range(0, batch.num_rows, 2000)):
-                sets = [np.frombuffer(x, np.int64).view(U64) for x in part.column("tokens").to_pylist()]
-                sigs = [strong_signatures(x, parts, c) for x, c in zip(sets, part.column("class").to_pylist(), strict=True)]
-                if sigs:
-                    yield _rows([r[4:] for r in _message(part.column("node").to_pylist(), sigs, buckets)], pa.schema(list(_SKETCH)[4:]))
 
-    return run
+def _ipc(batch: pa.RecordBatch) -> bytes:
+    sink = pa.BufferOutputStream()
+    with pa.ipc.new_stream(sink, batch.schema) as out:
+        out.write_batch(batch)
+    return zstandard.compress(sink.getvalue().to_pybytes(), 1)
 
 
-def set_key(tokens: np.ndarray) -> int:
-    with np.errstate(over="ignore"):
-        return int(mix(np.array([np.add.reduce(mix(tokens + U64(0x632BE59BD9B4E019)))], dtype=U64) + U64(len(tokens))).astype(np.int64)[0])
+def _rows(rows: list[tuple], schema: pa.Schema) -> pa.RecordBatch:
+    cols = list(zip(*rows, strict=True)) or [[]] * len(schema)
+    return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(cols, schema, strict=True)], schema=schema)
 
 
-def _message(nodes: list[int], sigs: list[np.ndarray], buckets: int) -> list[tuple]:
-    """A block's signatures for every bucket, with the nodes that send them."""
-    sig = np.concatenate(sigs)
-    place = np.repeat(np.arange(len(nodes)), [len(s) for s in sigs])
-    order = np.argsort(sig, kind="stable")
-    sig, place = sig[order], place[order]
-    cut = np.searchsorted(sig, np.array([(b << 64) // buckets for b in range(1, buckets)], dtype=U64)) if buckets > 1 else []
-    edges = [0, *cut, len(sig)]
-    known, out = np.array(nodes, dtype=np.int64), []
-    for b, (i, j) in enumerate(zip(edges, edges[1:], strict=False)):
-        if j > i:
-            used, own = np.unique(place[i:j], return_inverse=True)
-            out.append((None, None, None, None, b, known[used].tobytes(), _pack_sorted(sig[i:j]), _pack_places(own)))
-    return out
+SKETCH = "bucket int, block long, docs binary, tokens binary, places binary"
+_SKETCH = pa.schema([("bucket", pa.int32()), ("block", pa.int64()), ("docs", pa.binary()), ("tokens", pa.binary()), ("places", pa.binary())])
+_DOCS = pa.schema([("doc_id", pa.int64()), ("text_hash", pa.int64()), ("n_shingles", pa.int64()), ("node", pa.int64()), ("place", pa.int32())])
 
 
-def _sketch(n: int, t: int, buckets: int):
-    """Rows of two kinds: a document's node, and a block's signatures for one bucket."""
+class _SketchBlock:
+    """Rows of one task and the distinct sets among them."""
 
+    def __init__(self, key: int):
+        self.key, self.rows, self.place_of, self.tokens, self.bytes = key, [], {}, [], 0
+
+    def add(self, doc_id: int | None, text_hash: int, tokens: np.ndarray, shift: U64) -> None:
+        if not len(tokens):
+            self.rows.append((doc_id, text_hash, 0, None, None))
+            return
+        node = set_key(tokens)
+        place = self.place_of.setdefault(node, len(self.place_of))
+        if place == len(self.tokens):
+            self.tokens.append(tokens >> shift)
+        self.rows.append((doc_id, text_hash, len(tokens), node, place))
+
+    def messages(self, buckets: int, bits: int) -> pa.RecordBatch:
+        """The rows, for one bucket to pass on, and every bucket's share of the sets' n-grams."""
+        out = [(self.key % buckets, self.key, _ipc(_rows(self.rows, _DOCS)), None, None)]
+        if self.tokens:
+            place = np.repeat(np.arange(len(self.tokens), dtype=np.uint32), [len(x) for x in self.tokens])
+            values = np.concatenate(self.tokens)
+            order = np.argsort(values, kind="stable")
+            values, place = values[order], place[order]
+            edges = _cuts(values, buckets, bits)
+            out += [(b, self.key, None, _pack_sorted(values[i:j]), _pack_places(place[i:j])) for b, (i, j) in enumerate(zip(edges, edges[1:], strict=False)) if j > i]
+        return _rows(out, _SKETCH)
+
+
+def _sketch(n: int, buckets: int, bits: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         release()
-        parts, seen, nodes, sigs, size = Parts(t), set(), [], [], 0
+        shift, first = U64(64 - bits), TaskContext.get().partitionId() << 24
+        made, block = 0, _SketchBlock(first)
         for batch in batches:
             ids, hashes = batch.column(0).to_pylist(), batch.column(1).to_pylist()
             for chunk in chunks(batch.column(2), lower=True):
-                rows = []
                 for k, tokens in enumerate(shingles(chunk, n), chunk.first):
-                    node = set_key(tokens) if len(tokens) else None
-                    rows.append((ids[k], hashes[k], len(tokens), node, None, None, None, None))
-                    if node is not None and node not in seen:
-                        seen.add(node)
-                        nodes.append(node)
-                        sigs.append(signatures(tokens, parts))
-                size += len(chunk.data)
-                if size >= BLOCK_BYTES:
-                    rows += _message(nodes, sigs, buckets) if nodes else []
-                    seen, nodes, sigs, size = set(), [], [], 0
+                    block.add(ids[k], hashes[k], tokens, shift)
+                block.bytes += len(chunk.data)
+                if block.bytes >= BLOCK_BYTES:
+                    yield block.messages(buckets, bits)
+                    made += 1
+                    block = _SketchBlock(first + made)
                     trim()
-                yield _rows(rows, _SKETCH)
-        if nodes:
-            yield _rows(_message(nodes, sigs, buckets), _SKETCH)
+        if block.rows:
+            yield block.messages(buckets, bits)
 
     return run
 
 
-_SKETCH = pa.schema([("doc_id", pa.int64()), ("text_hash", pa.int32()), ("n_shingles", pa.int64()), ("node", pa.int64()), ("bucket", pa.int32()), ("nodes", pa.binary()), ("signatures", pa.binary()), ("places", pa.binary())])
+def _count_shared(table: pa.Table) -> pa.Table:
+    """For the sets of every block, how many n-grams of this bucket another set has too."""
+    passed, keys, values, owners, sizes = [], [], [], [], []
+    for block, docs, tokens, places in zip(*(table[c].to_pylist() for c in ("block", "docs", "tokens", "places")), strict=True):
+        if docs is not None:
+            passed.append((block, docs, None))
+            continue
+        own = _from_low_bytes(places[1:], places[0]).astype(np.int64)
+        keys.append(block)
+        values.append(_unpack_sorted(tokens))
+        owners.append(own + sum(sizes[-1:]))
+        sizes.append(sum(sizes[-1:]) + int(own.max()) + 1)
+    out = passed
+    if values:
+        value, owner = np.concatenate(values), np.concatenate(owners)
+        values = owners = None
+        order = np.argsort(value, kind="stable")
+        value, owner = value[order], owner[order]
+        del order
+        equal = value[1:] == value[:-1]
+        common = np.concatenate([[False], equal]) | np.concatenate([equal, [False]])
+        counts = np.bincount(owner[common], minlength=sizes[-1]).astype(np.uint32)
+        for key, i, j in zip(keys, [0, *sizes[:-1]], sizes, strict=True):
+            out.append((key, None, zstandard.compress(counts[i:j].tobytes(), 1)))
+        del value, owner, common
+    trim()
+    cols = list(zip(*out, strict=True)) or [[]] * 3
+    return pa.table([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.binary(), pa.binary()), strict=True)], ["block", "docs", "counts"])
 
 
-def _rows(rows: list[tuple], schema: pa.Schema) -> pa.RecordBatch:
-    cols = list(zip(*rows, strict=True)) or [[]] * len(schema)
-    return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(cols, schema, strict=True)], schema=schema)
+def _totals(table: pa.Table) -> pa.Table:
+    """The rows of one block, each with the number of n-grams that other sets have too."""
+    counts = [np.frombuffer(zstandard.decompress(x), np.uint32) for x in table["counts"].to_pylist() if x is not None]
+    total = np.zeros(max((len(c) for c in counts), default=0) + 1, dtype=np.int64)
+    for c in counts:
+        total[: len(c)] += c
+    docs = pa.ipc.open_stream(zstandard.decompress(next(x for x in table["docs"].to_pylist() if x is not None))).read_all()
+    place = docs["place"].fill_null(-1).to_numpy()
+    return docs.drop_columns(["place"]).append_column("shared", pa.array(np.where(place < 0, 0, total[np.minimum(place, len(total) - 1)])))
+
+
+UNION = "bucket int, home int, tokens binary"
+OPEN = "kind int, a long, b long, bucket int, nodes binary, signatures binary, places binary"
+_OPEN = pa.schema([("kind", pa.int32()), ("a", pa.int64()), ("b", pa.int64()), ("bucket", pa.int32()), ("nodes", pa.binary()), ("signatures", pa.binary()), ("places", pa.binary())])
+#: Kinds of rows: a link that is sure, two sets that meet, what a home has for one bucket.
+LINK, MEET, RAREST = 0, 1, 2
+
+
+def _grouped(table: pa.Table) -> tuple[np.ndarray, list[np.ndarray], list[tuple[int, int]]]:
+    """(nodes, sets, groups as ranges) of a home, the same whatever the order of its rows."""
+    order = np.lexsort([table["node"].to_numpy(), table["first"].to_numpy()])
+    node, first = table["node"].to_numpy()[order], table["first"].to_numpy()[order]
+    once = np.concatenate([[True], (node[1:] != node[:-1]) | (first[1:] != first[:-1])]) if len(node) else np.zeros(0, dtype=bool)
+    order, node, first = order[once], node[once], first[once]
+    tokens = table["tokens"].to_pylist()
+    sets = [np.frombuffer(tokens[i], np.int64).view(U64) for i in order.tolist()]
+    edges = np.flatnonzero(np.concatenate([[True], first[1:] != first[:-1], [True]])).tolist() if len(node) else [0]
+    return node, sets, [(k, min(k + GROUP, j)) for i, j in zip(edges, edges[1:], strict=False) for k in range(i, j, GROUP)]
+
+
+def _union_values(sets: list[np.ndarray], groups: list[tuple[int, int]], bits: int) -> np.ndarray:
+    """The shortened n-grams of every group's union, ascending; one entry for each group that has one."""
+    unions = [sets[i] >> U64(64 - bits) if j == i + 1 else np.concatenate(sets[i:j]) >> U64(64 - bits) for i, j in groups]
+    return np.sort(np.concatenate([sorted_unique(u) for u in unions])) if unions else np.zeros(0, dtype=U64)
+
+
+def _union_messages(buckets: int, bits: int):
+    def run(table: pa.Table) -> pa.Table:
+        _, sets, groups = _grouped(table)
+        values = _union_values(sets, groups, bits)
+        edges, home = _cuts(values, buckets, bits), table["home"][0].as_py()
+        rows = [(b, home, _pack_sorted(values[i:j])) for b, (i, j) in enumerate(zip(edges, edges[1:], strict=False)) if j > i]
+        del sets, values
+        trim()
+        return pa.Table.from_batches([_rows(rows, pa.schema([("bucket", pa.int32()), ("home", pa.int32()), ("tokens", pa.binary())]))])
+
+    return run
+
+
+def _count_groups(table: pa.Table) -> pa.Table:
+    """For every entry of a home, how many groups' unions have that n-gram (255: that many or more)."""
+    homes, buckets, values = (table[c].to_pylist() for c in ("home", "bucket", "tokens"))
+    values = [_unpack_sorted(x) for x in values]
+    sizes = np.cumsum([len(v) for v in values]).tolist()
+    value = np.concatenate(values)
+    values = None
+    order = np.argsort(value, kind="stable")
+    value = value[order]
+    first = np.flatnonzero(np.concatenate([[True], value[1:] != value[:-1]]))
+    run = np.diff(np.append(first, len(value)))
+    counts = np.empty(len(value), dtype=np.uint8)
+    counts[order] = np.repeat(np.minimum(run, 255), run)
+    del value, order
+    trim()
+    rows = [(h, b, zstandard.compress(counts[i:j].tobytes(), 1)) for h, b, i, j in zip(homes, buckets, [0, *sizes[:-1]], sizes, strict=True)]
+    return pa.Table.from_batches([_rows(rows, pa.schema([("home", pa.int32()), ("bucket", pa.int32()), ("counts", pa.binary())]))])
+
+
+def _open_sets(t: int, buckets: int, bits: int):
+    """Links inside the groups of a home, and the rarest n-grams of the sets that stay open."""
+
+    def run(table: pa.Table, replies: pa.Table) -> pa.Table:
+        if not table.num_rows:
+            return pa.Table.from_batches([_rows([], _OPEN)])
+        node, sets, groups = _grouped(table)
+        values = _union_values(sets, groups, bits)
+        told = sorted(zip(replies["bucket"].to_pylist(), replies["counts"].to_pylist(), strict=True))
+        counts = np.concatenate([np.frombuffer(zstandard.decompress(c), np.uint8) for _, c in told])
+        rows: list[tuple] = []
+        for i, j in groups:
+            if j > i + 1:
+                own, sizes, width = shared_columns(sets[i:j])
+                matrix = TokenGroups(t, width)
+                _match(matrix, own, sizes)
+                rows += [(LINK, int(node[i + matrix.root(k)]), int(node[i + k]), None, None, None, None) for k in range(j - i) if matrix.root(k) != k]
+        sent, places = [], []
+        for k, tokens in enumerate(sets):
+            unions = counts[np.searchsorted(values, tokens >> U64(64 - bits))]
+            need = needed(len(tokens), t)
+            elsewhere = int((unions > 1).sum())
+            if elsewhere >= need:
+                rarest = np.argsort(unions, kind="stable")[len(tokens) - elsewhere : len(tokens) - need + 1]  # tokens ascend, so ties do
+                sent.append(tokens[rarest])
+                places.append(np.full(len(rarest), k))
+        if sent:
+            value, place = np.concatenate(sent), np.concatenate(places)
+            order = np.lexsort([node[place], value])
+            value, owner = value[order], node[place[order]]
+            first = np.flatnonzero(np.concatenate([[True], value[1:] != value[:-1]]))
+            least = np.repeat(owner[first], np.diff(np.append(first, len(value))))
+            meet = np.unique(np.stack([least, owner], axis=1)[least != owner], axis=0)  # of a common n-gram one set is sent on
+            rows += [(MEET, a, b, None, None, None, None) for a, b in meet.tolist()]
+            value, owner = value[first], owner[first]
+            edges = _cuts(value, buckets, 64)
+            for b, (i, j) in enumerate(zip(edges, edges[1:], strict=False)):
+                if j > i:
+                    known, at = np.unique(owner[i:j], return_inverse=True)
+                    rows.append((RAREST, None, None, b, known.tobytes(), _pack_sorted(value[i:j]), _pack_places(at)))
+        del sets, values, counts
+        trim()
+        return pa.Table.from_batches([_rows(rows, _OPEN)])
+
+    return run
 
 
 def _candidate_pairs(table: pa.Table) -> pa.Table:
@@ -312,11 +395,10 @@ class TokenGroups:
         self.parent[max(i, j)] = min(i, j)
 
 
-def _sets(table: pa.Table) -> tuple[list[np.ndarray], list[int], int]:
+def shared_columns(own: list[np.ndarray]) -> tuple[list[np.ndarray], list[int], int]:
     """(shared n-grams of each set as columns, sizes, number of columns)."""
-    own = [np.frombuffer(x, np.int64) for x in table["tokens"].to_pylist()]
     sizes = [len(x) for x in own]
-    flat = np.concatenate(own) if own else np.zeros(0, dtype=np.int64)
+    flat = np.concatenate(own) if own else np.zeros(0, dtype=U64)
     _, column, count = np.unique(flat, return_inverse=True, return_counts=True)
     shared = count >= 2
     number = np.cumsum(shared) - 1
@@ -326,6 +408,10 @@ def _sets(table: pa.Table) -> tuple[list[np.ndarray], list[int], int]:
     return [p[k] for p, k in zip(parts, np.split(keep, ends) if sizes else [], strict=True)], sizes, int(shared.sum())
 
 
+def _sets(table: pa.Table) -> tuple[list[np.ndarray], list[int], int]:
+    return shared_columns([np.frombuffer(x, np.int64) for x in table["tokens"].to_pylist()])
+
+
 def _match(groups: TokenGroups, sets: list[np.ndarray], sizes: list[int]) -> None:
     """Add all sets and join those that are linked."""
     for own, size in zip(sets, sizes, strict=True):
@@ -431,14 +517,10 @@ def _match_large(sets: DataFrame, sizes: DataFrame, t: int) -> DataFrame:
 BROADCAST_CLASSES = 100_000
 
 
-def _refined(sets: DataFrame, t: int, buckets: int) -> DataFrame:
-    """(node, label) of the sets of large classes, which strong signatures split first."""
-    messages = sets.select("class", "node", "tokens").mapInArrow(_strong(t, buckets), "bucket int, nodes binary, signatures binary, places binary")
-    pairs = messages.groupBy("bucket").applyInArrow(_candidate_pairs, "a long, b long")
-    classes = components(pairs).select("node", F.col("label").alias("class"))
-    sets = written(sets.select("node", "tokens").join(classes, "node").select("class", "node", "tokens"))
+def _matched(sets: DataFrame, t: int) -> DataFrame:
+    """(node, label) of sets (class, node, tokens), class by class."""
     sizes = sets.groupBy("class").agg(F.count(F.lit(1)).alias("sets"))
-    large = sizes.filter(F.col("sets") > BLOCK)
+    large = written(sizes.filter(F.col("sets") > BLOCK))
     n_large = large.count()
     if not n_large:
         return sets.groupBy("class").applyInArrow(_match_class(t), "node long, label long")
@@ -447,42 +529,55 @@ def _refined(sets: DataFrame, t: int, buckets: int) -> DataFrame:
     return out.unionByName(_match_large(sets.join(large, "class", "left_semi"), large, t))
 
 
-def near_duplicates(docs: DataFrame, n: int = NGRAM, threshold: int = THRESHOLD) -> DataFrame:
-    """doc_id, text_hash, n_shingles, component_id for every row of ``docs``."""
-    spark = docs.sparkSession
-    rows = docs.select(F.col("doc_id").cast("long"), F.hash("text").alias("text_hash"), F.col("text").cast("string"))
-    buckets = max(1, -(-docs.count() // BUCKET_DOCS))
-    sketch = written(rows.mapInArrow(_sketch(n, threshold, buckets), SKETCH))
-    of_docs = written(sketch.filter("n_shingles is not null").select("doc_id", "text_hash", "n_shingles", "node"))
-    pairs = sketch.filter("bucket is not null").select("bucket", "nodes", "signatures", "places").groupBy("bucket").applyInArrow(_candidate_pairs, "a long, b long")
-    classes = written(components(pairs).select("node", F.col("label").alias("class")))
-    removed(sketch)  # the signatures have done their work
-    del pairs, sketch
-    released(spark)
-    # one document of each candidate set gives its n-grams once more
-    reps = of_docs.filter("node is not null").join(classes, "node").groupBy("node", "class").agg(F.min(F.struct("doc_id", "text_hash")).alias("r")).select("node", "class", "r.doc_id", "r.text_hash")
+def _regain(n: int):
+    """Sets of the documents that name a node."""
 
-    def regain(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for chunk in chunks(batch.column(2), lower=True):
-                tokens = [x.astype(np.int64).tobytes() for x in shingles(chunk, n)]
+            for chunk in chunks(batch.column(1), lower=True):
+                tokens = list(shingles(chunk, n))
                 own = batch.slice(chunk.first, len(tokens))
-                yield pa.RecordBatch.from_arrays([own.column(0), own.column(1), pa.array(tokens, pa.binary())], ["node", "class", "tokens"])
+                first = pa.array([least_hash(x) for x in tokens], pa.int64())
+                yield pa.RecordBatch.from_arrays([own.column(0), first, pa.array([x.tobytes() for x in tokens], pa.binary())], ["node", "first", "tokens"])
+
+    return run
+
 
+def near_duplicates(docs: DataFrame, n: int = NGRAM, threshold: int = THRESHOLD) -> DataFrame:
+    """doc_id, text_hash, n_shingles, component_id for every row of ``docs``."""
+    spark = docs.sparkSession
+    rows = docs.select(F.col("doc_id").cast("long"), F.xxhash64("text").alias("text_hash"), F.col("text").cast("string"))
+    n_docs = docs.count()
+    buckets, bits = max(1, -(-n_docs // BUCKET_DOCS)), token_bits(n_docs)
+    counted = rows.mapInArrow(_sketch(n, buckets, bits), SKETCH).groupBy("bucket").applyInArrow(_count_shared, "block long, docs binary, counts binary")
+    of_docs = written(counted.groupBy("block").applyInArrow(_totals, "doc_id long, text_hash long, n_shingles long, node long, shared long"))
+    del counted
+    released(spark)
+    # one document of each set that others may link to gives its n-grams once more
     key = [F.coalesce("doc_id", F.lit(-1)).alias("k"), F.col("text_hash")]
-    texts = rows.select(*key, "text").join(reps.select(*key, "node", "class"), ["k", "text_hash"]).select("node", "class", "text")
-    sets = written(texts.mapInArrow(regain, "node long, class long, tokens binary"))
-    sizes = classes.groupBy("class").agg(F.count(F.lit(1)).alias("sets"))
-    large = sizes.filter(F.col("sets") > BLOCK)
-    n_large = large.count()
-    if n_large:
-        large = F.broadcast(large) if n_large <= BROADCAST_CLASSES else large
-        labels = sets.join(large, "class", "left_anti").groupBy("class").applyInArrow(_match_class(threshold), "node long, label long")
-        labels = labels.unionByName(_refined(sets.join(large, "class", "left_semi"), threshold, buckets))
-    else:
-        labels = sets.groupBy("class").applyInArrow(_match_class(threshold), "node long, label long")
-    labels = written(labels.dropDuplicates(["node"]))  # repeated rows bring a set twice
+    reps = of_docs.filter(F.col("node").isNotNull() & (100 * F.col("shared") >= threshold * F.col("n_shingles"))).groupBy("node").agg(F.min(F.struct("doc_id", "text_hash")).alias("r"))
+    texts = rows.select(*key, "text").join(reps.select("node", "r.*").select(*key, "node"), ["k", "text_hash"]).select("node", "text")
+    sets = written(texts.mapInArrow(_regain(n), "node long, first long, tokens binary"))
+    del texts, reps
+    released(spark)
+    # homes hold whole groups; sets with a frequent smallest hash spread over several
+    n_sets = sets.count()
+    homes = max(1, -(-n_sets // HOME_SETS))
+    hot = sets.groupBy("first").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") > HOME_SETS)
+    part = F.pmod(F.xxhash64("node"), F.coalesce(F.ceil(F.col("n") / HOME_SETS), F.lit(1)))
+    homed = sets.join(hot, "first", "left").select(F.pmod(F.xxhash64("first", part), F.lit(homes)).cast("int").alias("home"), "node", "first", "tokens")
+    replies = homed.groupBy("home").applyInArrow(_union_messages(buckets, bits), UNION).groupBy("bucket").applyInArrow(_count_groups, "home int, bucket int, counts binary")
+    told = written(homed.groupBy("home").cogroup(replies.groupBy("home")).applyInArrow(_open_sets(threshold, buckets, bits), OPEN))
+    del homed, replies
+    pairs = told.filter(F.col("kind") == RAREST).select("bucket", "nodes", "signatures", "places").groupBy("bucket").applyInArrow(_candidate_pairs, "a long, b long")
+    classes = components(pairs.unionByName(told.filter(F.col("kind") == MEET).select("a", "b"))).select("node", F.col("label").alias("class"))
+    open_sets = written(sets.join(classes, "node").select("class", "node", "tokens"))
     removed(sets)
+    del pairs, classes, sets
+    released(spark)
+    sure = told.filter(F.col("kind") == LINK).select("a", "b")
+    labels = written(components(sure.unionByName(_matched(open_sets, threshold).select(F.col("label").alias("a"), F.col("node").alias("b")))))
+    removed(open_sets, told)
     nodes = of_docs.filter("node is not null").groupBy("node").agg(F.min("doc_id").alias("rep"))
     named = labels.join(nodes, "node")
     least = named.groupBy("label").agg(F.min("rep").alias("least"))
@@ -496,7 +591,7 @@ def kept_documents(docs: DataFrame, n: int = NGRAM, threshold: int = THRESHOLD)
     told = told.groupBy("doc_id", "text_hash").agg(F.count(F.lit(1)).alias("_copies"))
     alone = F.when(F.col("doc_id").isNull(), F.col("text_hash"))  # rows without an id are told apart by their text
     first = written(told).groupBy("doc_id", alone.alias("_alone")).agg(F.min("text_hash").alias("text_hash"), F.max("_copies").alias("_copies"), F.count(F.lit(1)).alias("_texts"))
-    own = docs.withColumn("_h", F.hash("text"))
+    own = docs.withColumn("_h", F.xxhash64("text"))
     match = first.select(F.col("doc_id").alias("_d"), F.col("text_hash").alias("_t"))
     out = own.join(match, own["doc_id"].eqNullSafe(match["_d"]) & (own["_h"] == match["_t"]), "left_semi")
     if not first.filter("_copies > 1 or _texts > 1").isEmpty():
