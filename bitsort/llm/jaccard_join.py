@@ -45,7 +45,7 @@ from bitsort.llm.text import U64, Chunk, chunks, mix, release, sorted_unique, tr
 NGRAM, THRESHOLD = 5, 80
 GROUP, BLOCK = 512, 2000
 #: N-grams are dealt to one bucket for so many documents, sets to one home for so many sets.
-BUCKET_DOCS, HOME_SETS = 8_000, 2_000
+BUCKET_DOCS, HOME_SETS = 8_000, 500
 BLOCK_BYTES = 24 << 20
 
 

@@ -8,6 +8,7 @@ import uuid
 from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def shared_folder(spark: SparkSession) -> str:
@@ -62,6 +63,12 @@ def partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions", "200"))
 
 
+def by_bytes(docs: DataFrame, each: int, column: str = "text") -> int:
+    """How many parts of about ``each`` bytes of text a table has; one for every core at least."""
+    size = docs.agg(F.sum(F.octet_length(F.col(column).cast("string")).cast("long"))).first()[0] or 0
+    return max(docs.sparkSession.sparkContext.defaultParallelism, -(-size // each))
+
+
 @contextmanager
 def setting(spark: SparkSession, **values):
     """Session settings for the jobs that run inside the block; the old values come back after it."""

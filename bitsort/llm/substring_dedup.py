@@ -15,7 +15,8 @@ pairs collide: 0.0005 for half a gigabyte.
 
 Defined results: a null text has no words; a null doc_id counts as larger than all others, so its
 windows never make others repeats; rows with equal doc_id are not smaller than each other; texts
-shorter than a window lose nothing; an empty table gives an empty result.
+shorter than a window lose nothing; an empty table gives an empty result; other columns are
+ignored, whatever their names.  A text of any length is cut as a whole, in one task.
 """
 
 from __future__ import annotations
@@ -29,7 +30,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from bitsort.llm.stages import partitions
+from bitsort.llm.stages import by_bytes
 from bitsort.llm.text import U64, Chunk, chunks, mix, trim, window_starts
 
 WIDTH = 13
@@ -38,8 +39,8 @@ NO_ID = np.iinfo(np.int64).max
 #: What travels: sorted hashes and places of one block in one bucket, and the block's documents.
 MESSAGE = "bucket int, docs binary, hashes binary, places binary, hits binary"
 HITS = "home int, hits binary"
-#: Documents are gathered with their repeats in so many groups a shuffle partition.
-HOMES_A_PARTITION = 4
+#: One bucket takes the windows of so many bytes of text, one home so many bytes of documents.
+BUCKET_BYTES, HOME_BYTES = 16 << 20, 4 << 20
 
 
 def _squeeze(*arrays: np.ndarray) -> bytes:
@@ -110,19 +111,25 @@ class _Block:
         new = np.concatenate([[True], h[1:] != h[:-1]]) if len(h) else np.zeros(0, dtype=bool)
         least = np.minimum.reduceat(ids[doc], np.flatnonzero(new)) if len(h) else ids[:0]
         hit = self.settled(ids[doc], least[np.cumsum(new) - 1]) if len(h) else new
-        docs = _squeeze(np.array([len(ids)], dtype=np.int64), np.diff(ids, prepend=0), text_hash, words.astype(np.int64))
+
+        def with_docs(places: np.ndarray, docs: np.ndarray) -> tuple[bytes, np.ndarray]:
+            """The documents of some places, and these places counted in those documents alone."""
+            used, at = np.unique(docs, return_inverse=True)
+            begin = np.cumsum(words[used]) - words[used]
+            return _squeeze(np.array([len(used)], dtype=np.int64), np.diff(ids[used], prepend=0), text_hash[used], words[used].astype(np.int64)), places - first[docs] + begin[at]
+
         out = []
-        keep_h, keep_at = h[~hit], place[~hit]
+        keep_h, keep_at, keep_doc = h[~hit], place[~hit], doc[~hit]
         # high bits of a sorted list: a bucket's share is one slice
         cut = np.searchsorted(keep_h, np.array([(b << 64) // buckets for b in range(1, buckets)], dtype=U64)) if buckets > 1 else []
         edges = [0, *cut, len(keep_h)]
-        hits = np.sort(place[hit])
         for b, (i, j) in enumerate(zip(edges, edges[1:], strict=False)):
             if j > i:
-                out.append((b, docs, _pack_sorted(keep_h[i:j]), _pack_places(keep_at[i:j]), None))
-        if len(hits):
-            at = int(text_hash[0]) % buckets
-            out.append((at, docs, None, None, _squeeze(np.diff(hits, prepend=0))))
+                docs, at = with_docs(keep_at[i:j], keep_doc[i:j])
+                out.append((b, docs, _pack_sorted(keep_h[i:j]), _pack_places(at), None))
+        if hit.any():
+            docs, at = with_docs(place[hit], doc[hit])
+            out.append((int(text_hash[0]) % buckets, docs, None, None, _squeeze(np.diff(np.sort(at), prepend=0))))
         cols = list(zip(*out, strict=True)) or [[]] * 5
         return pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), *(pa.array(c, pa.binary()) for c in cols[1:])], ["bucket", "docs", "hashes", "places", "hits"])
 
@@ -149,7 +156,7 @@ def _documents(data: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     raw = zstandard.decompress(data)
     n = int(np.frombuffer(raw, np.int64, 1)[0])
     ids = np.cumsum(np.frombuffer(raw, np.int64, n, 8))
-    return ids, np.frombuffer(raw, np.int32, n, 8 + 8 * n), np.frombuffer(raw, np.int64, n, 8 + 12 * n)
+    return ids, np.frombuffer(raw, np.int64, n, 8 + 8 * n), np.frombuffer(raw, np.int64, n, 8 + 16 * n)
 
 
 def home_of(ids: np.ndarray, text_hash: np.ndarray, homes: int) -> np.ndarray:
@@ -174,14 +181,14 @@ def _pack_hits(parts: list) -> bytes:
     ids, text_hash, places = ids[order], text_hash[order], places[order]
     edges = np.flatnonzero(np.concatenate([[True], (ids[1:] != ids[:-1]) | (text_hash[1:] != text_hash[:-1]), [True]]))
     first = edges[:-1]
-    return _squeeze(np.array([len(first)], dtype=np.int64), ids[first], np.diff(edges), text_hash[first].astype(np.int32), places.astype("<u4"))
+    return _squeeze(np.array([len(first)], dtype=np.int64), ids[first], np.diff(edges), text_hash[first], places.astype("<u4"))
 
 
 def _unpack_hits(data: bytes) -> Iterator[tuple[tuple[int, int], np.ndarray]]:
     raw = zstandard.decompress(data)
     n = int(np.frombuffer(raw, np.int64, 1)[0])
-    ids, counts, text_hash = np.frombuffer(raw, np.int64, n, 8), np.frombuffer(raw, np.int64, n, 8 + 8 * n), np.frombuffer(raw, np.int32, n, 8 + 16 * n)
-    places, at = np.frombuffer(raw, "<u4", offset=8 + 20 * n), 0
+    ids, counts, text_hash = np.frombuffer(raw, np.int64, n, 8), np.frombuffer(raw, np.int64, n, 8 + 8 * n), np.frombuffer(raw, np.int64, n, 8 + 16 * n)
+    places, at = np.frombuffer(raw, "<u4", offset=8 + 24 * n), 0
     for key, k in zip(zip(ids.tolist(), text_hash.tolist(), strict=True), counts.tolist(), strict=True):
         yield key, places[at : at + k]
         at += k
@@ -243,15 +250,13 @@ def intervals(mask: np.ndarray) -> list[tuple[int, int]]:
     return list(zip(np.flatnonzero(edge == 1).tolist(), np.flatnonzero(edge == -1).tolist(), strict=True))
 
 
-def repeated_places(docs: DataFrame, width: int = WIDTH, buckets: int | None = None, homes: int | None = None) -> DataFrame:
+def repeated_places(docs: DataFrame, width: int = WIDTH, buckets: int = 64, homes: int = 64) -> DataFrame:
     """Rows (home, hits): the starts of repeated windows of the documents of one home, packed.
 
-    ``buckets``: how many ways to deal the hashes, by default one for every shuffle partition;
-    ``homes``: how many groups the documents form.
+    ``buckets``: how many ways to deal the hashes; ``homes``: how many groups the documents form.
     """
-    buckets = buckets or partitions(docs.sparkSession)
-    rows = docs.select(F.col("doc_id").cast("long"), F.hash("text").alias("text_hash"), F.col("text").cast("string"))
-    return rows.mapInArrow(_window_messages(width, buckets), MESSAGE).groupBy("bucket").applyInArrow(_count_bucket(homes or HOMES_A_PARTITION * buckets), HITS)
+    rows = docs.select(F.col("doc_id").cast("long"), F.xxhash64("text").alias("text_hash"), F.col("text").cast("string"))
+    return rows.mapInArrow(_window_messages(width, buckets), MESSAGE).groupBy("bucket").applyInArrow(_count_bucket(homes), HITS)
 
 
 def _at_home(homes: int):
@@ -289,10 +294,10 @@ def _without_repeats(width: int):
 
 def deduplicated(docs: DataFrame, width: int = WIDTH) -> DataFrame:
     """Every row with its kept text: doc_id, text (kept words joined by one space), n_words, n_removed, removed (word intervals)."""
-    homes = HOMES_A_PARTITION * partitions(docs.sparkSession)
-    hits = repeated_places(docs, width, homes=homes)
-    rows = docs.select(F.col("doc_id").cast("long"), F.hash("text").alias("text_hash"), F.col("text").cast("string"))
-    rows = rows.mapInArrow(_at_home(homes), "home int, doc_id long, text_hash int, text string")
+    homes = by_bytes(docs, HOME_BYTES)
+    hits = repeated_places(docs, width, -(-homes * HOME_BYTES // BUCKET_BYTES), homes)
+    rows = docs.select(F.col("doc_id").cast("long"), F.xxhash64("text").alias("text_hash"), F.col("text").cast("string"))
+    rows = rows.mapInArrow(_at_home(homes), "home int, doc_id long, text_hash long, text string")
     kept = rows.groupBy("home").cogroup(hits.groupBy("home"))
     return kept.applyInArrow(_without_repeats(width), "doc_id long, text string, n_words long, n_removed long, removed array<struct<start:long,end:long>>")
 

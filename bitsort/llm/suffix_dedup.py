@@ -6,21 +6,20 @@ passage of at least MIN_WORDS words selects one.
 
 1. Tasks select places; seed hashes are dealt to buckets and those of a single document drop out.
 2. The documents of the rest give each place its context: LEFT words before it and RIGHT from it on.
-3. In each bucket the suffixes are sorted and compared with their neighbours: for every suffix the
-   nearest ones above and below it in the array that belong to a smaller doc_id, and the smallest
-   document of its seed.  Matches are extended left and right over the context; those of at least
-   MIN_WORDS words are repeats of the larger document.
+   Of equal contexts of one home only the smallest document's go on.
+3. In each bucket the suffixes are sorted and compared with their neighbours; runs of neighbours
+   that share r words are extended to the left by the words that r leaves missing.  What the other
+   documents of a class share with its smallest one are repeats, all pairs accounted for.
 4. A document's repeats merge into maximal intervals.  Long passages select a place at least every
-   MIN_WORDS - SEED + 1 words, so the extensions of neighbouring places overlap.
+   MIN_WORDS - SEED + 1 words, so the stretches of neighbouring places overlap.
 
-Every reported word lies in a passage of at least MIN_WORDS words that a smaller document has (up
-to equal 64-bit word hashes cut to 32 bits).  Step 3 compares each suffix with three others, not
-with all; a passage whose nearest neighbours all differ just left of the place can be found shorter
-than with all pairs.
+The words reported are exactly those in some run of MIN_WORDS words that a smaller document has too
+(up to equal word hashes, cut to 32 bits where runs are compared).
 
 Defined results: null texts have no words; a null doc_id counts as larger than all others; rows
 with equal doc_id do not repeat each other; documents without repeats give no row; an empty table
-gives no rows; other columns are ignored.
+gives no rows; other columns are ignored, whatever their names.  A text of any length is cut as a
+whole, in one task.
 """
 
 from __future__ import annotations
@@ -32,9 +31,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from bitsort.llm.stages import partitions
+from bitsort.llm.stages import by_bytes
 from bitsort.llm.substring_dedup import (
-    HOMES_A_PARTITION,
+    BUCKET_BYTES,
+    HOME_BYTES,
     MESSAGE,
     NO_ID,
     _at_home,
@@ -43,11 +43,11 @@ from bitsort.llm.substring_dedup import (
     _unpack_hits,
     intervals,
 )
-from bitsort.llm.text import U64, Chunk, chunks, trim, window_hashes
+from bitsort.llm.text import U64, Chunk, chunks, mix, trim, window_hashes
 
 MIN_WORDS, SEED = 50, 20
 LEFT, RIGHT = MIN_WORDS - SEED, MIN_WORDS
-SUFFIX = "bucket int, seed binary, ids binary, text_hash binary, places binary, context binary"
+SUFFIX = "bucket int, seed binary, ids binary, text_hash binary, places binary, context binary, found binary"
 
 
 def selected_places(seeds: np.ndarray, free: np.ndarray, window: int) -> np.ndarray:
@@ -131,15 +131,45 @@ def _shared(doc: np.ndarray, least: np.ndarray, most: np.ndarray) -> np.ndarray:
     return most > least
 
 
-def _contexts(buckets: int, seed: int):
-    """Suffixes of the documents of one home: (bucket, packed arrays)."""
+def _merged(doc, text, start, end, source) -> tuple[np.ndarray, ...]:
+    """Overlapping stretches of one document with one source as one."""
+    order = np.lexsort([start, source, text, doc])
+    doc, text, start, end, source = (x[order] for x in (doc, text, start, end, source))
+    if not len(doc):
+        return doc, text, start, end, source
+    same = (doc[1:] == doc[:-1]) & (text[1:] == text[:-1]) & (source[1:] == source[:-1])
+    run = np.concatenate([[0], np.cumsum(~same)]) << 40  # runs apart, so that ends of one do not reach the next
+    first = np.flatnonzero(np.concatenate([[True], ~same | ((start + run)[1:] > np.maximum.accumulate(end + run)[:-1])]))
+    return doc[first], text[first], start[first], np.maximum.reduceat(end, first), source[first]
+
+
+def _context_hashes(context: np.ndarray) -> np.ndarray:
+    total = np.zeros(len(context), dtype=U64)
+    with np.errstate(over="ignore"):
+        for k in range(context.shape[1]):
+            total += mix(context[:, k].astype(U64) + U64(k << 33))
+    return mix(total)
+
+
+def _valid(context: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """How many words stand before and from the place on, within the context."""
+    there = context != 0
+    return np.cumprod(there[:, LEFT - 1 :: -1], axis=1).sum(axis=1), np.cumprod(there[:, LEFT:], axis=1).sum(axis=1)
+
+
+def _contexts(buckets: int, seed: int, min_words: int):
+    """Suffixes of the documents of one home.
+
+    Of suffixes with one context only those of the smallest document travel; for the others that
+    one already shows all repeats that reach into the context.
+    """
 
     def run(docs: pa.Table, hits: pa.Table) -> pa.Table:
         starts: dict[tuple[int, int], list] = {}
         for packed in hits["hits"].to_pylist():
             for key, places in _unpack_hits(packed):
                 starts.setdefault(key, []).append(places)
-        seeds, ids, text_hashes, places, contexts = [], [], [], [], []
+        seeds, ids, text_hashes, places, contexts, out = [], [], [], [], [], []
         docs = docs.combine_chunks()
         if starts and docs.num_rows:
             own_ids = docs["doc_id"].fill_null(NO_ID).to_numpy()
@@ -158,98 +188,115 @@ def _contexts(buckets: int, seed: int):
                     contexts.append(padded[at[:, None] + np.arange(LEFT + RIGHT)])
                     seeds.append(window_hashes(own, seed)[at])
                     ids.append(np.full(len(at), own_ids[row]))
-                    text_hashes.append(np.full(len(at), own_hash[row], dtype=np.int32))
+                    text_hashes.append(np.full(len(at), own_hash[row], dtype=np.int64))
                     places.append(at)
-        out = []
         if seeds:
             s, i, t, p, c = (np.concatenate(x) for x in (seeds, ids, text_hashes, places, contexts))
-            bucket = ((s >> U64(32)) * U64(buckets) >> U64(32)).astype(np.int64)
-            order = np.argsort(bucket, kind="stable")
-            bucket = bucket[order]
-            edges = np.flatnonzero(np.concatenate([[True], bucket[1:] != bucket[:-1], [True]]))
+            seeds = contexts = None
+            h = _context_hashes(c)
+            order = np.lexsort([i, h, s])
+            new = np.concatenate([[True], (h[order][1:] != h[order][:-1]) | (s[order][1:] != s[order][:-1])])
+            least = i[order[np.flatnonzero(new)]][np.cumsum(new) - 1]
+            later = i[order] > least
+            left, right = _valid(c)
+            gone, source = order[later], least[later]
+            whole = left[gone] + right[gone] >= min_words
+            gone, source = gone[whole], source[whole]
+            if len(gone):
+                out.append((int(s[0] % U64(buckets)), None, None, None, None, None, _packed_rows(_merged(i[gone], t[gone], p[gone] - left[gone], p[gone] + right[gone], source))))
+            stay = order[~later]
+            bucket = ((s[stay] >> U64(32)) * U64(buckets) >> U64(32)).astype(np.int64)
+            edges = np.flatnonzero(np.concatenate([[True], bucket[1:] != bucket[:-1], [True]]))  # seeds ascend, so do buckets
             for a, b in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True):
-                own = order[a:b]
-                out.append((int(bucket[a]), s[own].tobytes(), i[own].tobytes(), t[own].tobytes(), p[own].tobytes(), c[own].tobytes()))
-        seeds = contexts = places = None
+                own = stay[a:b]
+                out.append((int(bucket[a]), s[own].tobytes(), i[own].tobytes(), t[own].tobytes(), p[own].tobytes(), c[own].tobytes(), None))
+            del c
         trim()
-        cols = list(zip(*out, strict=True)) or [[]] * 6
-        return pa.table([pa.array(cols[0], pa.int32()), *(pa.array(c, pa.binary()) for c in cols[1:])], ["bucket", "seed", "ids", "text_hash", "places", "context"])
+        cols = list(zip(*out, strict=True)) or [[]] * 7
+        return pa.table([pa.array(cols[0], pa.int32()), *(pa.array(x, pa.binary()) for x in cols[1:])], ["bucket", "seed", "ids", "text_hash", "places", "context", "found"])
 
     return run
 
 
-def nearest_smaller(values: np.ndarray, first: np.ndarray) -> np.ndarray:
-    """Index of the nearest earlier entry of the same group with a smaller value, or -1.
-
-    ``first`` marks where groups begin; one pass with a stack.
-    """
-    out, stack = np.full(len(values), -1, dtype=np.int64), []
-    for i, (v, new) in enumerate(zip(values.tolist(), first.tolist(), strict=True)):
-        if new:
-            stack.clear()
-        while stack and stack[-1][1] >= v:
-            stack.pop()
-        if stack:
-            out[i] = stack[-1][0]
-        stack.append((i, v))
-    return out
+def _packed_rows(columns: tuple[np.ndarray, ...]) -> bytes:
+    return np.stack([x.astype(np.int64) for x in columns]).tobytes()
 
 
-def _extend(context: np.ndarray, i: np.ndarray, j: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """How many words before and from the place on are equal in contexts i and j."""
-    left, right = np.zeros(len(i), dtype=np.int64), np.zeros(len(i), dtype=np.int64)
-    for a in range(0, len(i), 1 << 14):
-        x, y = context[i[a : a + (1 << 14)]], context[j[a : a + (1 << 14)]]
-        same = (x == y) & (x != 0)
-        left[a : a + len(x)] = np.cumprod(same[:, LEFT - 1 :: -1], axis=1).sum(axis=1)
-        right[a : a + len(x)] = np.cumprod(same[:, LEFT:], axis=1).sum(axis=1)
-    return left, right
+def _ahead(words: np.ndarray, span: np.ndarray) -> np.ndarray:
+    """How many words each entry shares with the one before it in the suffix array (0 across seeds)."""
+    out = np.zeros(len(words), dtype=np.int64)
+    for a in range(1, len(words), 1 << 14):
+        b = min(len(words), a + (1 << 14))
+        same = words[a:b] == words[a - 1 : b - 1]
+        out[a:b] = np.cumprod(same, axis=1).sum(axis=1)
+    out[np.flatnonzero(span)] = 0
+    return out
 
 
 def compared(seed: np.ndarray, ids: np.ndarray, context: np.ndarray, min_words: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Matches (suffix, other suffix, words to the left, words to the right) with smaller documents."""
-    # suffix order: by seed, then by the words after it (their bytes, as one string), then by document
-    after = np.ascontiguousarray(context[:, LEFT:].astype(">u4")).view(f"S{4 * RIGHT}").ravel()
-    order = np.lexsort([ids, after, seed]) if len(seed) else np.zeros(0, dtype=np.int64)
-    s, d = seed[order], ids[order]
-    new = np.concatenate([[True], s[1:] != s[:-1]]) if len(s) else np.zeros(0, dtype=bool)
-    group = np.cumsum(new) - 1
-    above = nearest_smaller(d, new)
-    last = np.concatenate([new[1:], [True]]) if len(new) else new
-    below = len(d) - 1 - nearest_smaller(d[::-1], last[::-1])[::-1]
-    below[below == len(d)] = -1
-    smallest = np.lexsort([d, group])[np.flatnonzero(new)][group] if len(d) else above
-    rows = []
-    for other in (above, below, smallest):
-        i = np.flatnonzero(other >= 0)
-        i = i[(group[other[i]] == group[i]) & (d[other[i]] < d[i])]
-        rows.append((i, other[i]))
-    i, j = (np.concatenate([r[k] for r in rows]) for k in range(2))
-    left, right = _extend(context, order[i], order[j])
-    good = left + right >= min_words
-    return order[i][good], order[j][good], left[good], right[good]
-
-
-FOUND = "doc_id long, text_hash int, start long, end long, source_id long"
+    """Stretches (suffix, smallest other document, words to the left, words to the right) with smaller documents.
+
+    Suffixes are sorted; those that share their first r words are a run of neighbours.  A repeat of
+    ``min_words`` around the place needs, for some r, r equal words from the place on and the rest
+    before it: inside every run of every depth r, suffixes with equal words on the left are one
+    class, and all but those of its smallest document repeat that.  So every pair is accounted for
+    and none is enumerated.
+    """
+    n = len(seed)
+    none = np.zeros(0, dtype=np.int64)
+    if not n:
+        return none, none, none, none
+    valid_left, valid_right = _valid(context)
+    after = np.ascontiguousarray(context[:, LEFT : LEFT + min_words].astype(">u4")).view(f"S{4 * min_words}").ravel()
+    order = np.lexsort([after, seed])
+    s, d, right = seed[order], ids[order], context[order, LEFT : LEFT + min_words]
+    new = np.concatenate([[True], s[1:] != s[:-1]])
+    shared = _ahead(right, new)
+    before = np.zeros((LEFT + 1, n), dtype=U64)  # hashes of 0, 1, .. words on the left
+    with np.errstate(over="ignore"):
+        for a in range(LEFT):
+            before[a + 1] = mix(before[a] * U64(0x9E3779B97F4A7C15) + context[order, LEFT - 1 - a] + U64(1))
+    valid_left, valid_right = valid_left[order], valid_right[order]
+    rows: list[tuple[np.ndarray, ...]] = []
+    for r in range(min_words, max(0, min_words - LEFT) - 1, -1):
+        a = min_words - r
+        can = np.flatnonzero((valid_right >= r) & (valid_left >= a))
+        if len(can) < 2:
+            continue
+        run = np.cumsum(new | (shared < r))[can]
+        at = np.lexsort([d[can], before[a][can], run])
+        can, run = can[at], run[at]
+        h, doc = before[a][can], d[can]
+        first = np.concatenate([[True], (run[1:] != run[:-1]) | (h[1:] != h[:-1])])
+        least = doc[np.flatnonzero(first)][np.cumsum(first) - 1]
+        hit = doc > least
+        rows.append((can[hit], least[hit], np.full(int(hit.sum()), a), np.full(int(hit.sum()), r)))
+    if not rows:
+        return none, none, none, none
+    i, source, a, r = (np.concatenate([x[k] for x in rows]) for k in range(4))
+    # the stretches of a suffix with one source overlap at its place: one row
+    by = np.lexsort([source, i])
+    i, source, a, r = i[by], source[by], a[by], r[by]
+    first = np.flatnonzero(np.concatenate([[True], (i[1:] != i[:-1]) | (source[1:] != source[:-1])])) if len(i) else none
+    if not len(i):
+        return none, none, none, none
+    return order[i[first]], source[first], np.maximum.reduceat(a, first), np.maximum.reduceat(r, first)
+
+
+FOUND = "doc_id long, text_hash long, start long, end long, source_id long"
 
 
 def _compare_bucket(min_words: int):
     def run(table: pa.Table) -> pa.Table:
-        parts = [[np.frombuffer(x, t) for x in table[c].to_pylist()] for c, t in (("seed", U64), ("ids", np.int64), ("text_hash", np.int32), ("places", np.int64), ("context", np.uint32))]
-        seed, ids, text_hash, places, context = (np.concatenate(p) for p in parts)
-        context = context.reshape(-1, LEFT + RIGHT)
-        i, j, left, right = compared(seed, ids, context, min_words)
-        start, end, doc, text, source = places[i] - left, places[i] + right, ids[i], text_hash[i], ids[j]
-        # overlapping matches of a document with one source are one row
-        order = np.lexsort([start, source, text, doc])
-        start, end, doc, text, source = (x[order] for x in (start, end, doc, text, source))
-        if len(doc):
-            same = (doc[1:] == doc[:-1]) & (text[1:] == text[:-1]) & (source[1:] == source[:-1])
-            run = np.concatenate([[0], np.cumsum(~same)]) << 40  # runs apart, so that ends of one do not reach the next
-            far = np.concatenate([[True], ~same | ((start + run)[1:] > np.maximum.accumulate(end + run)[:-1])])
-            first = np.flatnonzero(far)
-            start, end, doc, text, source = start[first], np.maximum.reduceat(end, first), doc[first], text[first], source[first]
+        parts = [[np.frombuffer(x, np.int64).reshape(5, -1) for x in table["found"].to_pylist() if x is not None]]
+        rows = [np.concatenate([p[k] for p in parts[0]]) if parts[0] else np.zeros(0, dtype=np.int64) for k in range(5)]
+        seed, ids, text_hash, places, context = (
+            np.concatenate([np.frombuffer(x, t) for x in table[c].to_pylist() if x is not None] or [np.zeros(0, dtype=t)])
+            for c, t in (("seed", U64), ("ids", np.int64), ("text_hash", np.int64), ("places", np.int64), ("context", np.uint32))
+        )
+        i, source, left, right = compared(seed, ids, context.reshape(-1, LEFT + RIGHT), min_words)
         del context
+        doc, text, start, end, source = _merged(*(np.concatenate(x) for x in zip(rows, (ids[i], text_hash[i], places[i] - left, places[i] + right, source), strict=True)))
         trim()
         return pa.table([pa.array(doc), pa.array(text), pa.array(start), pa.array(end), pa.array(source)], ["doc_id", "text_hash", "start", "end", "source_id"])
 
@@ -260,12 +307,12 @@ def repeated_passages(docs: DataFrame, min_words: int = MIN_WORDS, seed: int = S
     """(doc_id, text_hash, start, end, source_id): passages, in words, that a smaller document has too."""
     if min_words - seed > LEFT or min_words > RIGHT:
         raise ValueError(f"contexts hold matches of {RIGHT} words")
-    buckets = partitions(docs.sparkSession)
-    homes = HOMES_A_PARTITION * buckets
-    rows = docs.select(F.col("doc_id").cast("long"), F.hash("text").alias("text_hash"), F.col("text").cast("string"))
+    homes = by_bytes(docs, HOME_BYTES)
+    buckets = -(-homes * HOME_BYTES // BUCKET_BYTES)
+    rows = docs.select(F.col("doc_id").cast("long"), F.xxhash64("text").alias("text_hash"), F.col("text").cast("string"))
     hits = rows.mapInArrow(_sparse_messages(min_words, seed, buckets), MESSAGE).groupBy("bucket").applyInArrow(_count_bucket_of(homes, _shared), "home int, hits binary")
-    at_home = rows.mapInArrow(_at_home(homes), "home int, doc_id long, text_hash int, text string")
-    suffixes = at_home.groupBy("home").cogroup(hits.groupBy("home")).applyInArrow(_contexts(buckets, seed), SUFFIX)
+    at_home = rows.mapInArrow(_at_home(homes), "home int, doc_id long, text_hash long, text string")
+    suffixes = at_home.groupBy("home").cogroup(hits.groupBy("home")).applyInArrow(_contexts(buckets, seed, min_words), SUFFIX)
     found = suffixes.groupBy("bucket").applyInArrow(_compare_bucket(min_words), FOUND)
     return found.withColumn("doc_id", F.when(F.col("doc_id") != int(NO_ID), F.col("doc_id"))).withColumn("source_id", F.when(F.col("source_id") != int(NO_ID), F.col("source_id")))
 
@@ -291,4 +338,4 @@ def deduplication_report(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFra
     return by_doc.select("doc_id", "spans", "sources").mapInArrow(merge, "doc_id long, n_removed long, spans array<struct<start:long,end:long>>, sources array<long>")
 
 
-__all__ = ["MIN_WORDS", "SEED", "compared", "deduplication_report", "nearest_smaller", "repeated_passages", "selected_places"]
+__all__ = ["MIN_WORDS", "SEED", "compared", "deduplication_report", "repeated_passages", "selected_places"]

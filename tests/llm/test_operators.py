@@ -94,15 +94,11 @@ def test_substring_dedup(docs, rows):
 # --- 3 suffix arrays -------------------------------------------------------------------------------
 def test_suffix_dedup(docs, rows):
     got = {r["doc_id"]: r for r in suffix_dedup.deduplication_report(docs).collect() if r["doc_id"] != 900_008}
-    missed = total = 0
     for doc, w, gone in windows_removed([r for r in rows if r[0] != 900_008], 50):
         mine = [False] * len(w)
         for s in got[doc]["spans"] if doc in got else []:
             mine[s["start"] : s["end"]] = [True] * (s["end"] - s["start"])
-        assert not any(m and not g for m, g in zip(mine, gone, strict=True)), doc  # nothing that is no repeat
-        assert any(gone) == any(mine), doc
-        total, missed = total + sum(gone), missed + sum(g and not m for m, g in zip(mine, gone, strict=True))
-    assert missed <= 0.01 * total
+        assert mine == list(gone), doc
 
 
 def test_planted_passages(spark):
@@ -115,6 +111,24 @@ def test_planted_passages(spark):
     assert got == {i: 55 for i in range(3, 30, 3)}
 
 
+def test_passages_in_edited_copies(spark):
+    """Many suffixes of one seed whose neighbours differ just left or right of the place."""
+    rng = np.random.default_rng(4)
+    base = [f"b{x}" for x in rng.integers(0, 10**9, 260)]
+    rows = []
+    for i in range(60):
+        w = list(base)
+        for k in rng.integers(0, len(w), 4):
+            w[k] = f"x{i}_{k}"
+        rows.append((int(i), " ".join(w[int(rng.integers(0, 60)) : 260 - int(rng.integers(0, 60))])))
+    got = {r["doc_id"]: r for r in suffix_dedup.deduplication_report(spark.createDataFrame(rows, "doc_id long, text string").repartition(7)).collect()}
+    for doc, w, gone in windows_removed(rows, 50):
+        mine = [False] * len(w)
+        for s in got[doc]["spans"] if doc in got else []:
+            mine[s["start"] : s["end"]] = [True] * (s["end"] - s["start"])
+        assert mine == list(gone), doc
+
+
 # --- 4 pages ---------------------------------------------------------------------------------------
 def test_structure():
     page = """<html><head><title>t</title></head><body><header>Site</header><nav><a>x</a></nav><article class="post"><header><h1>A &amp; B</h1></header>
