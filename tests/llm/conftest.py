@@ -5,7 +5,7 @@ SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, gr
 #: Rows that every operator must take: nulls, blanks, repeats, equal ids, one long word, clashing column names.
 ODD = [
     (900_001, None), (900_002, ""), (900_003, " \n\t "), (900_004, "one"), (900_005, "x" * 5000), (900_006, "a b c d e f g h i j k l m " * 30), (900_006, "a b c d e f g h i j k l m " * 30),
-    (900_007, "a b c d e f g h i j k l m n o p " * 10), (None, "no id but some words " * 20), (900_008, "É ß 漢字 \x1c\x85 <|endoftext|> it's don't 12a3 " * 9), (900_008, "same id other text " * 30),
+    (900_007, "a b c d e f g h i j k l m n o p " * 10), (None, "no id but some words " * 20), (900_008, "É ß 漢字 \x1c\x85 <|endoftext|> it's don't 12a3 A<|EndOfText|>b Foo,&&& 1$% re,&&& <|endoftext|>,. X&&&y!? " * 9), (900_008, "same id other text " * 30),
 ]
 
 

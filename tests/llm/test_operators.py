@@ -55,6 +55,46 @@ def test_packing_in_groups(docs):
     assert by_row(packed, "doc_id", "piece", "ids_crc32") == by_row(pieces, "doc_id", "piece", "ids_crc32")
 
 
+def test_the_search_decides(spark, sf):
+    """On the given table the search saves sequences in every group; without it there are more."""
+    base = spark.read.parquet(f"{sf.replace('0.001', '0.01')}/documents.parquet")
+    lengths = np.array([r["length"] for r in packing.token_pieces(base, tokenizer_path()).select("length", "ids_crc32").orderBy("ids_crc32").collect()])
+    start = packing.best_fit(lengths, 2048)
+    end = packing.local_search(lengths, start, 2048)
+    least = -(-int(lengths.sum()) // 2048)
+    assert (start != end).any() and len(set(end.tolist())) < start.max() + 1
+    assert len(set(end.tolist())) - least <= (start.max() + 1 - least) / 2
+    assert packing.pack_lengths(lengths, 2048).max() + 1 <= least + 1
+
+
+def test_exchanges():
+    """Each kind of step where no simpler one leads further."""
+    for lengths, place, kind in (
+        ([500, 300, 1000, 700], [0, 0, 1, 1], "move"),
+        ([900, 1500, 500, 1500, 400], [0, 1, 1, 2, 2], "exchange"),
+    ):
+        lengths, place = np.array(lengths), np.array(place)
+        end = packing.local_search(lengths, place, 2048)
+        fill = np.bincount(end, weights=lengths)
+        assert fill.max() <= 2048 and (fill**2).sum() >= (np.bincount(place, weights=lengths) ** 2).sum(), kind
+    group, length = np.array([0, 0, 0, 0, 1, 1, 2]), np.array([5, 5, 5, 9, 2, 3, 7])
+    a, b = packing._pairs_within(group, length)
+    assert sorted((int(group[i]), *sorted((int(length[i]), int(length[j])))) for i, j in zip(a, b, strict=True)) == [(0, 5, 5), (0, 5, 9), (0, 5, 9), (1, 2, 3)]
+
+
+def test_ids_of_the_tokenizer(spark, sf):
+    from tokenizers import Tokenizer
+
+    import pyarrow as pa
+
+    t, whole = packing.WordTokenizer(tokenizer_path()), Tokenizer.from_file(tokenizer_path())
+    texts = ["", " ", "a", "it's 12,5 <|EndOfText|> & co. <|endoftext|>", "\x85x\u2003y É,, é.. A1!? don't.", "z" * 300, *(r["text"] for r in spark.read.parquet(f"{sf}/documents.parquet").collect())]
+    for _ in range(2):
+        ids, ends = t.encode(pa.array(texts), 0)
+        for text, own in zip(texts, np.split(ids, ends[:-1]), strict=True):
+            assert own.tolist() == [*whole.encode(text, add_special_tokens=False).ids, 0], text[:50]
+
+
 def test_local_search_never_worsens():
     rng = np.random.default_rng(5)
     for n, lo, hi in ((40, 500, 1500), (300, 300, 1100), (200, 600, 1024)):
