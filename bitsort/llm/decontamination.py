@@ -7,10 +7,13 @@ names a diagonal - an alignment of item and document - along which all words are
 stretch with the most matches over a match rate of RATE decides.
 
 Words are lower-cased runs of letters and digits.  Items shorter than a seed are found by the hash
-of all their words.
+of all their words; those of fewer than SHORTEST words stand in too many texts by chance and count
+only where they are a document's whole text.
 
-Defined results: null texts have no words, items without words match nothing; repeated rows count
-each on their own; empty tables give no rows.
+Defined results: null texts have no words, items without words match nothing; repeated rows, of
+either table, count each on their own; a null doc_id or item_id stays null; of several best
+overlaps of a document and an item the first counts; other columns are ignored by ``leaks`` and
+kept by ``clean_documents``; a text of any length is searched as a whole; empty tables give no rows.
 """
 
 from __future__ import annotations
@@ -30,6 +33,10 @@ MASKS = ("1101100111", "1110011011", "1011110101", "1111001101")
 SPAN = len(MASKS[0])
 #: An overlap counts from so many matching words on (or RATE of a shorter item's words).
 LEAST, RATE = 13, 0.8
+#: Items of fewer words than this count only as whole texts.
+SHORTEST = 6
+#: Words compared at once.
+COMPARED = 1 << 21
 #: Bytes of benchmark text that are looked up at once; a larger benchmark takes several passes.
 BENCHMARK_BYTES = 8 << 20
 PAIR = "doc_id long, item_id long, start long, end long, matched long, item_words long"
@@ -82,48 +89,76 @@ class Seeds:
         gate[(h >> U64(44)).astype(np.int64)] = True
         return Seeds([i for i, _ in rows], words, h[order], item, place, gate, sorted({len(w) for w in words if 0 < len(w) < SPAN}))
 
-    def hits(self, hashes: np.ndarray, at: np.ndarray) -> Iterator[tuple[int, int, int]]:
+    def hits(self, hashes: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(word of the document chunk, item, place in the item) of equal hashes."""
         some = np.flatnonzero(self.gate[(hashes >> U64(44)).astype(np.int64)])
         left, right = np.searchsorted(self.hashes, hashes[some]), np.searchsorted(self.hashes, hashes[some], side="right")
-        for k in np.flatnonzero(right > left).tolist():
-            for j in range(int(left[k]), int(right[k])):
-                yield int(at[some[k]]), int(self.items[j]), int(self.places[j])
-
-
-def best_stretch(equal: np.ndarray, rate: float = RATE) -> tuple[int, int, int]:
-    """(start, end, matches) of the stretch with the largest sum of match - rate."""
-    total = np.concatenate([[0.0], np.cumsum(equal - rate)])
-    low = np.minimum.accumulate(total)
-    end = int(np.argmax(total - low))
-    start = int(np.argmin(total[: end + 1]))
-    return start, end, int(equal[start:end].sum())
+        n = right - left
+        entry = np.repeat(left - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))
+        return np.repeat(at[some], n), self.items[entry], self.places[entry]
+
+
+def best_stretches(equal: np.ndarray, edges: np.ndarray, rate: float = RATE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(start, end, matches) of the stretch with the largest sum of match - rate, for each segment of ``equal``.
+
+    Segment k is ``edges[k]:edges[k + 1]`` and has at least one entry; all are scanned together.
+    """
+    scale = 100
+    step = np.where(equal, scale - round(rate * scale), -round(rate * scale)).astype(np.int64)
+    total = np.concatenate([[0], np.cumsum(step)])
+    size = np.diff(edges)
+    owner = np.repeat(np.arange(len(size)), size + 1)
+    at = np.arange(len(owner)) - owner  # position in ``equal``; every segment has one more border than entries
+    own = total[at]
+    span = 2 * scale * (len(equal) + 1)
+    low = np.minimum.accumulate(own - owner * span) + owner * span  # minima never reach over a segment's begin
+    gain = own - low
+    first = np.concatenate([[0], np.cumsum(size + 1)[:-1]])
+    best = np.maximum.reduceat(gain, first)
+    end = np.minimum.reduceat(np.where(gain == best[owner], np.arange(len(gain)), len(gain)), first)
+    start = np.minimum.reduceat(np.where((own == low[end][owner]) & (np.arange(len(own)) <= end[owner]), np.arange(len(own)), len(own)), first)
+    matches = np.concatenate([[0], np.cumsum(equal)])
+    return at[start] - edges[:-1], at[end] - edges[:-1], matches[at[end]] - matches[at[start]]
 
 
 def overlaps(batch_texts: pa.Array, seeds: Seeds) -> Iterator[tuple[int, int, int, int, int]]:
     """(row, item, start, end, matches): verified overlaps, the best of each row and item."""
+    flat = np.concatenate(seeds.words) if seeds.words else np.zeros(0, dtype=U64)
+    n_words = np.array([len(w) for w in seeds.words], dtype=np.int64)
+    item_at = np.cumsum(n_words) - n_words
     for chunk in chunks(batch_texts, NOT_ALNUM, lower=True):
-        words, doc_of = chunk.hashes(), None
+        words = chunk.hashes()
         at = window_starts(chunk.ptr, SPAN)
-        found: dict[tuple[int, int, int], None] = {}
         runs = [(seed_hashes(words, m)[at], at) for m in MASKS] if len(at) else []
         for k in seeds.short:
-            own = window_starts(chunk.ptr, k)
+            own = window_starts(chunk.ptr, k) if k >= SHORTEST else chunk.ptr[:-1][np.diff(chunk.ptr) == k]
             runs += [(window_hashes(words, k)[own], own)] if len(own) else []
-        for h, places in runs:
-            for p, item, q in seeds.hits(h, places):
-                doc_of = chunk.doc_of_word() if doc_of is None else doc_of
-                found[(int(doc_of[p]), item, p - q)] = None
+        found = [seeds.hits(h, places) for h, places in runs]
+        word, item, place = (np.concatenate([f[k] for f in found]) if found else np.zeros(0, dtype=np.int64) for k in range(3))
+        if not len(word):
+            continue
+        doc = np.searchsorted(chunk.ptr, word, side="right") - 1
+        doc, item, diagonal = np.unique(np.stack([doc, item, word - place]), axis=1)
+        lo = np.maximum(chunk.ptr[doc], diagonal)
+        size = np.minimum(chunk.ptr[doc + 1], diagonal + n_words[item]) - lo
+        done = np.concatenate([[0], np.cumsum(size)])
         best: dict[tuple[int, int], tuple] = {}
-        for doc, item, diagonal in found:
-            w = seeds.words[item]
-            lo, hi = max(int(chunk.ptr[doc]), diagonal), min(int(chunk.ptr[doc + 1]), diagonal + len(w))
-            start, end, n = best_stretch(words[lo:hi] == w[lo - diagonal : hi - diagonal])
-            if n >= min(LEAST, -(-int(RATE * 100) * len(w) // 100)) and n > best.get((doc, item), (0, 0, 0))[2]:
-                first = int(chunk.ptr[doc])
-                best[(doc, item)] = (lo + start - first, lo + end - first, n)
-        for (doc, item), (start, end, n) in best.items():
-            yield chunk.first + doc, item, start, end, n
+        i = 0
+        while i < len(doc):
+            j = max(i + 1, int(np.searchsorted(done, done[i] + COMPARED, side="right")) - 1)
+            step = np.arange(int(done[j] - done[i])) - np.repeat(done[i:j] - done[i], size[i:j])
+            here = np.repeat(lo[i:j], size[i:j]) + step
+            there = here - np.repeat(diagonal[i:j], size[i:j]) + np.repeat(item_at[item[i:j]], size[i:j])
+            start, end, n = best_stretches(words[here] == flat[there], done[i : j + 1] - done[i])
+            good = np.flatnonzero(n >= np.minimum(LEAST, -(-round(RATE * 100) * n_words[item[i:j]] // 100)))
+            first = chunk.ptr[doc[i:j]]
+            for k in good.tolist():
+                key, row = (int(doc[i + k]), int(item[i + k])), (int(lo[i + k] + start[k] - first[k]), int(lo[i + k] + end[k] - first[k]), int(n[k]))
+                if row[2] > best.get(key, (0, 0, 0))[2]:
+                    best[key] = row
+            i = j
+        for (d, k), (start, end, n) in best.items():
+            yield chunk.first + d, k, start, end, n
 
 
 def _blocks(benchmark: DataFrame) -> Iterator[list[tuple]]:

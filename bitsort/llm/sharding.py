@@ -7,8 +7,9 @@ move only into subtrees that gained and out of subtrees that lost.  New shards o
 their own, so growing moves rows only into the new shard.
 
 Defined results: a null text has size 1 and the CRC of an empty one; a null key is a key like any
-other (all such rows share a shard); equal keys share a shard; repeated rows get a slot each; an
-empty table gives no rows; other columns are ignored.
+other (all such rows share a shard); equal keys share a shard; repeated rows get a slot each, in an
+order of key, CRC and size, so results are the same at every run; an empty table gives no rows;
+other columns are ignored; texts of any length only count.
 """
 
 from __future__ import annotations
@@ -107,5 +108,5 @@ def sharded(docs: DataFrame, shards: int = 16, rows: int | None = None, tree: Tr
     df = docs.select(F.col("doc_id"), (F.octet_length(text) + 1).cast("long").alias("size"), F.crc32(F.encode(text, "UTF-8")).cast("long").alias("text_crc32"))
     df = placed(placed(df, "doc_id", tree, "shard"), "doc_id", tree.grown(), "grown_shard")
     buckets = max(4, -(-(docs.count() if rows is None else rows) // (tree.size * BUCKET_ROWS)))
-    df = numbered(df, "shard", ["doc_id"], buckets)
+    df = numbered(df, "shard", ["doc_id", "text_crc32", "size"], buckets)  # rows that tie here are alike in all columns
     return df.select("doc_id", "size", "text_crc32", F.lit("key").alias("law"), "shard", "slot", "grown_shard")
