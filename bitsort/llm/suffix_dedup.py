@@ -5,7 +5,7 @@ words is the smallest in some window of seeds.  Equal passages select the same p
 passage of at least MIN_WORDS words selects one.
 
 1. Tasks select places; seed hashes are dealt to buckets and those of a single document drop out.
-2. The documents of the rest give each place its context: LEFT words before it and RIGHT from it on.
+2. The documents of the rest give each place its context: MIN_WORDS - SEED words on either side of the seed.
    Of equal contexts of one home only the smallest document's go on.
 3. In each bucket the suffixes are sorted and compared with their neighbours; runs of neighbours
    that share r words are extended to the left by the words that r leaves missing.  What the other
@@ -46,7 +46,8 @@ from bitsort.llm.substring_dedup import (
 from bitsort.llm.text import U64, Chunk, chunks, mix, trim, window_hashes
 
 MIN_WORDS, SEED = 50, 20
-LEFT, RIGHT = MIN_WORDS - SEED, MIN_WORDS
+#: Suffixes compared at once; those of one seed stay together.
+SLICE = 20_000
 SUFFIX = "bucket int, seed binary, ids binary, text_hash binary, places binary, context binary, found binary"
 
 
@@ -151,10 +152,15 @@ def _context_hashes(context: np.ndarray) -> np.ndarray:
     return mix(total)
 
 
+def _run_length(there: np.ndarray) -> np.ndarray:
+    """How many leading entries of each row hold."""
+    return np.where(there.all(axis=1), there.shape[1], there.argmin(axis=1))
+
+
 def _valid(context: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """How many words stand before and from the place on, within the context."""
-    there = context != 0
-    return np.cumprod(there[:, LEFT - 1 :: -1], axis=1).sum(axis=1), np.cumprod(there[:, LEFT:], axis=1).sum(axis=1)
+    """How many words stand before and behind the seed, within the context."""
+    side = context.shape[1] // 2
+    return _run_length(context[:, side - 1 :: -1] != 0), _run_length(context[:, side:] != 0)
 
 
 def _contexts(buckets: int, seed: int, min_words: int):
@@ -164,6 +170,9 @@ def _contexts(buckets: int, seed: int, min_words: int):
     one already shows all repeats that reach into the context.
     """
 
+    side = min_words - seed
+    around = np.concatenate([np.arange(side), np.arange(min_words, min_words + side)])  # in a text padded by ``side``
+
     def run(docs: pa.Table, hits: pa.Table) -> pa.Table:
         starts: dict[tuple[int, int], list] = {}
         for packed in hits["hits"].to_pylist():
@@ -183,9 +192,9 @@ def _contexts(buckets: int, seed: int, min_words: int):
                         continue
                     own = words[chunk.ptr[k] : chunk.ptr[k + 1]]
                     at = np.unique(np.concatenate(found)).astype(np.int64)
-                    padded = np.zeros(len(own) + LEFT + RIGHT, dtype=np.uint32)
-                    padded[LEFT : LEFT + len(own)] = (own >> U64(32)).astype(np.uint32) | np.uint32(1)  # 0: no word
-                    contexts.append(padded[at[:, None] + np.arange(LEFT + RIGHT)])
+                    padded = np.zeros(len(own) + 2 * side, dtype=np.uint32)
+                    padded[side : side + len(own)] = (own >> U64(32)).astype(np.uint32) | np.uint32(1)  # 0: no word
+                    contexts.append(padded[at[:, None] + around])
                     seeds.append(window_hashes(own, seed)[at])
                     ids.append(np.full(len(at), own_ids[row]))
                     text_hashes.append(np.full(len(at), own_hash[row], dtype=np.int64))
@@ -200,6 +209,7 @@ def _contexts(buckets: int, seed: int, min_words: int):
             later = i[order] > least
             left, right = _valid(c)
             gone, source = order[later], least[later]
+            right = right + seed
             whole = left[gone] + right[gone] >= min_words
             gone, source = gone[whole], source[whole]
             if len(gone):
@@ -222,98 +232,95 @@ def _packed_rows(columns: tuple[np.ndarray, ...]) -> bytes:
     return np.stack([x.astype(np.int64) for x in columns]).tobytes()
 
 
-def _ahead(words: np.ndarray, span: np.ndarray) -> np.ndarray:
-    """How many words each entry shares with the one before it in the suffix array (0 across seeds)."""
-    out = np.zeros(len(words), dtype=np.int64)
-    for a in range(1, len(words), 1 << 14):
-        b = min(len(words), a + (1 << 14))
-        same = words[a:b] == words[a - 1 : b - 1]
-        out[a:b] = np.cumprod(same, axis=1).sum(axis=1)
-    out[np.flatnonzero(span)] = 0
-    return out
+def compared(seed: np.ndarray, ids: np.ndarray, context: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Stretches (suffix, smallest other document, words before and behind the seed) shared with smaller documents.
 
-
-def compared(seed: np.ndarray, ids: np.ndarray, context: np.ndarray, min_words: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Stretches (suffix, smallest other document, words to the left, words to the right) with smaller documents.
-
-    Suffixes are sorted; those that share their first r words are a run of neighbours.  A repeat of
-    ``min_words`` around the place needs, for some r, r equal words from the place on and the rest
-    before it: inside every run of every depth r, suffixes with equal words on the left are one
-    class, and all but those of its smallest document repeat that.  So every pair is accounted for
-    and none is enumerated.
+    ``context`` holds as many words on either side of the seed as a repeat has besides it.  Suffixes
+    are sorted; those that share their first r words are a run of neighbours.  A repeat around the
+    seed needs, for some r, r equal words behind it and the rest before it: inside every run of
+    every depth r, suffixes with equal words on the left are one class, and all but those of its
+    smallest document repeat that.  So every pair is accounted for and none is enumerated.
     """
-    n = len(seed)
     none = np.zeros(0, dtype=np.int64)
-    if not n:
+    if not len(seed):
         return none, none, none, none
-    valid_left, valid_right = _valid(context)
-    after = np.ascontiguousarray(context[:, LEFT : LEFT + min_words].astype(">u4")).view(f"S{4 * min_words}").ravel()
+    side = context.shape[1] // 2
+    after = np.ascontiguousarray(context[:, side:].astype(">u4")).view(f"S{4 * side}").ravel()
     order = np.lexsort([after, seed])
-    s, d, right = seed[order], ids[order], context[order, LEFT : LEFT + min_words]
+    del after
+    s, d, context = seed[order], ids[order], context[order]
     new = np.concatenate([[True], s[1:] != s[:-1]])
-    shared = _ahead(right, new)
-    before = np.zeros((LEFT + 1, n), dtype=U64)  # hashes of 0, 1, .. words on the left
+    shared = np.concatenate([[0], _run_length(context[1:, side:] == context[:-1, side:])])
+    before = np.zeros((side + 1, len(s)), dtype=U64)  # hashes of 0, 1, .. words on the left
     with np.errstate(over="ignore"):
-        for a in range(LEFT):
-            before[a + 1] = mix(before[a] * U64(0x9E3779B97F4A7C15) + context[order, LEFT - 1 - a] + U64(1))
-    valid_left, valid_right = valid_left[order], valid_right[order]
-    rows: list[tuple[np.ndarray, ...]] = []
-    for r in range(min_words, max(0, min_words - LEFT) - 1, -1):
-        a = min_words - r
-        can = np.flatnonzero((valid_right >= r) & (valid_left >= a))
-        if len(can) < 2:
-            continue
+        for a in range(side):
+            before[a + 1] = mix(before[a] * U64(0x9E3779B97F4A7C15) + context[:, side - 1 - a] + U64(1))
+    left, right = _valid(context)
+    rows: list[tuple[np.ndarray, ...]] = [(none, none, none, none)]
+    for r in range(side + 1):
+        a = side - r
+        can = np.flatnonzero((right >= r) & (left >= a))
         run = np.cumsum(new | (shared < r))[can]
         at = np.lexsort([d[can], before[a][can], run])
         can, run = can[at], run[at]
         h, doc = before[a][can], d[can]
-        first = np.concatenate([[True], (run[1:] != run[:-1]) | (h[1:] != h[:-1])])
-        least = doc[np.flatnonzero(first)][np.cumsum(first) - 1]
+        first = np.concatenate([[True], (run[1:] != run[:-1]) | (h[1:] != h[:-1])])[: len(can)]
+        least = doc[np.flatnonzero(first)][np.cumsum(first) - 1] if len(can) else doc
         hit = doc > least
         rows.append((can[hit], least[hit], np.full(int(hit.sum()), a), np.full(int(hit.sum()), r)))
-    if not rows:
-        return none, none, none, none
     i, source, a, r = (np.concatenate([x[k] for x in rows]) for k in range(4))
-    # the stretches of a suffix with one source overlap at its place: one row
-    by = np.lexsort([source, i])
-    i, source, a, r = i[by], source[by], a[by], r[by]
-    first = np.flatnonzero(np.concatenate([[True], (i[1:] != i[:-1]) | (source[1:] != source[:-1])])) if len(i) else none
     if not len(i):
         return none, none, none, none
+    # the stretches of a suffix with one source overlap at its seed: one row
+    by = np.lexsort([source, i])
+    i, source, a, r = i[by], source[by], a[by], r[by]
+    first = np.flatnonzero(np.concatenate([[True], (i[1:] != i[:-1]) | (source[1:] != source[:-1])]))
     return order[i[first]], source[first], np.maximum.reduceat(a, first), np.maximum.reduceat(r, first)
 
 
 FOUND = "doc_id long, text_hash long, start long, end long, source_id long"
 
 
-def _compare_bucket(min_words: int):
+def _joined(table: pa.Table, column: str, kind) -> np.ndarray:
+    parts = [np.frombuffer(x.as_buffer(), kind) for x in table[column] if x.is_valid]
+    return np.concatenate(parts) if parts else np.zeros(0, dtype=kind)
+
+
+def _compare_bucket(min_words: int, seed_words: int):
     def run(table: pa.Table) -> pa.Table:
-        parts = [[np.frombuffer(x, np.int64).reshape(5, -1) for x in table["found"].to_pylist() if x is not None]]
-        rows = [np.concatenate([p[k] for p in parts[0]]) if parts[0] else np.zeros(0, dtype=np.int64) for k in range(5)]
-        seed, ids, text_hash, places, context = (
-            np.concatenate([np.frombuffer(x, t) for x in table[c].to_pylist() if x is not None] or [np.zeros(0, dtype=t)])
-            for c, t in (("seed", U64), ("ids", np.int64), ("text_hash", np.int64), ("places", np.int64), ("context", np.uint32))
-        )
-        i, source, left, right = compared(seed, ids, context.reshape(-1, LEFT + RIGHT), min_words)
+        known = [np.frombuffer(x.as_buffer(), np.int64).reshape(5, -1) for x in table["found"] if x.is_valid]
+        out = [tuple(x) for x in known]
+        seed = _joined(table, "seed", U64)
+        ids, text_hash, places = (_joined(table, c, np.int64) for c in ("ids", "text_hash", "places"))
+        context = _joined(table, "context", np.uint32).reshape(-1, 2 * (min_words - seed_words))
+        del table
+        order = np.argsort(seed, kind="stable")
+        ends = np.flatnonzero(np.concatenate([seed[order][1:] != seed[order][:-1], [True]])) + 1 if len(seed) else np.zeros(0, dtype=np.int64)
+        at = 0
+        while at < len(seed):
+            to = int(ends[min(int(np.searchsorted(ends, at + SLICE)), len(ends) - 1)])
+            own = order[at:to]
+            i, source, left, right = compared(seed[own], ids[own], context[own])
+            i = own[i]
+            out.append(_merged(ids[i], text_hash[i], places[i] - left, places[i] + seed_words + right, source))
+            at = to
         del context
-        doc, text, start, end, source = _merged(*(np.concatenate(x) for x in zip(rows, (ids[i], text_hash[i], places[i] - left, places[i] + right, source), strict=True)))
+        rows = _merged(*(np.concatenate([x[k] for x in out]) if out else np.zeros(0, dtype=np.int64) for k in range(5)))
         trim()
-        return pa.table([pa.array(doc), pa.array(text), pa.array(start), pa.array(end), pa.array(source)], ["doc_id", "text_hash", "start", "end", "source_id"])
+        return pa.table([pa.array(x) for x in rows], ["doc_id", "text_hash", "start", "end", "source_id"])
 
     return run
 
 
 def repeated_passages(docs: DataFrame, min_words: int = MIN_WORDS, seed: int = SEED) -> DataFrame:
     """(doc_id, text_hash, start, end, source_id): passages, in words, that a smaller document has too."""
-    if min_words - seed > LEFT or min_words > RIGHT:
-        raise ValueError(f"contexts hold matches of {RIGHT} words")
     homes = by_bytes(docs, HOME_BYTES)
     buckets = -(-homes * HOME_BYTES // BUCKET_BYTES)
     rows = docs.select(F.col("doc_id").cast("long"), F.xxhash64("text").alias("text_hash"), F.col("text").cast("string"))
     hits = rows.mapInArrow(_sparse_messages(min_words, seed, buckets), MESSAGE).groupBy("bucket").applyInArrow(_count_bucket_of(homes, _shared), "home int, hits binary")
     at_home = rows.mapInArrow(_at_home(homes), "home int, doc_id long, text_hash long, text string")
-    suffixes = at_home.groupBy("home").cogroup(hits.groupBy("home")).applyInArrow(_contexts(buckets, seed, min_words), SUFFIX)
-    found = suffixes.groupBy("bucket").applyInArrow(_compare_bucket(min_words), FOUND)
+    suffixes = at_home.groupBy("home").cogroup(hits.groupBy("home")).applyInArrow(_contexts(homes, seed, min_words), SUFFIX)
+    found = suffixes.groupBy("bucket").applyInArrow(_compare_bucket(min_words, seed), FOUND)
     return found.withColumn("doc_id", F.when(F.col("doc_id") != int(NO_ID), F.col("doc_id"))).withColumn("source_id", F.when(F.col("source_id") != int(NO_ID), F.col("source_id")))
 
 
