@@ -12,6 +12,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -184,31 +185,63 @@ def combine_runs(bitmaps: list[Runs], op: str, strategy: str, rows: int, work: W
     return in_place(bitmaps, op, rows, work)
 
 
+#: Words of a block that one task combines at once; any cut is right, as combining goes word by word.
+CHUNK_WORDS = 1 << 16
+#: What ``combine`` counts beside its answer, chunk by chunk.
+COUNTERS = ("steps", "runs_read", "heap_operations", "words_touched", "temporaries", "largest_temporary")
+
+
 def combine(words: DataFrame, blocks: DataFrame, op: str, strategy: str, w: int = 32) -> DataFrame:
-    """(block, word_no, bits, counters) of the combination of all bitmaps in ``words``, block by block.
+    """(block, word_no, bits, COUNTERS) of the combination of all bitmaps in ``words``.
 
-    A block bounds a task's memory.  Bitmaps without a word in a block are zero there and still count.
+    Work goes chunk by chunk of a block's words, which bounds a task's memory.  Bitmaps without a
+    word in a chunk are zero there and still count.
     """
     total = words.select("attr", "bitmap").distinct().count()
-    sized = words.join(blocks, "block").select("block", "attr", "bitmap", "word_no", "bits", "first_word", "words", "last_rows")
+    own = blocks.select("block", "first_word", "words", "last_rows", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("words") - 1) / CHUNK_WORDS).cast("long"))).alias("chunk"))
+    sized = words.join(blocks.select("block", "first_word"), "block").withColumn("chunk", F.floor((F.col("word_no") - F.col("first_word")) / CHUNK_WORDS)).drop("first_word")
+    sized = own.join(sized, ["block", "chunk"], "left").select("block", "chunk", "attr", "bitmap", "word_no", "bits", "first_word", "words", "last_rows")
 
     def run(table: pa.Table) -> pa.Table:
-        first, n, tail = (int(table[c][0].as_py()) for c in ("first_word", "words", "last_rows"))
-        rows, own = (n - 1) * w + tail, {}
-        for a, b, at, bits in zip(*(table[c].to_pylist() for c in ("attr", "bitmap", "word_no", "bits")), strict=True):
-            own.setdefault((a, b), np.zeros(n, dtype=np.uint64))[at - first] = np.uint64(bits & ((1 << 64) - 1))
-        bitmaps = [to_runs(unpack_bits(x, w, rows)) for _, x in sorted(own.items())]
+        block, chunk, first, n, tail = (int(table[c][0].as_py()) for c in ("block", "chunk", "first_word", "words", "last_rows"))
+        first, n, ends = first + chunk * CHUNK_WORDS, min(CHUNK_WORDS, n - chunk * CHUNK_WORDS), (chunk + 1) * CHUNK_WORDS >= n
+        rows = (n - 1) * w + (tail if ends else w)
+        table = table.filter(pc.is_valid(table["bitmap"]))
+        key = table["attr"].to_numpy().astype(np.int64) * (1 << 40) + table["bitmap"].to_numpy()
+        order = np.lexsort([table["word_no"].to_numpy(), key])
+        key, at, bits = key[order], table["word_no"].to_numpy()[order] - first, table["bits"].to_numpy()[order].astype(np.uint64)
+        edges = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1], [True]])) if len(key) else np.zeros(1, dtype=np.int64)
+        bitmaps = [sparse_runs(at[i:j], bits[i:j], w, rows) for i, j in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True)]
         bitmaps += [[(0, rows, 0)]] * (total - len(bitmaps))
         work = Work()
         packed = pack_bits(from_runs(combine_runs(bitmaps, op, strategy, rows, work), rows), w)
         hit = np.flatnonzero(packed)
-        block = table["block"][0].as_py()
+        counted = [work.steps, work.runs_read, work.heap_operations, work.words_touched, work.temporaries, max(work.temporary_sizes, default=0)]
         return pa.table(
-            [pa.array([block] * len(hit), pa.int64()), pa.array(hit + first, pa.int64()), pa.array(packed[hit].astype(np.int64)), pa.array([work.steps] * len(hit), pa.int64()), pa.array([work.temporaries] * len(hit), pa.int64())],
-            ["block", "word_no", "bits", "steps", "temporaries"],
+            [pa.array([block] * len(hit), pa.int64()), pa.array(hit + first, pa.int64()), pa.array(packed[hit].astype(np.int64)), *(pa.array([c] * len(hit), pa.int64()) for c in counted)],
+            ["block", "word_no", "bits", *COUNTERS],
         )
 
-    return sized.groupBy("block").applyInArrow(run, "block long, word_no long, bits long, steps long, temporaries long")
+    return sized.groupBy("block", "chunk").applyInArrow(run, "block long, word_no long, bits long, " + ", ".join(f"{c} long" for c in COUNTERS))
+
+
+def sparse_runs(at: np.ndarray, bits: np.ndarray, w: int, rows: int) -> Runs:
+    """Runs (start, end, bit) of a bitmap from its non-zero words alone: what lies between them is not unpacked."""
+    if not len(at):
+        return [(0, rows, 0)]
+    flat = ((bits[:, None] >> np.arange(w, dtype=np.uint64)) & np.uint64(1)).astype(np.int8)
+    row = (at[:, None] * w + np.arange(w)).ravel()[flat.ravel() == 1]
+    starts = row[np.concatenate([[True], row[1:] != row[:-1] + 1])]
+    stops = row[np.concatenate([row[1:] != row[:-1] + 1, [True]])] + 1
+    out, here = [], 0
+    for i, j in zip(starts.tolist(), stops.tolist(), strict=True):
+        if i > here:
+            out.append((here, i, 0))
+        out.append((i, j, 1))
+        here = j
+    if here < rows:
+        out.append((here, rows, 0))
+    return out
 
 
 def relational(words: DataFrame, op: str) -> DataFrame:

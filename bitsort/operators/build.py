@@ -14,7 +14,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from bitsort.operators import roworder
-from bitsort.operators.dictionary import attach, build_dictionary
+from bitsort.operators.dictionary import attach, build_dictionary, histograms, numbered_values, ranked, typed_values
 from bitsort.plans.recovery import checkpointed
 
 KEY = ["block", "attr", "bitmap"]
@@ -65,25 +65,40 @@ class Index:
     w: int
     k: int
     allocation: str
+    #: Columns of other types than integers: their values and the numbers that stand for them.
+    typed: dict[str, DataFrame] = field(default_factory=dict)
     timings: dict[str, float] = field(default_factory=dict)
 
 
 def build_index(df: DataFrame, cols: list[str], k: int = 1, allocation: str = "reflected", row_order: str = "lex", w: int = 32, block_rows: int | None = None, timed: bool = False, **options) -> Index:
-    """Sort, number, encode and cut into words.  ``timed`` materialises each phase and notes its seconds."""
+    """Sort, number, encode and cut into words.  ``timed`` materialises each phase and notes its seconds.
+
+    Columns may have any ordered type.  Options of the dictionary: seed, frequency_desc, n_policy,
+    nulls, permute; all others go to the row order.
+    """
     if block_rows and block_rows % w:
         raise ValueError("block_rows must be a multiple of the word length")
-    df = df.select(*[F.col(c).cast("long").alias(c) for c in cols])
     clock = time.perf_counter
     t0 = clock()
-    dictionary = checkpointed(build_dictionary(df, cols, k, allocation, options.pop("seed", 0)))
+    typed = typed_values(df, cols)
+    df = numbered_values(df, cols, typed)
+    of_dictionary = {n: options.pop(n) for n in ("seed", "frequency_desc", "n_policy", "permute") if n in options}
+    nulls = options.pop("nulls", "value")
+    if nulls == "skip" and typed:
+        for c, values in typed.items():  # the number of null stands for no value
+            none = values.filter("value is null").first()
+            df = df.withColumn(c, F.when(F.col(c) != F.lit(none["number"]), F.col(c))) if none else df
+    dictionary = checkpointed(build_dictionary(df, cols, k, allocation, nulls=nulls, **of_dictionary))
     t1 = clock()
     if row_order == "reflected":
         n_bits = {c: int(r["n"]) for c, r in zip(cols, sorted(dictionary.groupBy("attr").agg(F.max("n_bits").alias("n")).collect()), strict=True)}
-        coded = df
+        coded, placed = df, positions(dictionary, options.pop("bitmap_order", None))
         for i, c in enumerate(cols):
-            part = dictionary.filter(F.col("attr") == i).select(F.col("value").alias("_v"), F.col("code").alias(f"{c}_code"))
-            coded = coded.join(part, F.col(c).eqNullSafe(F.col("_v"))).drop("_v")
-        rows = roworder.order_rows(coded, "reflected", cols, block_rows, n_bits=n_bits, **options)
+            part = placed.filter(F.col("attr") == i).select(F.col("value").alias("_v"), F.col("code").alias(f"{c}_code"))
+            coded = coded.join(part, F.col(c).eqNullSafe(F.col("_v")), "left").drop("_v").withColumn(f"{c}_code", F.coalesce(f"{c}_code", F.array().cast("array<long>")))
+        if "position" in placed.columns:
+            n_bits = dict.fromkeys(cols, 0)  # positions count through all columns already
+        rows = roworder.order_rows(coded, "reflected", cols, block_rows, n_bits=n_bits, sort_positions="position" in placed.columns, **options)
     else:
         rows = roworder.order_rows(df, row_order, cols, block_rows, **options)
     rows = checkpointed(rows.select(*cols, "row_id", "block"))
@@ -92,7 +107,15 @@ def build_index(df: DataFrame, cols: list[str], k: int = 1, allocation: str = "r
     if timed:
         words = checkpointed(words)
     t3 = clock()
-    return Index(cols, words, dictionary, block_sizes(rows, w), rows, w, k, allocation, {"dictionary_s": t1 - t0, "sort_s": t2 - t1, "index_s": t3 - t2, "total_s": t3 - t0})
+    return Index(cols, words, dictionary, block_sizes(rows, w), rows, w, k, allocation, typed, {"dictionary_s": t1 - t0, "sort_s": t2 - t1, "index_s": t3 - t2, "total_s": t3 - t0})
+
+
+def positions(dictionary: DataFrame, order: DataFrame | None) -> DataFrame:
+    """(attr, value, code): codes as places of an order of all bitmaps, (attr, bitmap, position), where one is given."""
+    if order is None:
+        return dictionary.select("attr", "value", "code")
+    own = dictionary.select("attr", "value", F.explode("code").alias("bitmap")).join(order, ["attr", "bitmap"])
+    return own.groupBy("attr", "value").agg(F.array_sort(F.collect_list("position")).alias("code")).withColumn("position", F.lit(True))
 
 
 def write_index(index: Index, path: str) -> None:
@@ -104,16 +127,37 @@ def write_index(index: Index, path: str) -> None:
     index.dictionary.write.mode("overwrite").partitionBy("attr").parquet(f"{path}/dictionary")
     index.blocks.write.mode("overwrite").parquet(f"{path}/blocks")
     index.rows.write.mode("overwrite").parquet(f"{path}/rows")
+    for c, values in index.typed.items():
+        values.write.mode("overwrite").parquet(f"{path}/values_{c}")
 
 
-def read_index(spark, path: str, cols: list[str], w: int = 32, k: int = 1, allocation: str = "reflected") -> Index:
-    return Index(cols, spark.read.parquet(f"{path}/words"), spark.read.parquet(f"{path}/dictionary"), spark.read.parquet(f"{path}/blocks"), spark.read.parquet(f"{path}/rows"), w, k, allocation)
+def read_index(spark, path: str, cols: list[str], w: int = 32, k: int = 1, allocation: str = "reflected", typed: tuple[str, ...] = ()) -> Index:
+    """``typed``: the columns that hold no integers."""
+    values = {c: spark.read.parquet(f"{path}/values_{c}") for c in typed}
+    return Index(cols, spark.read.parquet(f"{path}/words"), spark.read.parquet(f"{path}/dictionary"), spark.read.parquet(f"{path}/blocks"), spark.read.parquet(f"{path}/rows"), w, k, allocation, values)
 
 
 def append_blocks(index: Index, more: DataFrame, row_order: str = "lex") -> Index:
-    """Sort new rows on their own and add them as further blocks; unseen values need a rebuild."""
+    """Sort new rows on their own and add them as a further block.
+
+    Unseen values extend the dictionary: each gets a bitmap of its own beside the k - 1 first ones,
+    so no code changes and none is used twice.
+    """
+    typed = dict(index.typed)
+    for c, values in index.typed.items():
+        new = more.select(F.col(c).alias("value")).distinct().join(values.select(F.col("value").alias("_v")), F.col("value").eqNullSafe(F.col("_v")), "left_anti")
+        last = values.agg(F.max("number")).first()[0]
+        extra = ranked(new.select(F.lit(0).alias("attr"), "value", F.lit(1).alias("cnt"))).select("value", (F.col("rank") + F.lit(last + 1 if last is not None else 0)).alias("number"))
+        typed[c] = checkpointed(values.unionByName(extra))
+    more = numbered_values(more, index.cols, typed)
+    known = index.dictionary.groupBy("attr").agg(F.max("rank").alias("_last"), F.max("n_bits").alias("_bits"), F.max("k").alias("_k"))
+    unseen = histograms(more, index.cols).join(index.dictionary.select("attr", F.col("value").alias("_v")).withColumnRenamed("attr", "_a"), (F.col("attr") == F.col("_a")) & F.col("value").eqNullSafe(F.col("_v")), "left_anti")
+    extra = ranked(unseen).join(known, "attr").withColumn("_new", F.col("_bits") + F.col("rank") + 1)
+    ones = F.when(F.col("_k") > 1, F.sequence(F.lit(1).cast("long"), (F.col("_k") - 1).cast("long"))).otherwise(F.array().cast("array<long>"))
+    extra = extra.select("attr", "value", "cnt", (F.col("_last") + F.col("rank") + 1).alias("rank"), F.col("_new").cast("int").alias("n_bits"), F.col("_k").alias("k"), F.concat(ones, F.array(F.col("_new").cast("long"))).alias("code"))
+    dictionary = checkpointed(index.dictionary.select("attr", "value", "cnt", "rank", "n_bits", "k", "code").unionByName(extra))
     last = index.blocks.agg(F.max("block").alias("b"), F.max((F.col("first_word") + F.col("words")) * index.w).alias("r")).first()
-    rows = roworder.order_rows(more.select(*[F.col(c).cast("long").alias(c) for c in index.cols]), row_order, index.cols)
+    rows = roworder.order_rows(more, row_order, index.cols)
     rows = checkpointed(rows.withColumn("row_id", F.col("row_id") + F.lit(last["r"])).withColumn("block", F.lit(last["b"] + 1).cast("long")))
-    words = index.words.unionByName(sparse_words(attach(rows, index.cols, index.dictionary), index.cols, index.w))
-    return Index(index.cols, words, index.dictionary, index.blocks.unionByName(block_sizes(rows, index.w)), index.rows.select(*index.cols, "row_id", "block").unionByName(rows.select(*index.cols, "row_id", "block")), index.w, index.k, index.allocation)
+    words = index.words.unionByName(sparse_words(attach(rows, index.cols, dictionary), index.cols, index.w))
+    return Index(index.cols, words, dictionary, index.blocks.unionByName(block_sizes(rows, index.w)), index.rows.select(*index.cols, "row_id", "block").unionByName(rows.select(*index.cols, "row_id", "block")), index.w, index.k, index.allocation, typed)

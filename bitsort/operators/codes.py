@@ -9,7 +9,6 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterator
-from itertools import combinations
 
 import numpy as np
 import pandas as pd
@@ -103,7 +102,7 @@ def code_list(n_bits: int, k: int, count: int | None = None, scheme: str = "refl
         ranks = np.arange(total - 1, total - 1 - count, -1) if descending else np.arange(count)
         codes = [tuple(int(x) for x in row) for row in unrank(ranks, n_bits, k, scheme)]
     elif scheme == "random":
-        order = np.random.default_rng(seed).permutation(total)[:count]
+        order = keyed_permutation(np.arange(count), total, seed)
         codes = [tuple(int(x) for x in row) for row in unrank(order, n_bits, k, "numeric")]
     elif scheme == "weight_adjacent":
         codes = [c for c in _level_walk(n_bits) if len(c) == k][:count]
@@ -118,33 +117,57 @@ def code_list(n_bits: int, k: int, count: int | None = None, scheme: str = "refl
     return codes
 
 
+def _level_path(n_bits: int, level: int) -> list[tuple[int, ...]]:
+    """A path through all vectors of n_bits between two weights, level and level + 1, each visited once over all paths.
+
+    The vectors with a leading one follow a path of the shorter vectors one level down, their bits
+    exchanged so that the ends meet; the others follow the path of the same level.
+    """
+    if n_bits == 1:
+        return [(0,), (1,)] if level == 0 else []
+    if not 0 <= level < n_bits:
+        return []
+    turn = _level_exchange(n_bits - 1)
+    return [(1, *(x[i] for i in turn)) for x in _level_path(n_bits - 1, level - 1)] + [(0, *x) for x in _level_path(n_bits - 1, level)]
+
+
+def _level_exchange(n_bits: int) -> tuple[int, ...]:
+    if n_bits <= 1:
+        return (0,)
+    longer = (*_level_exchange(n_bits - 1), n_bits - 1)
+    twice = tuple(longer[i] for i in longer)
+    return (twice[-1], *twice[:-1])
+
+
 def _level_walk(n_bits: int) -> Iterator[tuple[int, ...]]:
-    """All bit vectors, weight by weight, each weight in an order whose neighbours differ in two bits."""
-    for weight in range(n_bits + 1):
-        codes = [tuple(int(x) for x in r) for r in unrank(np.arange(math.comb(n_bits, weight)), n_bits, weight, "reflected")] if weight else [()]
-        yield from codes if weight % 2 else codes[::-1]
+    """All bit vectors in a Gray code that leaves a weight for good once it has passed it by two.
+
+    Vectors of one weight, taken out of it, differ from their neighbours in two bits.
+    """
+    for level in range(n_bits):
+        path = _level_path(n_bits, level)
+        for x in path[::-1] if level % 2 else path:
+            yield tuple(i + 1 for i, bit in enumerate(x) if bit)
 
 
 def _long_run_walk(n_bits: int) -> Iterator[tuple[int, ...]]:
-    """A cyclic Gray code with balanced long runs: a stand-in that interleaves two half-size codes."""
+    """A cyclic Gray code with long runs, made from the cycles of its two halves.
+
+    Steps go through one half or the other in a fixed pattern of one period of the shorter half, an
+    odd number of them through it, as evenly mixed as can be; so every pair of places is met once.
+    """
     half = n_bits // 2
     low, high = _binary_reflected(half), _binary_reflected(n_bits - half)
+    period = len(low)
+    odd = period // 2 - 1 if period > 2 else 1
+    pattern = [(i + 1) * odd // period > i * odd // period for i in range(period)]
     i = j = 0
-    # steps alternate between the halves; a shift by one after each turn keeps all pairs apart
-    seen: set[tuple[int, ...]] = set()
-    for turn in range(2 ** (n_bits + 1)):
-        code = tuple(sorted([*low[i], *(p + half for p in high[j])]))
-        if code in seen:
-            j = (j + 1) % len(high) if turn % 2 else j
-            i = i if turn % 2 else (i + 1) % len(low)
-            continue
-        seen.add(code)
-        yield code
-        i, j = ((i + 1) % len(low), j) if turn % 2 else (i, (j + 1) % len(high))
-    for weight in range(n_bits + 1):  # what the walk has left out
-        for code in combinations(range(1, n_bits + 1), weight):
-            if code not in seen:
-                yield code
+    for step in range(len(low) * len(high)):
+        yield tuple(sorted([*low[i], *(p + half for p in high[j])]))
+        if pattern[step % period]:
+            i = (i + 1) % len(low)
+        else:
+            j = (j + 1) % len(high)
 
 
 def _binary_reflected(n_bits: int) -> list[tuple[int, ...]]:
@@ -187,21 +210,52 @@ def unrank_column(n_bits: int, k: int, scheme: str):
     return codes
 
 
-def coded(df: DataFrame, rank: str, n_values: int, k: int, scheme: str = "reflected", seed: int = 0, n_bits: int | None = None, prefix_ones: int = 0) -> DataFrame:
-    """Add ``code`` for ranks 0 .. n_values-1.  k = 1 stays native."""
+def keyed_permutation(ranks: np.ndarray, total: int, seed: int = 0) -> np.ndarray:
+    """A random-looking bijection of 0 .. total-1: a Feistel network, walked until it is back in range."""
+    half = max(1, ((total - 1).bit_length() + 1) // 2)
+    low = (1 << half) - 1
+
+    def once(x: np.ndarray) -> np.ndarray:
+        left, right = x >> half, x & low
+        for turn in range(6):
+            mixed = (right.astype(np.uint64) + np.uint64((seed * 8 + turn + 1) * 0x9E3779B97F4A7C15 % 2**64)) * np.uint64(0xBF58476D1CE4E5B9)
+            mixed ^= mixed >> np.uint64(29)
+            mixed *= np.uint64(0x94D049BB133111EB)
+            left, right = right, left ^ ((mixed >> np.uint64(32)).astype(np.int64) & low)
+        return (left << half) | right
+
+    with np.errstate(over="ignore"):
+        out = once(np.asarray(ranks, dtype=np.int64))
+        while (out >= total).any():
+            out = np.where(out >= total, once(out), out)
+    return out
+
+
+def permuted_column(total: int, seed: int):
+    """An Arrow function: the permuted ranks of a column of ranks."""
+
+    @F.pandas_udf("long")
+    def permuted(rank: pd.Series) -> pd.Series:
+        return pd.Series(keyed_permutation(rank.to_numpy(), total, seed))
+
+    return permuted
+
+
+def coded(df: DataFrame, rank: str, n_values: int, k: int, scheme: str = "reflected", seed: int = 0, n_bits: int | None = None, prefix_ones: int = 0, permute: list[int] | None = None) -> DataFrame:
+    """Add ``code`` for ranks 0 .. n_values-1.  k = 1 stays native.  ``permute``: new position of each bit."""
     n_bits = n_bits or min_bitmaps(n_values, k)
     r = F.col(rank).cast("long")
     if scheme == "random":
-        # a bijection of the ranks onto all codes: multiply by an odd-like step that shares no factor
-        total = math.comb(n_bits, k)
-        step = next(s for s in range(total * 618 // 1000 + 1 + seed, 2 * total + seed + 3) if math.gcd(s, total) == 1)
-        r, scheme = F.pmod(r * F.lit(step) + F.lit(seed), F.lit(total)), "numeric"
+        r, scheme = permuted_column(math.comb(n_bits, k), seed)(r), "numeric"
     if k == 1:
         code = F.array((F.lit(n_bits) - r).cast("long"))
     else:
         code = unrank_column(n_bits, k, scheme)(r)
     if prefix_ones:
         code = F.concat(F.array(*[F.lit(i + 1).cast("long") for i in range(prefix_ones)]), F.transform(code, lambda p: p + prefix_ones))
+    if permute:
+        table = F.array(*[F.lit(p).cast("long") for p in permute])
+        code = F.array_sort(F.transform(code, lambda p: F.element_at(table, p.cast("int"))))
     return df.withColumn("code", code)
 
 

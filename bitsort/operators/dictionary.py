@@ -13,6 +13,32 @@ from bitsort.plans.recovery import checkpointed
 BROADCAST_VALUES = 200_000
 
 
+#: Types whose values are their own numbers; columns of all other types are numbered through ``typed_values``.
+NUMBERS = ("tinyint", "smallint", "int", "bigint", "boolean")
+
+
+def typed_values(df: DataFrame, cols: list[str]) -> dict[str, DataFrame]:
+    """For each column that holds no integers: (value in its own type, number), numbers in value order, null first.
+
+    Numbers come from a range sort and counts by partition, as all ranks do.
+    """
+    kinds, out = dict(df.dtypes), {}
+    for c in cols:
+        if kinds[c] not in NUMBERS:
+            hist = df.groupBy(F.col(c).alias("value")).agg(F.count(F.lit(1)).alias("cnt")).withColumn("attr", F.lit(0))
+            out[c] = checkpointed(ranked(hist).select("value", F.col("rank").alias("number")))
+    return out
+
+
+def numbered_values(df: DataFrame, cols: list[str], typed: dict[str, DataFrame]) -> DataFrame:
+    """``cols`` of ``df`` as integers: columns of other types by their numbers, null where a value has none."""
+    for c, values in typed.items():
+        part = values.select(F.col("value").alias("_v"), F.col("number").alias("_n"))
+        part = F.broadcast(part) if values.count() <= BROADCAST_VALUES else part
+        df = df.join(part, F.col(c).eqNullSafe(F.col("_v")), "left").drop("_v", c).withColumnRenamed("_n", c)
+    return df.select(*[F.col(c).cast("long").alias(c) for c in cols])
+
+
 def melted(df: DataFrame, cols: list[str]) -> DataFrame:
     """(attr, value): one row for each row and column, as strings keep no order values stay typed by column."""
     return df.select(F.explode(F.array(*[F.struct(F.lit(i).alias("attr"), F.col(c).cast("long").alias("value")) for i, c in enumerate(cols)])).alias("s")).select("s.attr", "s.value")
@@ -50,13 +76,18 @@ def ranked(hist: DataFrame, order: str = "value", frequency_desc: bool = False,
     return out.withColumn("rank", (F.col("_before") + F.col("_at")).cast("long")).drop("_p", "_at", "_before", *cols[1:])
 
 
-def build_dictionary(df: DataFrame, cols: list[str], k: int = 1, allocation: str = "reflected", seed: int = 0, frequency_desc: bool = False, n_policy: str = "minimal") -> DataFrame:
+def build_dictionary(df: DataFrame, cols: list[str], k: int = 1, allocation: str = "reflected", seed: int = 0, frequency_desc: bool = False, n_policy: str = "minimal", nulls: str = "value", permute: dict[int, list[int]] | None = None) -> DataFrame:
     """(attr, value, cnt, rank, n_bits, k, code) of every column.
 
     allocation: numeric, reflected, random, reflected_alternating (an attribute is reversed when the
-    ones before it are odd in number) or freq_reflected (codes along (count, value)).
+    ones before it are odd in number) or freq_reflected (codes along (count, value)).  n_policy
+    "padded": never more varying bitmaps than k = 1 needs.  nulls "skip": nulls get no code.
+    permute: for an attribute, the new position of each of its bits.
     """
+    if n_policy not in ("minimal", "padded") or nulls not in ("value", "skip"):
+        raise ValueError(f"n_policy {n_policy}, nulls {nulls}")
     hist = histograms(df, cols)
+    hist = hist.filter("value is not null") if nulls == "skip" else hist
     order = "frequency" if allocation == "freq_reflected" else "value"
     ranks = checkpointed(ranked(hist, order, frequency_desc, seed))
     sizes = {r["attr"]: int(r["n"]) for r in ranks.groupBy("attr").agg(F.count(F.lit(1)).alias("n")).collect()}  # one row a column
@@ -68,7 +99,7 @@ def build_dictionary(df: DataFrame, cols: list[str], k: int = 1, allocation: str
         part = ranks.filter(F.col("attr") == i)
         code_rank = F.lit(n - 1) - F.col("rank") if allocation == "reflected_alternating" and ones % 2 else F.col("rank")
         scheme = {"numeric": "numeric", "random": "random"}.get(allocation, "reflected")
-        part = C.coded(part.withColumn("_r", code_rank), "_r", max(n, 1), own_k - prefix, scheme, seed, n_bits - prefix, prefix).drop("_r")
+        part = C.coded(part.withColumn("_r", code_rank), "_r", max(n, 1), own_k - prefix, scheme, seed, n_bits - prefix, prefix, (permute or {}).get(i)).drop("_r")
         part = part.withColumn("n_bits", F.lit(n_bits)).withColumn("k", F.lit(own_k))
         ones += own_k
         out = part if out is None else out.unionByName(part)
@@ -76,12 +107,15 @@ def build_dictionary(df: DataFrame, cols: list[str], k: int = 1, allocation: str
 
 
 def attach(rows: DataFrame, cols: list[str], dictionary: DataFrame, what: str = "code") -> DataFrame:
-    """Replace every column by its ``what`` (code or rank).  Small dictionaries are broadcast, others joined by shuffle."""
+    """Replace every column by its ``what`` (code or rank); values without one (skipped nulls) get null.
+
+    Small dictionaries are broadcast, others joined by shuffle.
+    """
     sizes = {r["attr"]: int(r["n"]) for r in dictionary.groupBy("attr").agg(F.count(F.lit(1)).alias("n")).collect()}
     for i, c in enumerate(cols):
         part = dictionary.filter(F.col("attr") == i).select(F.col("value").alias(f"_v{i}"), F.col(what).alias(f"_w{i}"))
         part = F.broadcast(part) if sizes.get(i, 0) <= BROADCAST_VALUES else part
-        rows = rows.join(part, F.col(c).cast("long").eqNullSafe(F.col(f"_v{i}"))).drop(f"_v{i}", c).withColumnRenamed(f"_w{i}", c)
+        rows = rows.join(part, F.col(c).cast("long").eqNullSafe(F.col(f"_v{i}")), "left").drop(f"_v{i}", c).withColumnRenamed(f"_w{i}", c)
     return rows
 
 

@@ -45,17 +45,41 @@ def marker_codec(w: int, clean_bits: int | None = None, extend: bool = False) ->
     return Codec(w, clean_bits, w - 1 - clean_bits, True, extend)
 
 
+#: Words that one window takes; runs over the borders of such chunks are put together afterwards.
+CHUNK_WORDS = 1 << 16
+
+
 def runs(words: DataFrame, blocks: DataFrame, w: int) -> DataFrame:
-    """(block, attr, bitmap, run, full, len, zeros, first, last_word, words): runs of equal kind, with the zero words before each."""
+    """(block, attr, bitmap, full, len, first_at, last_at, zeros, words, is_last): runs of equal kind, with the zero words before each.
+
+    No window takes a whole bitmap: runs are found chunk by chunk, and only the first and the last
+    run of each chunk meet those of its neighbours.
+    """
     sized = words.join(F.broadcast(blocks), "block") if _small(blocks) else words.join(blocks, "block")
     at = F.col("word_no") - F.col("first_word")
     rows_in = F.when(at == F.col("words") - 1, F.col("last_rows")).otherwise(F.lit(w))
-    sized = sized.filter(F.col("bits") != 0).select(*KEY, at.alias("at"), (F.col("bits") == word_mask(rows_in, w)).alias("full"), "words")
-    order = Window.partitionBy(*KEY).orderBy("at")
-    gap = F.col("at") - F.coalesce(F.lag("at").over(order), F.lit(-1)) - 1
-    new = (gap > 0) | (F.col("full") != F.coalesce(F.lag("full").over(order), ~F.col("full")))
-    marked = sized.withColumn("gap", gap).withColumn("run", F.sum(F.when(new, 1).otherwise(0)).over(order))
-    return marked.groupBy(*KEY, "run").agg(F.first("full").alias("full"), F.count(F.lit(1)).alias("len"), F.max("gap").alias("zeros"), F.max("at").alias("last_word"), F.first("words").alias("words"))
+    sized = sized.filter(F.col("bits") != 0).select(*KEY, at.alias("at"), (F.col("bits") == word_mask(rows_in, w)).alias("full"), "words").withColumn("chunk", F.floor(F.col("at") / CHUNK_WORDS))
+    part = [*KEY, "chunk"]
+    order = Window.partitionBy(*part).orderBy("at")
+    before, kind = F.lag("at").over(order), F.lag("full").over(order)
+    new = before.isNull() | (F.col("at") > before + 1) | (F.col("full") != kind)
+    marked = sized.withColumn("run", F.sum(F.when(new, 1).otherwise(0)).over(order))
+    found = marked.groupBy(*part, "run").agg(F.first("full").alias("full"), F.count(F.lit(1)).alias("len"), F.min("at").alias("first_at"), F.max("at").alias("last_at"), F.first("words").alias("words"))
+    of_chunk = Window.partitionBy(*part)
+    found = found.withColumn("begins", F.col("run") == 1).withColumn("ends", F.col("run") == F.max("run").over(of_chunk))
+    found = found.withColumn("zeros", F.col("first_at") - F.lag("last_at").over(of_chunk.orderBy("run")) - 1)
+    columns = [*KEY, "full", "len", "first_at", "last_at", "zeros", "words"]
+    inner = found.filter(~F.col("begins") & ~F.col("ends")).select(*columns, F.lit(False).alias("is_last"))
+    border = found.filter(F.col("begins") | F.col("ends"))
+    order = Window.partitionBy(*KEY).orderBy("first_at")
+    gap = F.col("first_at") - F.coalesce(F.lag("last_at").over(order), F.lit(-1)) - 1
+    joined = F.col("begins") & (gap == 0) & (F.col("full") == F.lag("full").over(order))
+    border = border.withColumn("zeros", F.when(F.col("begins"), gap).otherwise(F.col("zeros"))).withColumn("_new", F.when(F.coalesce(joined, F.lit(False)), 0).otherwise(1)).withColumn("is_last", F.lead("first_at").over(order).isNull())
+    border = border.withColumn("_run", F.sum("_new").over(order))
+    whole = border.groupBy(*KEY, "_run").agg(
+        F.first("full").alias("full"), F.sum("len").alias("len"), F.min("first_at").alias("first_at"), F.max("last_at").alias("last_at"), F.min_by("zeros", "first_at").alias("zeros"), F.first("words").alias("words"), F.max("is_last").alias("is_last")
+    )
+    return inner.unionByName(whole.select(*columns, "is_last"))
 
 
 def _small(blocks: DataFrame) -> bool:
@@ -77,8 +101,7 @@ def clean_words(length: Column, codec: Codec) -> Column:
 def bitmap_sizes(words: DataFrame, blocks: DataFrame, codec: Codec) -> DataFrame:
     """Per (block, attr, bitmap): dirty, clean_runs, storage_cost, markers, words (compressed), overruns, ones-runs."""
     r = runs(words, blocks, codec.w)
-    last = Window.partitionBy(*KEY)
-    r = r.withColumn("tail", F.when(F.col("run") == F.max("run").over(last), F.col("words") - 1 - F.col("last_word")).otherwise(0))
+    r = r.withColumn("tail", F.when(F.col("is_last"), F.col("words") - 1 - F.col("last_at")).otherwise(0))
     clean = F.col("zeros") > 0
     per_run = r.select(
         *KEY,
@@ -90,7 +113,7 @@ def bitmap_sizes(words: DataFrame, blocks: DataFrame, codec: Codec) -> DataFrame
             + F.when(F.col("tail") > 0, clean_words(F.col("tail"), codec)).otherwise(0)
             + (
                 # a dirty run shares the marker of the clean run before it; one that starts the stream has its own
-                F.when(~F.col("full"), F.greatest(_ceil(F.col("len"), codec.dirty_max) - 1, F.lit(0)) + ((F.col("run") == 1) & ~clean).cast("long")).otherwise(0)
+                F.when(~F.col("full"), F.greatest(_ceil(F.col("len"), codec.dirty_max) - 1, F.lit(0)) + (F.col("first_at") == 0).cast("long")).otherwise(0)
                 if codec.markers
                 else F.lit(0)
             )
@@ -117,6 +140,40 @@ def total_sizes(index: Index, codec: Codec | None = None) -> DataFrame:
     return t.withColumn("clean_share", F.round(F.col("markers") / F.col("compressed"), 6)).withColumn("overrun_share", F.round(F.col("overruns") / F.col("markers"), 6))
 
 
+def size_ratio(sizes: DataFrame, base: str, key: list[str], method: str = "method", size: str = "compressed") -> DataFrame:
+    """Add ``ratio``: every size over that of the method ``base`` with the same key."""
+    own = sizes.filter(F.col(method) == base).select(*key, F.col(size).alias("_base"))
+    return sizes.join(own, key, "left").withColumn("ratio", F.round(F.col(size) / F.col("_base"), 6)).drop("_base")
+
+
+def uncompressed_words(index: Index) -> DataFrame:
+    """(attr, words): words of the index without compression, every bitmap whole."""
+    every = index.blocks.agg(F.sum("words").alias("_n"))
+    bitmaps = index.dictionary.groupBy("attr").agg(F.max("n_bits").cast("long").alias("bitmaps"))
+    return bitmaps.join(F.broadcast(every)).select("attr", "bitmaps", (F.col("bitmaps") * F.col("_n")).alias("words"))
+
+
+def code_hamming_cost(index: Index) -> DataFrame:
+    """(attr, changes): bits that change between neighbouring rows, from the words alone.
+
+    A bitmap changes within its words and where one word's last bit differs from the next one's
+    first; words that are not there are zero.
+    """
+    first, top = F.col("bits").bitwiseAND(F.lit(1)), F.shiftrightunsigned("bits", index.w - 1).bitwiseAND(F.lit(1).cast("long"))
+    shifted = F.shiftrightunsigned("bits", 1)
+    low = F.lit((1 << (index.w - 1)) - 1).cast("long")
+    sized = index.words.filter("bits <> 0").join(index.blocks, "block")
+    at = F.col("word_no") - F.col("first_word")
+    inside_rows = F.when(at == F.col("words") - 1, F.col("last_rows")).otherwise(F.lit(index.w))
+    mask = F.when(inside_rows >= index.w, low).otherwise(F.call_function("shiftleft", F.lit(1).cast("long"), (inside_rows - 1).cast("int")) - 1).cast("long")
+    inner = F.bit_count(F.col("bits").bitwiseXOR(shifted).bitwiseAND(mask))
+    own = sized.select(*KEY, at.alias("at"), first.alias("head"), F.when(at == F.col("words") - 1, F.lit(0)).otherwise(top).cast("long").alias("tail"), inner.alias("inner"), (at == F.col("words") - 1).alias("ends"))
+    ahead = own.select(*KEY, (F.col("at") + 1).alias("at"), F.col("tail").alias("_tail"))
+    met = own.join(ahead, [*KEY, "at"], "full_outer")
+    border = F.when(F.col("at") == 0, 0).otherwise(F.coalesce("head", F.lit(0)).bitwiseXOR(F.coalesce("_tail", F.lit(0))))
+    return met.groupBy("attr").agg((F.sum(F.coalesce("inner", F.lit(0))) + F.sum(border)).cast("long").alias("changes"))
+
+
 def density(words: DataFrame, n_rows: int) -> DataFrame:
     """(attr, bitmap, ones, density) and so the order of bitmaps by weight."""
     return words.groupBy("attr", "bitmap").agg(F.sum(F.bit_count("bits")).cast("long").alias("ones")).withColumn("density", F.col("ones") / F.lit(n_rows))

@@ -52,17 +52,30 @@ def between(col: str, lo: int, hi: int) -> Pred:
     return Pred("between", col, (lo, hi))
 
 
+#: Up to so many bitmaps of a predicate are named in the scan's filter, so that row groups are skipped.
+NAMED_BITMAPS = 2_000
+
+
+def selected(index: Index, p: Pred) -> DataFrame:
+    """The dictionary rows of a predicate's values, compared in the column's own type."""
+    d = index.dictionary.filter(F.col("attr") == index.cols.index(p.col))
+    test = lambda c: F.col(c).between(*p.values) if p.op == "between" else F.col(c).isin(list(p.values))
+    if p.col not in index.typed:
+        return d.filter(test("value"))
+    return d.join(index.typed[p.col].filter(test("value")).select(F.col("number").alias("value")), "value", "left_semi")
+
+
+def column_words(index: Index, p: Pred, codes: DataFrame) -> DataFrame:
+    """The words of a column, of few bitmaps only where the predicate has few."""
+    words = index.words.filter(F.col("attr") == index.cols.index(p.col)).select("block", "bitmap", "word_no", "bits")
+    named = [r[0] for r in codes.select("bitmap").distinct().limit(NAMED_BITMAPS + 1).collect()]
+    return words.filter(F.col("bitmap").isin(named)) if len(named) <= NAMED_BITMAPS else words
+
+
 def value_words(index: Index, p: Pred) -> DataFrame:
     """Words of the rows whose column has one of the values: AND of k bitmaps, then OR of the values."""
-    attr = index.cols.index(p.col)
-    d = index.dictionary.filter(F.col("attr") == attr)
-    if p.op == "between":
-        d = d.filter(F.col("value").between(*p.values))
-    else:
-        d = d.filter(F.col("value").isin(list(p.values)))
-    codes = d.select("value", F.size("code").alias("k"), F.explode("code").alias("bitmap"))
-    words = index.words.filter(F.col("attr") == attr).select("block", "bitmap", "word_no", "bits")
-    hit = words.join(codes, "bitmap")
+    codes = selected(index, p).select("value", F.size("code").alias("k"), F.explode("code").alias("bitmap"))
+    hit = column_words(index, p, codes).join(codes, "bitmap")
     # a word is in a value's answer only if all its k bitmaps have it
     per_value = hit.groupBy("block", "word_no", "value").agg(F.bit_and("bits").alias("bits"), F.count(F.lit(1)).alias("n"), F.first("k").alias("k"))
     return per_value.filter((F.col("n") == F.col("k")) & (F.col("bits") != 0)).groupBy(*WORD).agg(F.bit_or("bits").alias("bits"))
@@ -100,22 +113,42 @@ def answer(index: Index, p: Pred) -> DataFrame:
     raise ValueError(p.op)
 
 
-def symmetric(index: Index, preds: list[Pred], test: str, t: int = 0, inverted: list[bool] | None = None) -> DataFrame:
-    """Rows for which the number of true predicates passes a test: at_least, exactly, majority, parity, all_equal.
+def symmetric_words(index: Index, preds: list[Pred], test: str, t: int = 0, inverted: list[bool] | None = None) -> DataFrame:
+    """Answer words of the rows for which the number of true predicates passes a test: at_least, exactly, majority, parity, all_equal.
 
-    Bit by bit from the answers' words; rows where none is true count zero.
+    The answers' words are added bit by bit into binary counters, one word a digit; no row is touched.
     """
     inverted = inverted or [False] * len(preds)
     parts = [answer(index, ~p if flip else p) for p, flip in zip(preds, inverted, strict=True)]
-    bits = reduce(DataFrame.unionByName, [p.select("block", F.explode(row_bits(index.w, "word_no", "bits")).alias("row_id")) for p in parts])
-    counted = bits.groupBy("block", "row_id").agg(F.count(F.lit(1)).alias("n"))
-    n = len(preds)
-    test_of = {"at_least": F.col("n") >= t, "exactly": F.col("n") == t, "majority": F.col("n") * 2 > n, "parity": F.col("n") % 2 == 1, "all_equal": F.col("n") == n}[test]
-    if test == "all_equal" or (test in ("exactly", "at_least") and t == 0):
-        rows = all_words(index).select("block", F.explode(row_bits(index.w, "word_no", "bits")).alias("row_id"))
-        counted = rows.join(counted, ["block", "row_id"], "left").withColumn("n", F.coalesce("n", F.lit(0)))
-        test_of = (test_of | (F.col("n") == 0)) if test == "all_equal" else test_of
-    return counted.filter(test_of).select("row_id")
+    n = len(parts)
+    at_zero = test == "all_equal" or (test in ("exactly", "at_least") and t == 0)
+    tagged = [p.select(*WORD, F.lit(i).alias("i"), "bits") for i, p in enumerate(parts)]
+    # where no predicate holds at all there is no word; tests that pass at zero need every word
+    tagged += [all_words(index).select(*WORD, F.lit(n).alias("i"), "bits")] if at_zero else []
+    words = reduce(DataFrame.unionByName, tagged).groupBy(*WORD).agg(*[F.coalesce(F.max(F.when(F.col("i") == i, F.col("bits"))), F.lit(0).cast("long")).alias(f"_b{i}") for i in range(n + at_zero)])
+    digits = n.bit_length()
+    words = words.select("*", *[F.lit(0).cast("long").alias(f"_d{d}") for d in range(digits)])
+    for i in range(n):  # add one answer: the carry ripples through the digits
+        carry = F.col(f"_b{i}")
+        summed = []
+        for d in range(digits):
+            summed.append(F.col(f"_d{d}").bitwiseXOR(carry).alias(f"_d{d}"))
+            carry = F.col(f"_d{d}").bitwiseAND(carry)
+        words = words.select(*[c for c in words.columns if not c.startswith("_d")], *summed)
+
+    def counts(c: int):
+        each = [F.col(f"_d{d}") if c >> d & 1 else F.bitwise_not(F.col(f"_d{d}")) for d in range(digits)]
+        return reduce(lambda x, y: x.bitwiseAND(y), each)
+
+    wanted = {"at_least": range(t, n + 1), "exactly": [t], "majority": range(n // 2 + 1, n + 1), "parity": range(1, n + 1, 2), "all_equal": [0, n]}[test]
+    bits = reduce(lambda x, y: x.bitwiseOR(y), [counts(c) for c in wanted if 0 <= c <= n], F.lit(0).cast("long"))
+    bits = bits.bitwiseAND(F.col(f"_b{n}")) if at_zero else bits
+    return words.select(*WORD, bits.alias("bits")).filter("bits <> 0")
+
+
+def symmetric(index: Index, preds: list[Pred], test: str, t: int = 0, inverted: list[bool] | None = None) -> DataFrame:
+    """The same as row ids."""
+    return symmetric_words(index, preds, test, t, inverted).select(F.explode(row_bits(index.w, "word_no", "bits")).alias("row_id"))
 
 
 def row_bits(w: int, word_no: str, bits: str):
@@ -139,7 +172,10 @@ def count(index: Index, p: Pred) -> DataFrame:
 
 def matching_rows(index: Index, p: Pred) -> DataFrame:
     """The rows themselves, read by block and row number."""
-    return index.rows.join(row_ids(index, p), "row_id", "left_semi")
+    rows = index.rows.join(row_ids(index, p), "row_id", "left_semi")
+    for c, values in index.typed.items():
+        rows = rows.join(values.select(F.col("number").alias(c), F.col("value").alias("_v")), c, "left").drop(c).withColumnRenamed("_v", c)
+    return rows
 
 
 def load_only(index: Index, p: Pred) -> DataFrame:
@@ -151,10 +187,8 @@ def load_only(index: Index, p: Pred) -> DataFrame:
         todo += q.children
     parts = []
     for q in leaves:
-        attr = index.cols.index(q.col)
-        d = index.dictionary.filter(F.col("attr") == attr)
-        d = d.filter(F.col("value").between(*q.values) if q.op == "between" else F.col("value").isin(list(q.values)))
-        parts.append(index.words.filter(F.col("attr") == attr).join(d.select(F.explode("code").alias("bitmap")).distinct(), "bitmap", "left_semi").select("bits"))
+        codes = selected(index, q).select(F.explode("code").alias("bitmap")).distinct()
+        parts.append(column_words(index, q, codes).join(codes, "bitmap", "left_semi").select("bits"))
     return reduce(DataFrame.unionByName, parts).agg(F.count(F.lit(1)).alias("words"))
 
 
@@ -166,6 +200,40 @@ def counts_by_value(index: Index, col: str) -> DataFrame:
     return d.join(sizes, "bitmap").select("value", "rows")
 
 
+def _asked(index: Index, queries: DataFrame) -> DataFrame:
+    """(qid, attr, value, k, bitmap): the bitmaps that queries (qid, attr, lo, hi) need."""
+    values = index.dictionary.select("attr", "value", F.size("code").alias("k"), "code")
+    return values.join(F.broadcast(queries), "attr").filter(F.col("value").between(F.col("lo"), F.col("hi"))).select("qid", "attr", "value", "k", F.explode("code").alias("bitmap"))
+
+
+def batch_load(index: Index, queries: DataFrame) -> DataFrame:
+    """(qid, words): how many words each query's bitmaps have; nothing is combined."""
+    asked = _asked(index, queries).select("qid", "attr", "bitmap").distinct()
+    return index.words.select("attr", "bitmap", "bits").join(asked, ["attr", "bitmap"]).groupBy("qid").agg(F.count("bits").alias("words"))
+
+
+def batch_counts(index: Index, queries: DataFrame) -> DataFrame:
+    """(qid, rows): conjunctions of ranges, (qid, attr, lo, hi), all answered in one pass over the words they need.
+
+    An equality is a range of one value.  ``queries`` is a small table; its size is the caller's.
+    """
+    per_value = index.words.join(_asked(index, queries), ["attr", "bitmap"]).groupBy("qid", "attr", "value", *WORD).agg(F.bit_and("bits").alias("bits"), F.count(F.lit(1)).alias("n"), F.first("k").alias("k"))
+    per_column = per_value.filter("n = k and bits <> 0").groupBy("qid", "attr", *WORD).agg(F.bit_or("bits").alias("bits"))
+    wanted = queries.groupBy("qid").agg(F.count_distinct("attr").alias("_all"))
+    per_word = per_column.groupBy("qid", *WORD).agg(F.bit_and("bits").alias("bits"), F.count(F.lit(1)).alias("_n")).join(F.broadcast(wanted), "qid")
+    hits = per_word.filter("_n = _all").groupBy("qid").agg(F.sum(F.bit_count("bits")).cast("long").alias("rows"))
+    return wanted.select("qid").join(hits, "qid", "left").select("qid", F.coalesce("rows", F.lit(0).cast("long")).alias("rows"))
+
+
+def batch_postings(lists: DataFrame, queries: DataFrame) -> DataFrame:
+    """The same from row-id lists: union within a column, intersection across columns."""
+    own = lists.join(F.broadcast(queries), "attr").filter(F.col("value").between(F.col("lo"), F.col("hi"))).select("qid", "attr", "row_id").distinct()
+    wanted = queries.groupBy("qid").agg(F.count_distinct("attr").alias("_all"))
+    met = own.groupBy("qid", "row_id").agg(F.count(F.lit(1)).alias("_n")).join(F.broadcast(wanted), "qid").filter("_n = _all")
+    hits = met.groupBy("qid").agg(F.count(F.lit(1)).alias("rows"))
+    return wanted.select("qid").join(hits, "qid", "left").select("qid", F.coalesce("rows", F.lit(0).cast("long")).alias("rows"))
+
+
 # --- baselines -----------------------------------------------------------------------------------
 
 

@@ -38,7 +38,7 @@ def _counted(df: DataFrame, cols: list[str]) -> DataFrame:
     return df
 
 
-def order_keys(df: DataFrame, how: str, cols: list[str], seed: int = 0, blocks: int = 1, rows: int | None = None, codes: dict[str, str] | None = None, n_bits: dict[str, int] | None = None, natural: list[str] | None = None, ties: str = "freq_vector", permutation: dict[int, int] | None = None) -> tuple[DataFrame, list[Column]]:
+def order_keys(df: DataFrame, how: str, cols: list[str], seed: int = 0, blocks: int = 1, rows: int | None = None, codes: dict[str, str] | None = None, n_bits: dict[str, int] | None = None, natural: list[str] | None = None, ties: str = "freq_vector", sort_positions: bool = False) -> tuple[DataFrame, list[Column]]:
     """The frame (with helper columns) and the keys of an order.
 
     how: shuffle, natural, lex, cluster, blocks, reflected, freq_lex, rarest_first.
@@ -64,9 +64,7 @@ def order_keys(df: DataFrame, how: str, cols: list[str], seed: int = 0, blocks:
             shifted.append(F.transform(F.col((codes or {}).get(c, f"{c}_code")), _shift(before)))
             before += (n_bits or {})[c]
         key = F.concat(*shifted)
-        if permutation is not None:
-            table = F.array(*[F.lit(permutation[i + 1]).cast("long") for i in range(before)])
-            key = F.array_sort(F.transform(key, lambda p: F.element_at(table, p.cast("int"))))
+        key = F.array_sort(key) if sort_positions else key
         return df, [reflected_key(key), *plain]
     if how == "freq_lex":
         return _counted(df, cols), [x for i, c in enumerate(cols) for x in (F.col(f"_f{i}"), F.col(c))]
@@ -106,6 +104,21 @@ def order_rows(df: DataFrame, how: str, cols: list[str], block_rows: int | None
     return number_rows(df, *order_keys(df, how, cols, **options), block_rows=block_rows)
 
 
+def bitmap_positions(dictionary: DataFrame, words: DataFrame, n_rows: int, how: str, w: int = 32) -> DataFrame:
+    """(attr, bitmap, position): all bitmaps of an index in one order, for the reflected row order.
+
+    IF incompressible first, MSF moderately sparse first, SF sparse first, set_bits, interleaved (the
+    first bitmap of every column, then the second ones), natural (column after column).
+    """
+    every = dictionary.select("attr", F.explode("code").alias("bitmap")).distinct()
+    ones = words.groupBy("attr", "bitmap").agg(F.sum(F.bit_count("bits")).cast("double").alias("_ones"))
+    d = F.coalesce("_ones", F.lit(0.0)) / F.lit(float(max(n_rows, 1)))
+    key = {"IF": F.abs(d - 0.5), "MSF": -F.least(d, (1 - d) / (4 * w - 1)), "SF": d, "set_bits": d, "interleaved": F.col("bitmap").cast("double"), "natural": F.col("attr").cast("double")}[how]
+    every = every.join(ones, ["attr", "bitmap"], "left").withColumn("_key", key).select("attr", "bitmap", "_key")
+    placed = number_rows(every, every, [F.col("_key"), F.col("attr"), F.col("bitmap")], "position")
+    return placed.select("attr", "bitmap", (F.col("position") + 1).alias("position"))
+
+
 # --- driver-side orders of a few rows, for comparison and tests ---------------------------------
 
 

@@ -100,6 +100,12 @@ def bitmap_order(densities: list[float], how: str, sizes: list[int] | None = Non
     raise ValueError(how)
 
 
+def skew(counts: list[int]) -> float:
+    """How skewed a histogram is: the share of rows that two random ones agree on, sum of squared frequencies."""
+    n = sum(counts)
+    return sum((c / n) ** 2 for c in counts) if n else 0.0
+
+
 def advise(n: int, cardinalities: list[int], goal: str = "queries") -> dict[str, object]:
     """Which k, allocation and column order to take: unary where queries matter or values are few against rows."""
     few = sum(cardinalities) * 50 < n

@@ -12,6 +12,7 @@ FIXTURE_SQL = {
     "rating4": "SELECT substr(o_orderpriority,1,1)::BIGINT AS prio, datediff('day', DATE '1970-01-01', o_orderdate::DATE)::BIGINT AS day, o_custkey::BIGINT AS cust, l_partkey::BIGINT AS part FROM lineitem JOIN orders ON l_orderkey=o_orderkey",
     "rating3": "SELECT substr(o_orderpriority,1,1)::BIGINT AS prio, datediff('day', DATE '1970-01-01', o_orderdate::DATE)::BIGINT AS day, l_partkey::BIGINT AS part FROM lineitem JOIN orders ON l_orderkey=o_orderkey",
     "corr3": "SELECT datediff('day', DATE '1970-01-01', o_orderdate::DATE)::BIGINT AS day, datediff('day', DATE '1970-01-01', l_shipdate::DATE)::BIGINT AS ship, ascii(o_orderstatus)::BIGINT AS status FROM lineitem JOIN orders ON l_orderkey=o_orderkey",
+    "gram4": "SELECT " + ", ".join(f"dense_rank() OVER (ORDER BY w[i + {k}]) - 1 AS w{k + 1}" for k in range(4)) + " FROM (SELECT w, unnest(range(1, len(w) - 2)) AS i FROM (SELECT [regexp_replace(x, '(ing|ed|es|s)$', '') for x in regexp_split_to_array(lower(text), '[^\\p{L}]+') if length(x) > 3] AS w FROM documents) WHERE len(w) >= 4)",
 }
 
 
@@ -67,7 +68,8 @@ def totals_sql(numbered: str, cols: list[str], w: int = 32, head: str = "", mark
     """One row of totals, ``head`` before them."""
     return f"""WITH {per_bitmap_ctes(numbered, cols, w, clean_bits, markers)}
 SELECT {head} count(*)::BIGINT AS bitmaps, sum(dirty)::BIGINT AS dirty, sum(clean_runs)::BIGINT AS clean_runs, sum(dirty + clean_runs)::BIGINT AS storage_cost,
-  sum(markers)::BIGINT AS markers, sum(dirty + markers)::BIGINT AS compressed, sum(overruns)::BIGINT AS overruns FROM per_bitmap"""
+  sum(markers)::BIGINT AS markers, sum(dirty + markers)::BIGINT AS compressed, sum(overruns)::BIGINT AS overruns,
+  round(sum(markers)::DOUBLE / sum(dirty + markers), 6) AS clean_share, round(sum(overruns)::DOUBLE / sum(markers), 6) AS overrun_share FROM per_bitmap"""
 
 
 def attributes_sql(numbered: str, cols: list[str], w: int = 32, head: str = "") -> str:

@@ -5,6 +5,8 @@ Everything runs over whole tables.  Sizes come from the closed formula, so no pa
 
 from __future__ import annotations
 
+import datetime
+import time
 from collections.abc import Callable
 from functools import reduce
 from itertools import permutations
@@ -14,13 +16,13 @@ from pyspark.sql import functions as F
 
 from bitsort.operators import aggregate, build, codecs, codes, dictionary, measure, query, relational, roworder, theory
 from bitsort.plans import oracles as O
-from bitsort.plans.recovery import checkpointed
+from bitsort.plans.recovery import checkpointed, shared_folder
 from bitsort.sources import tables as S
 from bitsort.streaming import events as stream_events
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
-TOTALS = ["bitmaps", "dirty", "clean_runs", "storage_cost", "markers", "compressed", "overruns"]
+TOTALS = ["bitmaps", "dirty", "clean_runs", "storage_cost", "markers", "compressed", "overruns", "clean_share", "overrun_share"]
 #: Sort orders: by descending cardinality ("4321"); for the event table "3214".
 SORTED_BY = {"line4": ["part", "ship", "disc", "ln"], "line3": ["part", "disc", "ln"], "event4": ["usr", "hour", "k", "val"], "rating4": ["part", "cust", "day", "prio"], "rating3": ["part", "day", "prio"], "corr3": ["day", "ship", "status"], "gram4": ["w1", "w2", "w3", "w4"]}
 
@@ -194,12 +196,12 @@ def _allocations(name: str):
             for allocation, how in (("numeric", "shuffle"), ("random", "lex"), ("numeric", "lex"), ("reflected", "lex"), ("reflected_alternating", "lex"), ("freq_reflected", "freq_lex")):
                 label = "unsorted" if how == "shuffle" else allocation
                 out.append(tagged(measure.total_sizes(build.build_index(df, cols, k, allocation, how, 32)).select("compressed"), fixture=name, k=k, method=label))
-        return union(out)
+        return measure.size_ratio(checkpointed(union(out)), "unsorted", ["fixture", "k"])
 
     return run
 
 
-for _f in ("line4", "event4"):
+for _f in ("line4", "event4", "rating4"):
     QUERIES[f"allocations_{_f}"] = _allocations(_f)
 
 
@@ -207,7 +209,7 @@ for _f in ("line4", "event4"):
 def rarest_first_order(spark, sf_dir):
     df, _ = S.fixture(spark, sf_dir, "event4")
     df, cols = checkpointed(df), SORTED_BY["event4"]
-    return union([tagged(measure.total_sizes(build.build_index(df, cols, k, "reflected", "rarest_first", 32, ties=t)).select("compressed"), k=k, ties=t) for k in (1, 2) for t in ("freq_vector", "pairwise")])
+    return union([tagged(measure.total_sizes(build.build_index(df, cols, k, "reflected", "rarest_first", 32, ties=t)).select("compressed"), k=k, ties=t) for k in (1, 2, 3, 4) for t in ("freq_vector", "pairwise")])
 
 
 def _column_orders(name: str, k: int):
@@ -227,6 +229,9 @@ def _column_orders(name: str, k: int):
 
 QUERIES["column_orders_line3_k1"] = _column_orders("line3", 1)
 QUERIES["column_orders_line3_k2"] = _column_orders("line3", 2)
+for _f in ("line4", "event4"):
+    QUERIES[f"column_orders_{_f}_k1"] = _column_orders(_f, 1)
+QUERIES["column_orders_line4_k2"] = _column_orders("line4", 2)
 for _p in permutations(range(3)):
     _o = [S.FIXTURES["line3"][1][i] for i in _p]
     _size_query("column_order_line3_" + "".join(str(i + 1) for i in _p), "line3", cols=_o)
@@ -245,69 +250,114 @@ def equivalent_reflected_order(spark, sf_dir):
     return union(out)
 
 
-@query_of("bitmap_permutations")
-def bitmap_permutations(spark, sf_dir):
+def _bitmap_permutations(name: str, ks: tuple[int, ...]):
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        """Rows sorted by the reflected order of all bitmaps, these in several orders, beside the picked column order."""
+        df, cols = S.fixture(spark, sf_dir, name)
+        df, out = checkpointed(df), []
+        n, cards = df.count(), dictionary.cardinalities(df, cols)
+        for k in ks:
+            picked = [cols[i] for i in theory.column_order(cards, "density", k)]
+            out.append(tagged(measure.total_sizes(build.build_index(df, picked, k, "reflected", "lex", 32)).select("compressed"), fixture=name, k=k, method="column_order"))
+            plain = build.build_index(df, cols, k, "reflected", "shuffle", 32)
+            for how in ("IF", "MSF", "SF", "interleaved", "natural"):
+                order = roworder.bitmap_positions(plain.dictionary, plain.words, n, how)
+                sized = build.build_index(df, cols, k, "reflected", "reflected", 32, bitmap_order=order)
+                out.append(tagged(measure.total_sizes(sized).select("compressed"), fixture=name, k=k, method=how))
+        return measure.size_ratio(checkpointed(union(out)), "column_order", ["fixture", "k"])
+
+    return run
+
+
+QUERIES["bitmap_permutations"] = _bitmap_permutations("line3", (1, 2))
+QUERIES["bitmap_permutations_line4"] = _bitmap_permutations("line4", (1, 2, 3, 4))
+
+
+@query_of("component_allocations")
+def component_allocations(spark, sf_dir):
+    """Columns as mixed-radix digits, one unary attribute each, under the allocations; beside k-of-N codes."""
     df, _ = S.fixture(spark, sf_dir, "line3")
-    df, cols, n = checkpointed(df), ["ln", "disc"], 0
-    n = df.count()
-    out = []
-    for k in (1, 2):
-        index = build.build_index(df, cols, k, "reflected", "shuffle", 32)
-        bits = {int(r["attr"]): int(r["n"]) for r in index.dictionary.groupBy("attr").agg(F.max("n_bits").alias("n")).collect()}
-        shift = {a: sum(bits[b] for b in range(a)) for a in bits}
-        dens = {shift[r["attr"]] + int(r["bitmap"]): r["density"] for r in measure.density(index.words, n).collect()}
-        flat = [dens.get(p, 0.0) for p in range(1, sum(bits.values()) + 1)]
-        for how in ("IF", "MSF", "SF"):
-            order = theory.bitmap_order(flat, how)
-            permutation = {old + 1: new + 1 for new, old in enumerate(order)}
-            sized = build.build_index(df, cols, k, "reflected", "reflected", 32, permutation=permutation)
-            out.append(tagged(measure.total_sizes(sized).select("compressed"), k=k, heuristic=how))
+    df, cols, out = checkpointed(df), ["part", "disc", "ln"], []
+    for kappa in (1, 2, 3):
+        own, digits = df, []
+        for c, n in zip(cols, dictionary.cardinalities(df, cols), strict=True):
+            radices = codes.balanced_radices(n, codes.cap_k(n, kappa))
+            own = dictionary.encode_components(own, c, radices)
+            digits += [f"{c}_d{i}" for i in reversed(range(len(radices)))]
+        own = checkpointed(own.select(*cols, *digits))
+        for allocation in ("numeric", "reflected_alternating", "reflected"):
+            out.append(tagged(measure.total_sizes(build.build_index(own, digits, 1, allocation, "lex", 32)).select("bitmaps", "compressed"), kappa=kappa, encoding="components", allocation=allocation))
+        out.append(tagged(measure.total_sizes(build.build_index(own, cols, kappa, "reflected", "lex", 32)).select("bitmaps", "compressed"), kappa=kappa, encoding="k_of_n", allocation="reflected"))
     return union(out)
 
 
-# --- synthetic studies ---------------------------------------------------------------------------
-@query_of("synthetic_uniform_orders")
-def synthetic_uniform_orders(spark, sf_dir):
-    df = checkpointed(S.uniform(spark, [200, 400, 600, 800]))
+@query_of("measured_savings")
+def measured_savings(spark, sf_dir):
+    """Storage cost saved by sorting a single column, beside the model's figure."""
     out = []
-    for p in ((1, 2, 3, 4), (4, 3, 2, 1)):
+    for c in (2, 100, 1245, 5000, 20000):
+        df = checkpointed(S.uniform(spark, [c]))
         for k in (1, 2):
-            out.append(tagged(measure.total_sizes(build.build_index(df, [f"c{i}" for i in p], k, "reflected", "lex", 32)).select("compressed"), columns="".join(map(str, p)), k=k))
+            cost = [measure.total_sizes(build.build_index(df, ["c1"], k, "reflected", how, 32)).select(F.col("storage_cost").alias(how)) for how in ("shuffle", "lex")]
+            out.append(cost[0].join(cost[1]).select(F.lit(c).alias("card"), F.lit(k).alias("k"), (F.col("shuffle") - F.col("lex")).alias("saving"), F.lit(round(theory.saving_model(100_000, c, codes.cap_k(c, k)), 3)).alias("model")))
     return union(out)
 
 
-@query_of("synthetic_skewed_orders")
-def synthetic_skewed_orders(spark, sf_dir):
-    df = checkpointed(S.zipf(spark, [1.6, 1.2, 0.8, 0.4]))
-    out = []
-    for p in ((1, 2, 3, 4), (4, 3, 2, 1)):
-        for k in (1, 2):
-            out.append(tagged(measure.total_sizes(build.build_index(df, [f"c{i}" for i in p], k, "reflected", "lex", 32)).select("compressed"), columns="".join(map(str, p)), k=k))
-    return union(out)
+# --- synthetic studies ---------------------------------------------------------------------------
+def _synthetic_orders(make: Callable[[SparkSession], DataFrame], k: int):
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        """All 24 column orders."""
+        df = checkpointed(make(spark))
+        return union([tagged(measure.total_sizes(build.build_index(df, [f"c{i}" for i in p], k, "reflected", "lex", 32)).select("compressed"), columns="".join(map(str, p)), k=k) for p in permutations((1, 2, 3, 4))])
 
+    return run
 
-@query_of("zipf_dimensions")
-def zipf_dimensions(spark, sf_dir):
-    out = []
-    for d in (1, 2, 4):
-        df = checkpointed(S.zipf(spark, [1.0] * d))
-        cols = [f"c{i + 1}" for i in range(d)]
-        for k in (1, 2):
+
+for _k in (1, 2):
+    QUERIES[f"synthetic_uniform_orders_k{_k}"] = _synthetic_orders(lambda spark: S.uniform(spark, [200, 400, 600, 800]), _k)
+    QUERIES[f"synthetic_skewed_orders_k{_k}"] = _synthetic_orders(lambda spark: S.zipf(spark, [1.6, 1.2, 0.8, 0.4]), _k)
+
+
+def _zipf_dimensions(k: int):
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        out = []
+        for d in (1, 2, 3, 4, 5, 6):
+            df = checkpointed(S.zipf(spark, [1.0] * d))
+            cols = [f"c{i + 1}" for i in range(d)]
             for method, allocation, how in (("shuffled", "numeric", "shuffle"), ("numeric", "numeric", "lex"), ("reflected", "reflected", "lex")):
                 out.append(tagged(measure.total_sizes(build.build_index(df, cols, k, allocation, how, 32)).select("compressed"), d=d, k=k, method=method))
-    return union(out)
+        return measure.size_ratio(checkpointed(union(out)), "shuffled", ["d", "k"])
 
+    return run
 
-@query_of("growth_gram4")
-def growth_gram4(spark, sf_dir):
-    """Sizes of prefixes of the shuffled table, sorted and not."""
-    df, cols = S.fixture(spark, sf_dir, "gram4")
-    numbered = roworder.order_rows(df, "shuffle", cols)
-    n, out = numbered.count(), []
-    for f in (25, 50, 75, 100):
-        part = numbered.filter(F.col("row_id") < n * f // 100).select(*cols)
-        out += [tagged(measure.total_sizes(build.build_index(part, cols, 1, "numeric", how, 32)).select("compressed"), percent=f, row_order=how) for how in ("lex", "shuffle")]
-    return union(out)
+
+for _k in (1, 2, 3, 4):
+    QUERIES[f"zipf_dimensions_k{_k}"] = _zipf_dimensions(_k)
+
+
+def _growth(how: str):
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        """Sizes of ten growing parts of the shuffled table, sorted or not."""
+        df, cols = S.fixture(spark, sf_dir, "gram4")
+        numbered = roworder.order_rows(df, "shuffle", cols)
+        n = numbered.count()
+        return union([tagged(measure.total_sizes(build.build_index(numbered.filter(F.col("row_id") < n * f // 100).select(*cols), cols, 1, "numeric", how, 32)).select("compressed"), percent=f, row_order=how) for f in range(10, 101, 10)])
+
+    return run
+
+
+def _growth_sql(how: str) -> str:
+    cols, parts = SORTED_BY["gram4"], []
+    shuffled = f"SELECT *, count(*) OVER () AS n FROM ({O.numbered_sql(O.FIXTURE_SQL['gram4'], cols, 'shuffle')})"
+    for f in range(10, 101, 10):
+        own = f"SELECT {', '.join(cols)} FROM ({shuffled}) WHERE rid < n * {f} // 100"
+        parts.append(f"SELECT {f}::INT AS percent, '{how}' AS row_order, compressed FROM ({O.totals_sql(O.numbered_sql(own, cols, how), cols)})")
+    return " UNION ALL ".join(parts)
+
+
+for _h, _n in (("lex", "sorted"), ("shuffle", "shuffled")):
+    QUERIES[f"growth_gram4_{_n}"] = _growth(_h)
+    ORACLES[f"growth_gram4_{_n}"] = _growth_sql(_h)
 
 
 @query_of("saving_curve", "WITH c AS (SELECT unnest([2, 10, 100, 500, 872, 1245, 5000, 20000, 100000]) AS card), p AS (SELECT unnest([1, 2]) AS k), x AS (SELECT card, k, ceil(k * pow(card, 1.0 / k) - 1e-9) AS b FROM c, p) SELECT k::INT AS k, card::INT AS card, round(2 * (1 - pow(1 - k * 100000.0 / (b * 100000.0), 32)) * b * 100000.0 / 32 - 4.0 * card, 3)::DOUBLE AS saving FROM x")
@@ -353,10 +403,17 @@ def code_neighbour_distances(spark, sf_dir):
     return frame(spark, rows, "scheme string, neighbour_max int, neighbour_sum int, cyclic int, collective_mean double")
 
 
-@query_of("values_per_bitmap", f"WITH t AS ({O.FIXTURE_SQL['line4']}) SELECT 0::INT AS attr, count(*)::BIGINT AS bitmaps, 1::BIGINT AS most FROM (SELECT DISTINCT part FROM t)")
+#: All 2-of-N codes in numeric order, N as small as can be, for the values of ``part``.
+_PAIRS = "n AS (SELECT count(DISTINCT part) AS n FROM t), b AS (SELECT min(x) AS b FROM (SELECT unnest(range(2, 2000)) AS x), n WHERE x * (x - 1) // 2 >= n), pairs AS (SELECT i, j, row_number() OVER (ORDER BY i DESC, j DESC) - 1 AS r FROM (SELECT x AS i FROM (SELECT unnest(range(1, 2000)) AS x), b WHERE x <= b) a, (SELECT x AS j FROM (SELECT unnest(range(1, 2000)) AS x), b WHERE x <= b) c WHERE i < j), used AS (SELECT i, j FROM pairs, n WHERE r < n)"
+
+
+@query_of("values_per_bitmap", f"WITH t AS ({O.FIXTURE_SQL['line4']}), {_PAIRS}, f AS (SELECT bitmap, count(*) AS values FROM (SELECT i AS bitmap FROM used UNION ALL SELECT j FROM used) GROUP BY bitmap) SELECT 0::INT AS attr, count(*)::BIGINT AS bitmaps, max(values)::BIGINT AS most, min(values)::BIGINT AS least, bool_and(values <= b - 1) AS bounded FROM f, b")
 def values_per_bitmap(spark, sf_dir):
+    """Two-of-N codes: no bitmap serves more than N - 1 values."""
     df, _ = S.fixture(spark, sf_dir, "line4")
-    return codes.values_per_bitmap(dictionary.build_dictionary(df, ["part"], 1)).groupBy("attr").agg(F.count(F.lit(1)).alias("bitmaps"), F.max("values").alias("most"))
+    d = dictionary.build_dictionary(df, ["part"], 2, "numeric")
+    n_bits = d.agg(F.max("n_bits")).first()[0]
+    return codes.values_per_bitmap(d).groupBy("attr").agg(F.count(F.lit(1)).alias("bitmaps"), F.max("values").alias("most"), F.min("values").alias("least"), (F.max("values") <= n_bits - 1).alias("bounded"))
 
 
 @query_of("query_cost_model", "SELECT n::INT AS n, k::INT AS k, round((2 - 1.0 / k) * pow(n, (k - 1.0) / k), 6)::DOUBLE AS estimate, round(3 * (2 * k - 1) * pow(n, (k - 1.0) / k), 6)::DOUBLE AS bound FROM (SELECT unnest([100, 2182, 17770]) AS n), (SELECT unnest([1, 2, 3, 4]) AS k)")
@@ -389,7 +446,7 @@ def data_examined_by_k(spark, sf_dir):
     return union([tagged(measure.data_examined(build.build_index(df, SORTED_BY["line4"], k, "reflected", how, 32)), k=k, row_order=how) for k in (1, 2, 3) for how in ("lex", "shuffle")])
 
 
-@query_of("sorted_bounds", f"WITH {O.per_bitmap_ctes(_ORD4, SORTED_BY['line4'])}, s AS (SELECT attr, sum(dirty)::BIGINT AS dirty FROM per_bitmap GROUP BY attr) SELECT attr::INT AS attr, dirty, true AS holds FROM s")
+@query_of("sorted_bounds", f"WITH {O.per_bitmap_ctes(_ORD4, SORTED_BY['line4'])}, s AS (SELECT attr, sum(dirty)::BIGINT AS dirty FROM per_bitmap GROUP BY attr) SELECT attr::INT AS attr, dirty, dirty <= 2 * CASE attr WHEN 0 THEN n0 WHEN 1 THEN n0 * n1 WHEN 2 THEN n0 * n1 * n2 ELSE n0 * n1 * n2 * n3 END AS holds FROM s, (SELECT count(DISTINCT part)::HUGEINT AS n0, count(DISTINCT ship)::HUGEINT AS n1, count(DISTINCT disc)::HUGEINT AS n2, count(DISTINCT ln)::HUGEINT AS n3 FROM ord)")
 def sorted_bounds(spark, sf_dir):
     df, _ = S.fixture(spark, sf_dir, "line4")
     cols = SORTED_BY["line4"]
@@ -463,9 +520,9 @@ _PREDS = [_E("disc", 5), _B("ln", 1, 3), _B("ship", 9000, 9500)]
 _COUNT = "((disc = 5)::INT + (ln BETWEEN 1 AND 3)::INT + (ship BETWEEN 9000 AND 9500)::INT)"
 for _n, _t, _sql in (("at_least", 2, f"{_COUNT} >= 2"), ("exactly", 1, f"{_COUNT} = 1"), ("majority", 0, f"2 * {_COUNT} > 3"), ("parity", 0, f"{_COUNT} % 2 = 1"), ("all_equal", 0, f"{_COUNT} IN (0, 3)")):
     ORACLES[f"symmetric_{_n}"] = f"SELECT count(*)::BIGINT AS rows FROM ({O.FIXTURE_SQL['line4']}) WHERE {_sql}"
-    QUERIES[f"symmetric_{_n}"] = lambda spark, sf_dir, n=_n, t=_t: query.symmetric(_line4_index(spark, sf_dir), _PREDS, n, t).agg(F.count(F.lit(1)).alias("rows"))
+    QUERIES[f"symmetric_{_n}"] = lambda spark, sf_dir, n=_n, t=_t: query.symmetric_words(_line4_index(spark, sf_dir), _PREDS, n, t).agg(F.coalesce(F.sum(F.bit_count("bits")), F.lit(0)).cast("long").alias("rows"))
 ORACLES["symmetric_inverted"] = f"SELECT count(*)::BIGINT AS rows FROM ({O.FIXTURE_SQL['line4']}) WHERE (NOT disc = 5) OR ln BETWEEN 1 AND 3"
-QUERIES["symmetric_inverted"] = lambda spark, sf_dir: query.symmetric(_line4_index(spark, sf_dir), _PREDS[:2], "at_least", 1, [True, False]).agg(F.count(F.lit(1)).alias("rows"))
+QUERIES["symmetric_inverted"] = lambda spark, sf_dir: query.symmetric_words(_line4_index(spark, sf_dir), _PREDS[:2], "at_least", 1, [True, False]).agg(F.sum(F.bit_count("bits")).cast("long").alias("rows"))
 
 
 @query_of("row_ids_answer", f"SELECT rid AS row_id FROM ({_ORD4}) WHERE disc = 5 AND ln = 2")
@@ -518,6 +575,173 @@ for _s in (*aggregate.STRATEGIES, "relational"):
     ORACLES[f"combine_or_{_s}"] = _SHIPS
 
 
+# --- typed and appended values, sizes without compression, work counts -------------------------------
+def _orders_index(spark, sf_dir, k=1):
+    df = S.table(spark, sf_dir, "orders").select("o_orderpriority", "o_totalprice", F.to_date("o_orderdate").alias("day"), "o_orderstatus")
+    return build.build_index(df, ["o_orderstatus", "o_orderpriority", "day", "o_totalprice"], k)
+
+
+@query_of("typed_string_count", "SELECT count(*)::BIGINT AS rows FROM orders WHERE o_orderpriority IN ('1-URGENT', '2-HIGH') AND o_orderstatus = 'O'")
+def typed_string_count(spark, sf_dir):
+    return query.count(_orders_index(spark, sf_dir), _I("o_orderpriority", ("1-URGENT", "2-HIGH")) & _E("o_orderstatus", "O"))
+
+
+@query_of("typed_double_range", "SELECT count(*)::BIGINT AS rows FROM orders WHERE o_totalprice BETWEEN 1000.5 AND 100000.25")
+def typed_double_range(spark, sf_dir):
+    return query.count(_orders_index(spark, sf_dir, 2), _B("o_totalprice", 1000.5, 100000.25))
+
+
+@query_of("typed_date_rows", "SELECT o_orderstatus, o_orderpriority, o_orderdate::DATE AS day, o_totalprice FROM orders WHERE o_orderdate::DATE BETWEEN DATE '1995-03-01' AND DATE '1995-03-31' AND o_orderstatus <> 'O'")
+def typed_date_rows(spark, sf_dir):
+    march = _B("day", datetime.date(1995, 3, 1), datetime.date(1995, 3, 31))
+    return query.matching_rows(_orders_index(spark, sf_dir), march & ~_E("o_orderstatus", "O")).select("o_orderstatus", "o_orderpriority", "day", "o_totalprice")
+
+
+@query_of("append_unseen_values", f"SELECT part AS value, count(*)::BIGINT AS rows FROM ({O.FIXTURE_SQL['line4']}) GROUP BY part")
+def append_unseen_values(spark, sf_dir):
+    """Lines of the lower half of the parts first, the others as a second block; counts of every part."""
+    df, _ = S.fixture(spark, sf_dir, "line4")
+    half = df.agg(F.max("part")).first()[0] // 2
+    index = build.append_blocks(build.build_index(df.filter(F.col("part") <= half), ["part", "ln"]), df.filter(F.col("part") > half))
+    return query.counts_by_value(index, "part")
+
+
+@query_of("padded_bitmaps_count", f"SELECT count(*)::BIGINT AS rows FROM ({O.FIXTURE_SQL['line4']}) WHERE ln = 3 AND disc BETWEEN 2 AND 4")
+def padded_bitmaps_count(spark, sf_dir):
+    df, _ = S.fixture(spark, sf_dir, "line4")
+    return query.count(build.build_index(df, ["disc", "ln"], 3, n_policy="padded"), _E("ln", 3) & _B("disc", 2, 4))
+
+
+@query_of("uncompressed_size", f"WITH t AS ({O.FIXTURE_SQL['line4']}) " + " UNION ALL ".join(f"SELECT {i}::INT AS attr, count(DISTINCT {c})::BIGINT AS bitmaps, (count(DISTINCT {c}) * ((count(*) + 31) // 32))::BIGINT AS words FROM t" for i, c in enumerate(SORTED_BY["line4"])))
+def uncompressed_size(spark, sf_dir):
+    return measure.uncompressed_words(_line4_index(spark, sf_dir))
+
+
+@query_of("code_changes", f"WITH o AS ({_ORD4}), l AS (SELECT " + ", ".join(f"CASE WHEN {c} <> lag({c}) OVER (ORDER BY rid) THEN 2 ELSE 0 END AS d{i}" for i, c in enumerate(SORTED_BY["line4"])) + " FROM o) " + " UNION ALL ".join(f"SELECT {i}::INT AS attr, sum(d{i})::BIGINT AS changes FROM l" for i in range(4)))
+def code_changes(spark, sf_dir):
+    """Bits that change between neighbouring rows of the sorted index."""
+    return measure.code_hamming_cost(_line4_index(spark, sf_dir))
+
+
+@query_of("combine_work")
+def combine_work(spark, sf_dir):
+    """Work of every strategy for OR and AND of 2 to 100 bitmaps of the sorted table, and the bound on the answer's size."""
+    index = _line4_index(spark, sf_dir)
+    index.words = checkpointed(index.words)
+    out = []
+    for n in (2, 10, 50, 100):
+        words = checkpointed(index.words.filter((F.col("attr") == 1) & F.col("bitmap").between(100, 99 + n)))
+        sizes = measure.bitmap_sizes(words, index.blocks, measure.MARKER[32]).agg(F.sum("compressed").alias("input_words"))
+        for op in ("or", "and", "xor"):
+            for s in aggregate.STRATEGIES:
+                done = aggregate.combine(words, index.blocks, op, s, 32)
+                work = done.agg(F.coalesce(F.sum(F.bit_count("bits")), F.lit(0)).cast("long").alias("rows"), F.count(F.lit(1)).alias("answer_words"), *[F.coalesce(F.max(c), F.lit(0).cast("long")).alias(c) for c in aggregate.COUNTERS])
+                chosen = aggregate.choose_strategy(op, [1] * n, 1, n / 2500)
+                out.append(tagged(work.join(sizes), bitmaps=n, op=op, strategy=s, chosen=s == chosen))
+    return union(out)
+
+
+# --- samples of queries on written indexes -------------------------------------------------------------
+#: The sampled values of a column are those with the smallest products of a prime field.
+SAMPLED, RANGES = 100, 20
+
+
+def _sample_sql(c: str) -> str:
+    return f"SELECT {c} AS value FROM (SELECT DISTINCT {c} FROM t) ORDER BY ({c} * 48271) % 2147483647, {c} LIMIT {SAMPLED}"
+
+
+def sampled_values(df: DataFrame, cols: list[str]) -> DataFrame:
+    """(qid, attr, lo, hi): up to SAMPLED equality queries of each column."""
+    parts = []
+    for i, c in enumerate(cols):
+        some = df.select(F.col(c).alias("lo")).distinct().orderBy(F.pmod(F.col("lo") * F.lit(48_271), F.lit(2_147_483_647)), "lo").limit(SAMPLED)
+        parts.append(some.select((F.lit(i << 40) + F.col("lo")).alias("qid"), F.lit(i).alias("attr"), "lo", F.col("lo").alias("hi")))
+    return checkpointed(union(parts))
+
+
+#: Twenty boxes: from a part, a day, a discount and a line number on, so many values wide.
+BOXES = [(1 + 97 * q % 1500, 100, 8100 + 211 * q % 2000, 100, q % 8, 4, 1 + q % 4, 4) for q in range(RANGES)]
+
+
+def sampled_ranges(spark: SparkSession) -> DataFrame:
+    return frame(spark, [(q, a, b[2 * a], b[2 * a] + b[2 * a + 1] - 1) for q, b in enumerate(BOXES) for a in range(4)], "qid long, attr int, lo long, hi long")
+
+
+@query_of("equality_sample_counts", f"WITH t AS ({O.FIXTURE_SQL['line4']}) " + " UNION ALL ".join(f"SELECT {k}::INT AS k, '{c}' AS col, value, (SELECT count(*) FROM t WHERE {c} = value)::BIGINT AS rows FROM ({_sample_sql(c)})" for k in (1, 2, 3, 4) for c in SORTED_BY["line4"]))
+def equality_sample_counts(spark, sf_dir):
+    df, _ = S.fixture(spark, sf_dir, "line4")
+    cols = SORTED_BY["line4"]
+    asked = sampled_values(df, cols)
+    names = F.element_at(F.array(*[F.lit(c) for c in cols]), F.shiftright("qid", 40).cast("int") + 1)
+    return union([query.batch_counts(_line4_index(spark, sf_dir, k), asked).select(F.lit(k).alias("k"), names.alias("col"), F.col("qid").bitwiseAND(F.lit((1 << 40) - 1)).alias("value"), "rows") for k in (1, 2, 3, 4)])
+
+
+_BOX_SQL = " UNION ALL ".join(f"SELECT {q}::BIGINT AS qid, count(*)::BIGINT AS rows FROM t WHERE part BETWEEN {b[0]} AND {b[0] + b[1] - 1} AND ship BETWEEN {b[2]} AND {b[2] + b[3] - 1} AND disc BETWEEN {b[4]} AND {b[4] + b[5] - 1} AND ln BETWEEN {b[6]} AND {b[6] + b[7] - 1}" for q, b in enumerate(BOXES))
+
+
+@query_of("range_sample_counts", f"WITH t AS ({O.FIXTURE_SQL['line4']}), b AS ({_BOX_SQL}) SELECT method, qid, rows FROM b, (SELECT unnest(['w32', 'w64', 'k2', 'postings']) AS method)")
+def range_sample_counts(spark, sf_dir):
+    boxes, out = sampled_ranges(spark), []
+    for method, options in (("w32", {}), ("w64", {"w": 64}), ("k2", {"k": 2})):
+        index = _line4_index(spark, sf_dir, **options)
+        out.append(query.batch_counts(index, boxes).select(F.lit(method).alias("method"), "qid", "rows"))
+    out.append(query.batch_postings(query.postings(index.rows, index.cols), boxes).select(F.lit("postings").alias("method"), "qid", "rows"))
+    return union(out)
+
+
+def written_index(spark: SparkSession, index: build.Index) -> build.Index:
+    path = shared_folder(spark)
+    build.write_index(index, path)
+    return build.read_index(spark, path, index.cols, index.w, index.k, index.allocation)
+
+
+def _seconds(f: Callable[[], DataFrame]) -> float:
+    began = time.perf_counter()
+    f().collect()
+    return round(time.perf_counter() - began, 4)
+
+
+@query_of("range_times")
+def range_times(spark, sf_dir):
+    """Seconds for the same twenty boxes on written indexes: load alone and whole, words of 32 and 64 bits, row-id lists, a scan.  Building stands apart."""
+    boxes, rows = checkpointed(sampled_ranges(spark)), []
+    for how in ("lex", "shuffle"):
+        for w, k in ((32, 1), (64, 1), (32, 2)):
+            began = time.perf_counter()
+            index = written_index(spark, _line4_index(spark, sf_dir, k, how=how, w=w))
+            built = round(time.perf_counter() - began, 4)
+            query.batch_counts(index, boxes).collect()  # warm-up
+            rows.append((how, "bitmaps", w, k, built, _seconds(lambda: query.batch_load(index, boxes)), _seconds(lambda: query.batch_counts(index, boxes))))
+        lists = shared_folder(spark)
+        began = time.perf_counter()
+        query.postings(index.rows, index.cols).repartitionByRange("attr", "value").sortWithinPartitions("attr", "value", "row_id").write.partitionBy("attr").parquet(lists)
+        built = round(time.perf_counter() - began, 4)
+        stored = spark.read.parquet(lists)
+        query.batch_postings(stored, boxes).collect()
+        rows.append((how, "row_ids", 0, 1, built, 0.0, _seconds(lambda: query.batch_postings(stored, boxes))))
+    return frame(spark, rows, "row_order string, method string, w int, k int, build_s double, load_s double, total_s double")
+
+
+@query_of("equality_times")
+def equality_times(spark, sf_dir):
+    """Per column, k and row order: words that a hundred equality queries load, seconds to load and to answer; the model's slow-down beside the measured one."""
+    df, _ = S.fixture(spark, sf_dir, "line4")
+    cols, rows = SORTED_BY["line4"], []
+    cards = dictionary.cardinalities(df, cols)
+    asked = sampled_values(df, cols)
+    for how in ("lex", "shuffle"):
+        base: dict[int, tuple[float, float]] = {}
+        for k in (1, 2, 3, 4):
+            index = written_index(spark, _line4_index(spark, sf_dir, k, how=how))
+            for a, (c, n) in enumerate(zip(cols, cards, strict=True)):
+                own = asked.filter(F.col("attr") == a)
+                words = query.batch_load(index, own).agg(F.avg("words")).first()[0]
+                load, total = _seconds(lambda: query.batch_load(index, own)), _seconds(lambda: query.batch_counts(index, own))
+                base.setdefault(a, (words, total))
+                rows.append((c, k, how, round(words, 3), load, total, round(theory.query_cost_ratio(n, codes.cap_k(n, k)), 4), round(words / base[a][0], 4), round(total / base[a][1], 4)))
+    return frame(spark, rows, "col string, k int, row_order string, words double, load_s double, total_s double, model_slowdown double, measured_words_ratio double, measured_time_ratio double")
+
+
 # --- relational surroundings and streams ---------------------------------------------------------
 @query_of("range_join_bins", "SELECT b.bin AS bin, count(*)::BIGINT AS rows FROM lineitem, (SELECT unnest(range(0, 10)) AS bin) b WHERE l_partkey >= b.bin * 100 AND l_partkey < b.bin * 100 + 70 GROUP BY ALL")
 def range_join_bins(spark, sf_dir):

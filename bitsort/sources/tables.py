@@ -6,6 +6,9 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from bitsort.operators.dictionary import numbered_values, typed_values
+from bitsort.plans.recovery import checkpointed
+
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
@@ -69,22 +72,23 @@ def corr3(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line.join(orders, F.col("l_orderkey") == F.col("o_orderkey")).select(days("o_orderdate").alias("day"), days("l_shipdate").alias("ship"), _long(F.ascii("o_orderstatus"), "status"))
 
 
-def gram4(spark: SparkSession, sf_dir: str, words: int = 10) -> DataFrame:
-    """Ordered 4-combinations of the first ``words`` long words of each document's first line, as hashes.
+def word_grams(spark: SparkSession, sf_dir: str, n: int = 4) -> DataFrame:
+    """Every run of ``n`` long words of every document, whole texts, as strings w1 .. wn.
 
     Words are lower-cased runs of letters longer than three, stemmed by a short suffix rule that SQL
     can state too; ``functions.stem`` has the full stemmer.
     """
-    t = table(spark, sf_dir, "documents")
-    line = F.lower(F.substring_index("text", "\n", 1))
-    kept = F.slice(F.filter(F.split(line, r"[^\p{L}]+"), lambda w: F.length(w) > 3), 1, words)
-    stems = F.transform(kept, lambda w: F.regexp_replace(w, "(ing|ed|es|s)$", ""))
-    n = t.select(stems.alias("w")).filter(F.size("w") >= 4)
-    combos = [(a, b, c, d) for a in range(words) for b in range(a + 1, words) for c in range(b + 1, words) for d in range(c + 1, words)]
-    quads = F.array(*[F.struct(*[F.lit(i).alias(f"i{k}") for k, i in enumerate(c)]) for c in combos])
-    picked = n.select("w", F.explode(F.filter(quads, lambda s: s["i3"] < F.size("w"))).alias("s"))
-    # a word's number is its hash folded to 31 bits; equal words have equal numbers
-    return picked.select(*[F.pmod(F.crc32(F.encode(F.get("w", F.col(f"s.i{k}")), "UTF-8")), F.lit(2**31 - 1)).cast("long").alias(f"w{k + 1}") for k in range(4)])
+    words = F.filter(F.split(F.lower("text"), r"[^\p{L}]+"), lambda w: F.length(w) > 3)
+    stems = F.transform(words, lambda w: F.regexp_replace(w, "(ing|ed|es|s)$", ""))
+    t = table(spark, sf_dir, "documents").select(stems.alias("w")).filter(F.size("w") >= n)
+    runs = F.transform(F.sequence(F.lit(0), F.size("w") - n), lambda i: F.struct(*[F.get("w", i + k).alias(f"w{k + 1}") for k in range(n)]))
+    return t.select(F.explode(runs).alias("s")).select("s.*")
+
+
+def gram4(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Runs of four words, each column numbered in the order of its values."""
+    grams, cols = checkpointed(word_grams(spark, sf_dir)), ["w1", "w2", "w3", "w4"]
+    return numbered_values(grams, cols, typed_values(grams, cols))
 
 
 def _uniform(i: Column, seed: int) -> Column:

@@ -69,6 +69,55 @@ def test_weight_adjacent_and_long_run_lists_are_complete():
         assert sorted(C.code_list(8, 2, None, scheme)) == sorted(combinations(range(1, 9), 2))
 
 
+def test_walks_are_gray_codes():
+    for n in range(2, 11):
+        for walk in (list(C._level_walk(n)), list(C._long_run_walk(n))):
+            assert len(set(walk)) == len(walk) == 2**n
+            assert all(len(set(a) ^ set(b)) == 1 for a, b in zip(walk, walk[1:], strict=False))
+        weights = [len(c) for c in C._level_walk(n)]
+        assert all(w >= max(weights[:i], default=0) - 1 for i, w in enumerate(weights))
+        first, last = list(C._long_run_walk(n))[0], list(C._long_run_walk(n))[-1]
+        assert len(set(first) ^ set(last)) == 1
+    for n, k in ((8, 2), (8, 3)):
+        own = C.code_list(n, k, None, "weight_adjacent")
+        assert all(len(set(a) ^ set(b)) == 2 for a, b in zip(own, own[1:], strict=False))
+        assert own not in (C.code_list(n, k), C.code_list(n, k)[::-1], C.code_list(n, k, None, "numeric"))
+
+
+def shortest_run(walk, n):
+    runs = []
+    for bit in range(1, n + 1):
+        flips = [i for i in range(len(walk)) if (bit in walk[i]) != (bit in walk[i - 1])]
+        runs += [(b - a) % len(walk) for a, b in zip(flips, flips[1:] + flips[:1], strict=True)]
+    return min(runs)
+
+
+def test_long_runs_are_longer():
+    assert shortest_run([set(c) for c in C._long_run_walk(8)], 8) > shortest_run([set(c) for c in C._binary_reflected(8)], 8)
+
+
+def test_random_codes_do_not_step_evenly():
+    for total in (28, 1140, 1001):
+        own = C.keyed_permutation(np.arange(total), total, 3)
+        assert sorted(own.tolist()) == list(range(total)) and len(set(np.diff(own).tolist())) > total // 4
+        assert own.tolist() != C.keyed_permutation(np.arange(total), total, 4).tolist()
+
+
+def test_permuted_and_padded_codes(spark):
+    from bitsort.operators import build, dictionary, measure, query
+
+    df = spark.createDataFrame([(i % 11, i % 3) for i in range(300)], "a long, b long")
+    turned = dictionary.build_dictionary(df, ["a", "b"], 2, permute={0: [5, 4, 3, 2, 1, 6]})
+    plain = dictionary.build_dictionary(df, ["a", "b"], 2)
+    code = lambda d: {(r["attr"], r["value"]): tuple(r["code"]) for r in d.collect()}
+    turn = {1: 5, 2: 4, 3: 3, 4: 2, 5: 1, 6: 6}
+    assert {k: tuple(sorted(turn[p] for p in c)) if k[0] == 0 else c for k, c in code(plain).items()} == code(turned)
+    for policy in ("minimal", "padded"):
+        index = build.build_index(df, ["a", "b"], 2, n_policy=policy)
+        assert query.count(index, query.eq("a", 4)).first()[0] == sum(i % 11 == 4 for i in range(300))
+        assert measure.total_sizes(index).first()["compressed"] > 0
+
+
 def test_run_lengths_of_two_of_eight(spark):
     from bitsort.operators import measure
 

@@ -13,6 +13,7 @@ NAMES = [
     "size_line4_sorted_w32", "size_line4_shuffled_w64", "size_event4_sorted_w16", "size_line4_sorted_hybrid31", "block_sort_5", "words_per_column_ascending", "characteristics_rating4", "histogram_line4", "dictionary_frequency_ranks",
     "minimal_bitmaps", "component_encoding", "equi_width_bins", "column_changes", "data_examined_line4", "payload_marker32", "payload_marker64", "eq_count_k2", "eq_count_k4_freq", "range_count_4d_w64", "xnor_count", "predicate_tree_count",
     "symmetric_exactly", "row_ids_answer", "counts_by_value", "combine_or_heap", "combine_or_in_place", "range_join_bins", "as_of_join_events", "saving_curve",
+    "size_gram4_shuffled_w32", "typed_double_range", "typed_date_rows", "append_unseen_values", "code_changes", "sorted_bounds", "values_per_bitmap", "equality_sample_counts", "range_sample_counts", "symmetric_all_equal",
 ]
 
 

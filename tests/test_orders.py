@@ -135,3 +135,64 @@ def test_size_path_stays_native(spark, sf):
     df, cols = S.fixture(spark, sf, "line4")
     plan = measure.total_sizes(build.build_index(df, cols, 1, "numeric", "lex"))._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Arrow" not in plan and "CartesianProduct" not in plan and "BroadcastNestedLoop" not in plan
+
+
+def test_chunks_leave_sizes_alone(spark, sf, monkeypatch):
+    """Runs over the borders of chunks are put together again; so are combinations."""
+    from bitsort.operators import aggregate, measure, query
+    from bitsort.sources import tables
+
+    df, _ = tables.fixture(spark, sf, "line3")
+    for how, w in (("lex", 64), ("shuffle", 16)):
+        index = build.build_index(df, ["disc", "ln", "part"], 1, "numeric", how, w)
+        whole = sorted(tuple(r) for r in measure.attribute_sizes(index).collect())
+        answers = {s: sorted((r["block"], r["word_no"], r["bits"]) for r in aggregate.combine(query.column_words(index, query.between("disc", 0, 4), query.selected(index, query.between("disc", 0, 4)).select(F.explode("code").alias("bitmap"))).withColumn("attr", F.lit(0)), index.blocks, "or", s, w).collect()) for s in ("scan", "heap")}
+        for size in (3,):
+            monkeypatch.setattr(measure, "CHUNK_WORDS", size)
+            assert sorted(tuple(r) for r in measure.attribute_sizes(index).collect()) == whole, (how, w, size)
+        monkeypatch.setattr(measure, "CHUNK_WORDS", 1 << 16)
+        assert answers["scan"] == answers["heap"]
+        monkeypatch.setattr(aggregate, "CHUNK_WORDS", 5)
+        some = aggregate.combine(query.column_words(index, query.between("disc", 0, 4), query.selected(index, query.between("disc", 0, 4)).select(F.explode("code").alias("bitmap"))).withColumn("attr", F.lit(0)), index.blocks, "or", "heap", w)
+        assert sorted((r["block"], r["word_no"], r["bits"]) for r in some.collect()) == answers["heap"]
+        monkeypatch.setattr(aggregate, "CHUNK_WORDS", 1 << 16)
+
+
+def test_typed_columns_and_appended_values(spark):
+    import datetime
+    from decimal import Decimal
+
+    from bitsort.operators import query
+
+    day = datetime.date(2020, 1, 1)
+    rows = [(["ash", "birch", "cedar", None][i % 4], [0.25, 0.75, 1.5, -2.0, float("inf")][i % 5], day + datetime.timedelta(days=i % 9), Decimal(i % 7) / 4, i % 3) for i in range(500)]
+    schema = "tree string, x double, day date, dec decimal(10,2), n int"
+    for k in (1, 2):
+        index = build.build_index(spark.createDataFrame(rows, schema), ["tree", "x", "day", "dec", "n"], k)
+        count = lambda p: query.count(index, p).first()[0]
+        assert count(query.eq("tree", "birch")) == 125 and count(query.eq("x", 0.25)) == 100 and count(query.between("x", 0.0, 1.0)) == 200
+        assert count(query.between("day", day, day + datetime.timedelta(days=2))) == sum(i % 9 < 3 for i in range(500))
+        assert count(query.eq("dec", Decimal("0.75")) & query.isin("n", (0, 2))) == sum(i % 7 == 3 and i % 3 != 1 for i in range(500))
+        found = query.matching_rows(index, query.eq("tree", "ash") & query.eq("x", 1.5)).select("tree", "x", "n").collect()
+        assert sorted(tuple(r) for r in found) == sorted((t, x, n) for t, x, _, _, n in rows if t == "ash" and x == 1.5)
+        more = [("yew", 9.5, day, Decimal(1), 9), ("ash", 0.25, day, Decimal("100.25"), 1), (None, 0.3, None, Decimal(1), 9)]
+        index = build.append_blocks(index, spark.createDataFrame(more, schema))
+        assert count(query.eq("n", 9)) == 2 and count(query.eq("tree", "yew")) == 1 and count(query.eq("tree", "ash")) == 126
+        assert count(query.between("x", 0.2, 0.4)) == 102 and count(query.between("dec", Decimal(50), Decimal(200))) == 1 and index.rows.count() == 503
+    skipped = build.build_index(spark.createDataFrame(rows, schema), ["tree", "n"], 1, nulls="skip")
+    assert query.count(skipped, query.isin("tree", ("ash", "birch", "cedar"))).first()[0] == 375
+    assert skipped.words.filter("attr = 0").agg(F.sum(F.bit_count("bits"))).first()[0] == 375
+
+
+def test_code_hamming_cost(spark):
+    """Bits that change between neighbours, against the codes themselves."""
+    from bitsort.operators import measure
+
+    rows = [(i * 7 % 13, i * i % 5) for i in range(203)]
+    for w in (16, 32, 64):
+        for k in (1, 2):
+            index = build.build_index(spark.createDataFrame(rows, "a long, b long"), ["a", "b"], k, w=w, row_order="shuffle")
+            code = {(r["attr"], r["value"]): set(r["code"]) for r in index.dictionary.collect()}
+            ordered = [tuple(r) for r in index.rows.orderBy("row_id").select("a", "b").collect()]
+            want = {a: sum(len(code[(a, x[a])] ^ code[(a, y[a])]) for x, y in zip(ordered, ordered[1:], strict=False)) for a in (0, 1)}
+            assert {r["attr"]: r["changes"] for r in measure.code_hamming_cost(index).collect()} == want
