@@ -11,14 +11,18 @@
    Pages with equal streams count as one page there, or copies would wipe each other out.
 
 A host's pages are dealt to groups of about GROUP_PAGES by a hash, so a host with a third of all
-pages spreads over tasks; a repeat counts within its group.
+pages spreads over tasks.  A host of several groups first tells in which groups and pages each
+substring of MIN_TOKENS tokens stands (by 64-bit hashes), so a repeat counts in the whole host and
+the groups change no text.
 
 Defined results: null html is an empty page with empty text; a page without a host has the empty
-host; repeated rows are extracted each on their own; an empty table gives no rows.
+host; repeated rows are extracted each on their own, alike; columns other than page_id, url and
+html are ignored; a page of any length is read as a whole; an empty table gives no rows.
 """
 
 from __future__ import annotations
 
+import hashlib
 import html
 import re
 from collections.abc import Iterator
@@ -29,6 +33,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from bitsort.llm.stages import written
+from bitsort.llm.text import chunks
 
 MIN_TOKENS, MIN_PAGES, GROUP_PAGES = 6, 2, 20_000
 
@@ -207,28 +212,15 @@ def repeated_tokens(tokens: np.ndarray, page: np.ndarray, depth: int = MIN_TOKEN
     return np.cumsum(step[:-1]) > 0
 
 
-def _without_boilerplate(table: pa.Table) -> pa.Table:
-    """Pages of one group of a host: unique runs of the undecided blocks of each."""
-    rows = table.to_pylist()
-    streams = [[t.split() for t in (r["loose"] or [])] for r in rows]
-    words: list[str] = []
-    page: list[int] = []
-    known: dict[tuple, int] = {}
-    for k, (r, own) in enumerate(zip(rows, streams, strict=True)):
-        # equal pages are one page; a page's context is part of it
-        number = known.setdefault((tuple(r["loose"] or []), tuple(r["context"] or [])), k)
-        for block in [*own, *(t.split() for t in (r["context"] or []))]:
-            words += block
-            page += [number] * len(block)
-    texts = pa.array(words, pa.string())
-    tokens = texts.dictionary_encode().indices.to_numpy().astype(np.int64) if words else np.zeros(0, dtype=np.int64)
-    covered = repeated_tokens(tokens, np.array(page, dtype=np.int64)).tolist()
+def _kept_runs(rows: list[dict], covered: list[bool]) -> pa.Table:
+    """Texts of the undecided pages: what is not covered; ``covered`` holds the tokens of all pages, one after the other."""
     at, out = 0, []
-    for r, own in zip(rows, streams, strict=True):
+    for r in rows:
         kept = []
-        for block in own:
-            run = [w for w, c in zip(block, covered[at : at + len(block)], strict=True) if not c]
-            at += len(block)
+        for block in r["loose"] or []:
+            words = block.split()
+            run = [w for w, c in zip(words, covered[at : at + len(words)], strict=True) if not c]
+            at += len(words)
             if run:
                 kept.append(" ".join(run))
         at += sum(len(t.split()) for t in (r["context"] or []))
@@ -238,6 +230,64 @@ def _without_boilerplate(table: pa.Table) -> pa.Table:
     return pa.table([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.string()), pa.array(cols[2], pa.string())], ["page_id", "url", "text"])
 
 
+def _without_boilerplate(table: pa.Table) -> pa.Table:
+    """Pages of a host that is one group: unique runs of the undecided blocks of each."""
+    rows = table.to_pylist()
+    words: list[str] = []
+    page: list[int] = []
+    known: dict[tuple, int] = {}
+    for k, r in enumerate(rows):
+        # equal pages are one page; a page's context is part of it
+        number = known.setdefault((tuple(r["loose"] or []), tuple(r["context"] or [])), k)
+        for block in [*(r["loose"] or []), *(r["context"] or [])]:
+            own = block.split()
+            words += own
+            page += [number] * len(own)
+    tokens = pa.array(words, pa.string()).dictionary_encode().indices.to_numpy().astype(np.int64) if words else np.zeros(0, dtype=np.int64)
+    return _kept_runs(rows, repeated_tokens(tokens, np.array(page, dtype=np.int64)).tolist())
+
+
+def _substrings(rows: list[dict]) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
+    """(first token, hash, page key) of every substring of MIN_TOKENS tokens, and the number of tokens."""
+    streams = [" ".join(x for t in [*(r["loose"] or []), *(r["context"] or [])] for x in t.split()) for r in rows]
+    keys = np.array([int.from_bytes(hashlib.blake2b(repr((r["loose"] or [], r["context"] or [])).encode("utf-8", "surrogatepass"), digest_size=8).digest(), "little", signed=True) for r in rows], dtype=np.int64)
+    at, h, key, before = [], [], [], 0
+    for chunk in chunks(pa.array(streams, pa.string()), SPACES):
+        first, own = chunk.windows(MIN_TOKENS)
+        at.append(first + before)
+        h.append(own.view(np.int64))
+        key.append(keys[chunk.first + np.searchsorted(chunk.ptr, first, side="right") - 1])
+        before += int(chunk.ptr[-1])
+    empty = np.zeros(0, dtype=np.int64)
+    return (*(np.concatenate(x) if x else empty for x in (at, h, key)), before)
+
+
+SPACES = np.zeros(256, dtype=bool)
+SPACES[0x20] = True
+
+
+def _places(table: pa.Table) -> pa.Table:
+    """For a group's distinct substrings the smallest and largest key of the pages they stand on."""
+    _, h, key, _ = _substrings(table.select(["loose", "context"]).to_pylist())
+    order = np.lexsort([key, h])
+    h, key = h[order], key[order]
+    edge = np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1], [True]])) if len(h) else np.zeros(1, dtype=np.int64)
+    n = len(edge) - 1
+    one = lambda c: pa.array([table[c][0].as_py()] * n, table[c].type)
+    return pa.table([one("host"), one("grp"), pa.array(h[edge[:-1]]), pa.array(key[edge[:-1]]), pa.array(key[edge[1:] - 1])], ["host", "grp", "h", "lo", "hi"])
+
+
+def _without_repeats(pages: pa.Table, repeats: pa.Table) -> pa.Table:
+    """Pages of one of several groups of a host, given the substrings that are repeated in the host."""
+    rows = pages.to_pylist()
+    at, h, _, n = _substrings(rows)
+    step = np.zeros(n + 1, dtype=np.int64)
+    hit = at[np.isin(h, repeats["h"].to_numpy())]
+    np.add.at(step, hit, 1)
+    np.add.at(step, hit + MIN_TOKENS, -1)
+    return _kept_runs(rows, (np.cumsum(step[:-1]) > 0).tolist())
+
+
 def main_text(pages: DataFrame) -> DataFrame:
     """page_id, url, text, n_chars of every row."""
     own = pages.select(F.col("page_id").cast("long"), F.col("url").cast("string"), F.col("html").cast("string"))
@@ -248,7 +298,15 @@ def main_text(pages: DataFrame) -> DataFrame:
     # hosts with an undecided page, dealt to groups of bounded size
     sizes = parsed.groupBy("host").agg(F.count(F.lit(1)).alias("n"), F.count_if(F.col("text").isNull()).alias("open")).filter("open > 0").select("host", F.ceil(F.col("n") / GROUP_PAGES).alias("groups"))
     open_hosts = parsed.join(sizes, "host").withColumn("grp", F.pmod(F.xxhash64("page_id", "url"), F.col("groups")))
-    undecided = open_hosts.select("host", "grp", "page_id", "url", "text", "loose", "context").groupBy("host", "grp").applyInArrow(_without_boilerplate, "page_id long, url string, text string")
+    open_hosts = open_hosts.select("host", "grp", "groups", "page_id", "url", "text", "loose", "context")
+    schema = "page_id long, url string, text string"
+    undecided = open_hosts.filter("groups = 1").groupBy("host", "grp").applyInArrow(_without_boilerplate, schema)
+    if not sizes.filter("groups > 1").isEmpty():
+        large = open_hosts.filter("groups > 1")
+        places = large.groupBy("host", "grp").applyInArrow(_places, "host string, grp long, h long, lo long, hi long")
+        repeats = places.groupBy("host", "h").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi")).filter("lo < hi").select("host", "h")
+        told = places.select("host", "grp", "h").join(repeats, ["host", "h"])
+        undecided = undecided.unionByName(large.groupBy("host", "grp").cogroup(told.groupBy("host", "grp")).applyInArrow(_without_repeats, schema))
     return decided.unionByName(undecided).withColumn("n_chars", F.length("text").cast("long"))
 
 

@@ -205,6 +205,40 @@ def test_prefix_ranks():
             assert (ranks[i] == ranks[j]) == (every[i] == every[j]) and (ranks[i] < ranks[j]) == (every[i] < every[j])
 
 
+def test_repeated_tokens_by_brute_force():
+    rng = np.random.default_rng(6)
+    for depth in (2, 4, 6):
+        for _ in range(30):
+            tokens, page = rng.integers(0, 3, 80), np.sort(rng.integers(0, 6, 80))
+            where = defaultdict(set)
+            for i in range(80):
+                for j in range(i + depth, 81):
+                    if page[i] == page[j - 1]:
+                        where[tuple(tokens[i:j])].add(int(page[i]))
+            want = [False] * 80
+            for i in range(80):
+                for j in range(i + depth, 81):
+                    if page[i] == page[j - 1] and len(where[tuple(tokens[i:j])]) >= 2:
+                        want[i:j] = [True] * (j - i)
+            assert html_text.repeated_tokens(tokens, page, depth).tolist() == want
+
+
+def test_groups_of_a_host_change_nothing(spark, monkeypatch):
+    """Pages without an article, repeated rows, extra columns; in one group and in many."""
+    rng = np.random.default_rng(8)
+    menu, foot = "home products news about us contact imprint privacy", "all rights of example company reserved here since ever"
+    rows = []
+    for i in range(90):
+        own = " ".join(f"u{x}" for x in rng.integers(0, 10**6, 12))
+        rows.append((i, f"http://h{i % 2}.example/{i}", f"<div>{menu}</div><p>{own}</p><p>plus {menu if i % 7 == 0 else own[:20]} end</p><div>{foot}</div>", "text", 1))
+    rows += [rows[3], rows[3], (200, "http://h0.example/z", None, None, 1), (201, None, "<p>alone</p>", None, 1)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string, text string, grp int")
+    whole = by_row(html_text.main_text(pages), "page_id", "url", "text", "n_chars")
+    assert not any("imprint" in k[2] for k in whole if k[0] < 90) and sum(whole.values()) == len(rows)
+    monkeypatch.setattr(html_text, "GROUP_PAGES", 7)
+    assert by_row(html_text.main_text(pages), "page_id", "url", "text", "n_chars") == whole
+
+
 # --- 5 licenses ------------------------------------------------------------------------------------
 def test_licenses(docs, rows):
     words = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
