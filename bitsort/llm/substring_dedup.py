@@ -104,19 +104,23 @@ class _Block:
         ids, text_hash, words = (np.concatenate(x) for x in (self.ids, self.text_hash, self.words))
         first = np.cumsum(words) - words
         ptr = np.concatenate([first, [int(words.sum())]])
-        place, h = self.window_places(ptr), np.concatenate(self.hashes)
+        small = np.int32 if ptr[-1] < 1 << 31 else np.int64
+        place, h = self.window_places(ptr).astype(small), np.concatenate(self.hashes)
+        self.hashes = []
         order = np.argsort(h, kind="stable")
         h, place = h[order], place[order]
-        doc = np.searchsorted(first, place, side="right") - 1
+        del order
+        doc = (np.searchsorted(first, place, side="right") - 1).astype(np.int32)
         new = np.concatenate([[True], h[1:] != h[:-1]]) if len(h) else np.zeros(0, dtype=bool)
         least = np.minimum.reduceat(ids[doc], np.flatnonzero(new)) if len(h) else ids[:0]
-        hit = self.settled(ids[doc], least[np.cumsum(new) - 1]) if len(h) else new
+        hit = self.settled(ids[doc], least[np.cumsum(new, dtype=np.int32) - 1]) if len(h) else new
+        del new, least
 
         def with_docs(places: np.ndarray, docs: np.ndarray) -> tuple[bytes, np.ndarray]:
             """The documents of some places, and these places counted in those documents alone."""
             used, at = np.unique(docs, return_inverse=True)
             begin = np.cumsum(words[used]) - words[used]
-            return _squeeze(np.array([len(used)], dtype=np.int64), np.diff(ids[used], prepend=0), text_hash[used], words[used].astype(np.int64)), places - first[docs] + begin[at]
+            return _squeeze(np.array([len(used)], dtype=np.int64), np.diff(ids[used], prepend=0), text_hash[used], words[used].astype(np.int64)), places.astype(np.int64) - first[docs] + begin[at]
 
         out = []
         keep_h, keep_at, keep_doc = h[~hit], place[~hit], doc[~hit]
