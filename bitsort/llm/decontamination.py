@@ -34,7 +34,7 @@ SPAN = len(MASKS[0])
 #: An overlap counts from so many matching words on (or RATE of a shorter item's words).
 LEAST, RATE = 13, 0.8
 #: Items of fewer words than this count only as whole texts.
-SHORTEST = 6
+SHORTEST = 5
 #: Words compared at once.
 COMPARED = 1 << 21
 #: Bytes of benchmark text that are looked up at once; a larger benchmark takes several passes.
