@@ -81,7 +81,7 @@ def build_index(df: DataFrame, cols: list[str], k: int = 1, allocation: str = "r
     clock = time.perf_counter
     t0 = clock()
     typed = typed_values(df, cols)
-    df = numbered_values(df, cols, typed)
+    df = numbered_values(df, cols, typed, tuple(options.get("natural") or ()))
     of_dictionary = {n: options.pop(n) for n in ("seed", "frequency_desc", "n_policy", "permute") if n in options}
     nulls = options.pop("nulls", "value")
     if nulls == "skip" and typed:

@@ -30,13 +30,13 @@ def typed_values(df: DataFrame, cols: list[str]) -> dict[str, DataFrame]:
     return out
 
 
-def numbered_values(df: DataFrame, cols: list[str], typed: dict[str, DataFrame]) -> DataFrame:
-    """``cols`` of ``df`` as integers: columns of other types by their numbers, null where a value has none."""
+def numbered_values(df: DataFrame, cols: list[str], typed: dict[str, DataFrame], keep: tuple[str, ...] = ()) -> DataFrame:
+    """``cols`` of ``df`` as integers: columns of other types by their numbers, null where a value has none; ``keep`` as they are."""
     for c, values in typed.items():
         part = values.select(F.col("value").alias("_v"), F.col("number").alias("_n"))
         part = F.broadcast(part) if values.count() <= BROADCAST_VALUES else part
         df = df.join(part, F.col(c).eqNullSafe(F.col("_v")), "left").drop("_v", c).withColumnRenamed("_n", c)
-    return df.select(*[F.col(c).cast("long").alias(c) for c in cols])
+    return df.select(*[F.col(c).cast("long").alias(c) for c in cols], *[c for c in keep if c not in cols])
 
 
 def melted(df: DataFrame, cols: list[str]) -> DataFrame:

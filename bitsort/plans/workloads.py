@@ -298,8 +298,8 @@ def measured_savings(spark, sf_dir):
     for c in (2, 100, 1245, 5000, 20000):
         df = checkpointed(S.uniform(spark, [c]))
         for k in (1, 2):
-            cost = [measure.total_sizes(build.build_index(df, ["c1"], k, "reflected", how, 32)).select(F.col("storage_cost").alias(how)) for how in ("shuffle", "lex")]
-            out.append(cost[0].join(cost[1]).select(F.lit(c).alias("card"), F.lit(k).alias("k"), (F.col("shuffle") - F.col("lex")).alias("saving"), F.lit(round(theory.saving_model(100_000, c, codes.cap_k(c, k)), 3)).alias("model")))
+            cost = [measure.total_sizes(build.build_index(df, ["c1"], k, "reflected", how, 32, **options)).select(F.col("storage_cost").alias(how)) for how, options in (("natural", {"natural": ["place"]}), ("lex", {}))]
+            out.append(cost[0].join(cost[1]).select(F.lit(c).alias("card"), F.lit(k).alias("k"), (F.col("natural") - F.col("lex")).alias("saving"), F.lit(round(theory.saving_model(100_000, c, codes.cap_k(c, k)), 3)).alias("model")))
     return union(out)
 
 
@@ -324,8 +324,8 @@ def _zipf_dimensions(k: int):
         for d in (1, 2, 3, 4, 5, 6):
             df = checkpointed(S.zipf(spark, [1.0] * d))
             cols = [f"c{i + 1}" for i in range(d)]
-            for method, allocation, how in (("shuffled", "numeric", "shuffle"), ("numeric", "numeric", "lex"), ("reflected", "reflected", "lex")):
-                out.append(tagged(measure.total_sizes(build.build_index(df, cols, k, allocation, how, 32)).select("compressed"), d=d, k=k, method=method))
+            for method, allocation, how, options in (("shuffled", "numeric", "natural", {"natural": ["place"]}), ("numeric", "numeric", "lex", {}), ("reflected", "reflected", "lex", {})):
+                out.append(tagged(measure.total_sizes(build.build_index(df, cols, k, allocation, how, 32, **options)).select("compressed"), d=d, k=k, method=method))
         return measure.size_ratio(checkpointed(union(out)), "shuffled", ["d", "k"])
 
     return run

@@ -101,11 +101,12 @@ def _uniform(i: Column, seed: int) -> Column:
 
 
 def uniform(spark: SparkSession, cardinalities: list[int], n: int = 100_000) -> DataFrame:
-    return spark.range(n).select(*[F.floor(_uniform(F.col("id"), 11 * (k + 1)) * c).cast("long").alias(f"c{k + 1}") for k, c in enumerate(cardinalities)])
+    """Independent uniform columns, and ``place``: a random order that does not depend on the values."""
+    return spark.range(n).select(F.xxhash64("id").alias("place"), *[F.floor(_uniform(F.col("id"), 11 * (k + 1)) * c).cast("long").alias(f"c{k + 1}") for k, c in enumerate(cardinalities)])
 
 
 def zipf(spark: SparkSession, skews: list[float], values: int = 100, n: int = 100_000) -> DataFrame:
-    """Independent columns with Zipf frequencies, by inverse distribution."""
+    """Independent columns with Zipf frequencies, by inverse distribution, and ``place`` as in ``uniform``."""
     cols = []
     for k, s in enumerate(skews):
         total = sum(j**-s for j in range(1, values + 1))
@@ -116,7 +117,7 @@ def zipf(spark: SparkSession, skews: list[float], values: int = 100, n: int = 10
         u = _uniform(F.col("id"), 13 * (k + 1))
         below = F.size(F.filter(F.array(*[F.lit(c) for c in cut]), _at_most(u)))
         cols.append(below.cast("long").alias(f"c{k + 1}"))
-    return spark.range(n).select(*cols)
+    return spark.range(n).select(F.xxhash64("id").alias("place"), *cols)
 
 
 def _at_most(u: Column):

@@ -59,6 +59,13 @@ def test_sorting_and_allocation_shape(spark, sf):
     assert size(2, "reflected", "lex") <= size(2, "numeric", "lex") <= size(2, "random", "lex")
 
 
+def test_shuffled_single_column_saves_by_sorting(spark):
+    df = S.uniform(spark, [200], 20_000)
+    cost = lambda how, **o: measure.total_sizes(build.build_index(df, ["c1"], 1, "numeric", how, **o)).first()["storage_cost"]
+    saved, model = cost("natural", natural=["place"]) - cost("lex"), theory.saving_model(20_000, 200)
+    assert 0.9 * model < saved < 1.1 * model
+
+
 def test_blocks_cut_words(spark, sf):
     df, _ = S.fixture(spark, sf, "line4")
     one = build.build_index(df, ["disc", "ln"], 1, "numeric", "lex", 32)
