@@ -10,7 +10,7 @@ from __future__ import annotations
 import time
 from dataclasses import dataclass, field
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from bitsort.operators import roworder
@@ -45,6 +45,15 @@ def block_sizes(rows: DataFrame, w: int = 32) -> DataFrame:
     return b.select("block", first.alias("first_word"), (last - first + 1).alias("words"), (F.col("hi") - last * w + 1).alias("last_rows"))
 
 
+def even_blocks(spark: SparkSession, n_rows: int, block_rows: int | None, w: int = 32, block: int = 0, first_row: int = 0) -> DataFrame:
+    """The same for rows numbered without gaps from ``first_row`` on, from their number alone: no job reads them."""
+    size = block_rows or max(n_rows, 1)
+    lo = F.col("id") * size + first_row
+    hi = F.least(lo + size, F.lit(first_row + n_rows)) - 1
+    first, last = F.floor(lo / w), F.floor(hi / w)
+    return spark.range(0, -(-n_rows // size), 1, 1).select((F.col("id") + block).alias("block"), first.alias("first_word"), (last - first + 1).alias("words"), (hi - last * w + 1).alias("last_rows"))
+
+
 def naive_words(rows: DataFrame, cols: list[str], dictionary: DataFrame, w: int = 32) -> DataFrame:
     """Baseline: every bitmap gets every word, zero or not.  Small inputs only; joins all words with all bitmaps."""
     words = rows.select("block", F.floor(F.col("row_id") / w).alias("word_no")).distinct()
@@ -98,16 +107,16 @@ def build_index(df: DataFrame, cols: list[str], k: int = 1, allocation: str = "r
             coded = coded.join(part, F.col(c).eqNullSafe(F.col("_v")), "left").drop("_v").withColumn(f"{c}_code", F.coalesce(f"{c}_code", F.array().cast("array<long>")))
         if "position" in placed.columns:
             n_bits = dict.fromkeys(cols, 0)  # positions count through all columns already
-        rows = roworder.order_rows(coded, "reflected", cols, block_rows, n_bits=n_bits, sort_positions="position" in placed.columns, **options)
+        rows, n_rows = roworder.ordered_rows(coded, "reflected", cols, block_rows, n_bits=n_bits, sort_positions="position" in placed.columns, **options)
     else:
-        rows = roworder.order_rows(df, row_order, cols, block_rows, **options)
-    rows = checkpointed(rows.select(*cols, "row_id", "block"))
+        rows, n_rows = roworder.ordered_rows(df, row_order, cols, block_rows, **options)
+    rows = rows.select(*cols, "row_id", "block")
     t2 = clock()
     words = sparse_words(attach(rows, cols, dictionary), cols, w)
     if timed:
         words = checkpointed(words)
     t3 = clock()
-    return Index(cols, words, dictionary, block_sizes(rows, w), rows, w, k, allocation, typed, {"dictionary_s": t1 - t0, "sort_s": t2 - t1, "index_s": t3 - t2, "total_s": t3 - t0})
+    return Index(cols, words, dictionary, even_blocks(df.sparkSession, n_rows, block_rows, w), rows, w, k, allocation, typed, {"dictionary_s": t1 - t0, "sort_s": t2 - t1, "index_s": t3 - t2, "total_s": t3 - t0})
 
 
 def positions(dictionary: DataFrame, order: DataFrame | None) -> DataFrame:
@@ -157,7 +166,7 @@ def append_blocks(index: Index, more: DataFrame, row_order: str = "lex") -> Inde
     extra = extra.select("attr", "value", "cnt", (F.col("_last") + F.col("rank") + 1).alias("rank"), F.col("_new").cast("int").alias("n_bits"), F.col("_k").alias("k"), F.concat(ones, F.array(F.col("_new").cast("long"))).alias("code"))
     dictionary = checkpointed(index.dictionary.select("attr", "value", "cnt", "rank", "n_bits", "k", "code").unionByName(extra))
     last = index.blocks.agg(F.max("block").alias("b"), F.max((F.col("first_word") + F.col("words")) * index.w).alias("r")).first()
-    rows = roworder.order_rows(more, row_order, index.cols)
-    rows = checkpointed(rows.withColumn("row_id", F.col("row_id") + F.lit(last["r"])).withColumn("block", F.lit(last["b"] + 1).cast("long")))
+    rows, n_rows = roworder.ordered_rows(more, row_order, index.cols)
+    rows = (rows.withColumn("row_id", F.col("row_id") + F.lit(last["r"])).withColumn("block", F.lit(last["b"] + 1).cast("long")))
     words = index.words.unionByName(sparse_words(attach(rows, index.cols, dictionary), index.cols, index.w))
-    return Index(index.cols, words, dictionary, index.blocks.unionByName(block_sizes(rows, index.w)), index.rows.select(*index.cols, "row_id", "block").unionByName(rows.select(*index.cols, "row_id", "block")), index.w, index.k, index.allocation, typed)
+    return Index(index.cols, words, dictionary, index.blocks.unionByName(even_blocks(more.sparkSession, n_rows, None, index.w, last["b"] + 1, last["r"])), index.rows.select(*index.cols, "row_id", "block").unionByName(rows.select(*index.cols, "row_id", "block")), index.w, index.k, index.allocation, typed)

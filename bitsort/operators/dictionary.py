@@ -59,11 +59,26 @@ def cardinalities(df: DataFrame, cols: list[str], approximate: bool = False) ->
 def ranked(hist: DataFrame, order: str = "value", frequency_desc: bool = False, seed: int = 0) -> DataFrame:
     """Add rank (from 0, within each attribute) in value, frequency or random order.
 
-    Ranks come from a global range sort and counts by partition, so no window covers a whole
-    attribute: rank = rows of the attribute in earlier partitions + place within this one.
+    Attributes of at most BROADCAST_VALUES values are ranked by a window each.  Beyond that ranks come
+    from a global range sort and counts by partition, so no window covers a whole attribute: rank =
+    rows of the attribute in earlier partitions + place within this one.
     """
+    return _ranked(hist, order, frequency_desc, seed)[0]
+
+
+def attribute_counts(hist: DataFrame) -> dict[int, int]:
+    """Values of each attribute; one row a column."""
+    return {r["attr"]: int(r["n"]) for r in hist.groupBy("attr").agg(F.count(F.lit(1)).alias("n")).collect()}
+
+
+def _ranked(hist: DataFrame, order: str = "value", frequency_desc: bool = False, seed: int = 0) -> tuple[DataFrame, dict[int, int]]:
+    """The ranks, and how many values each attribute has.  The histogram is read by several jobs, so it is written first."""
+    hist = checkpointed(hist)
+    sizes = attribute_counts(hist)
     cnt = -F.col("cnt") if frequency_desc else F.col("cnt")
     keys = {"value": [F.col("value")], "frequency": [cnt, F.col("value")], "random": [F.xxhash64("value", F.lit(seed)), F.col("value")]}[order]
+    if max(sizes.values(), default=0) <= BROADCAST_VALUES:
+        return hist.withColumn("rank", (F.row_number().over(Window.partitionBy("attr").orderBy(*keys)) - 1).cast("long")), sizes
     p = int(hist.sparkSession.conf.get("spark.sql.shuffle.partitions", "200"))
     named = hist.select("*", *[k.alias(f"_k{i}") for i, k in enumerate(keys)])
     cols = ["attr", *[f"_k{i}" for i in range(len(keys))]]
@@ -73,7 +88,7 @@ def ranked(hist: DataFrame, order: str = "value", frequency_desc: bool = False,
     counts = counts.select("attr", "_p", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_before"))
     place = Window.partitionBy("attr", "_p").orderBy(*cols[1:])
     out = own.withColumn("_at", F.row_number().over(place) - 1).join(counts, ["attr", "_p"])
-    return out.withColumn("rank", (F.col("_before") + F.col("_at")).cast("long")).drop("_p", "_at", "_before", *cols[1:])
+    return out.withColumn("rank", (F.col("_before") + F.col("_at")).cast("long")).drop("_p", "_at", "_before", *cols[1:]), sizes
 
 
 def build_dictionary(df: DataFrame, cols: list[str], k: int = 1, allocation: str = "reflected", seed: int = 0, frequency_desc: bool = False, n_policy: str = "minimal", nulls: str = "value", permute: dict[int, list[int]] | None = None) -> DataFrame:
@@ -89,8 +104,8 @@ def build_dictionary(df: DataFrame, cols: list[str], k: int = 1, allocation: str
     hist = histograms(df, cols)
     hist = hist.filter("value is not null") if nulls == "skip" else hist
     order = "frequency" if allocation == "freq_reflected" else "value"
-    ranks = checkpointed(ranked(hist, order, frequency_desc, seed))
-    sizes = {r["attr"]: int(r["n"]) for r in ranks.groupBy("attr").agg(F.count(F.lit(1)).alias("n")).collect()}  # one row a column
+    ranks, sizes = _ranked(hist, order, frequency_desc, seed)
+    ranks = checkpointed(ranks)
     out, ones = None, 0
     for i in range(len(cols)):
         n = sizes.get(i, 0)
@@ -111,7 +126,7 @@ def attach(rows: DataFrame, cols: list[str], dictionary: DataFrame, what: str =
 
     Small dictionaries are broadcast, others joined by shuffle.
     """
-    sizes = {r["attr"]: int(r["n"]) for r in dictionary.groupBy("attr").agg(F.count(F.lit(1)).alias("n")).collect()}
+    sizes = attribute_counts(dictionary)
     for i, c in enumerate(cols):
         part = dictionary.filter(F.col("attr") == i).select(F.col("value").alias(f"_v{i}"), F.col(what).alias(f"_w{i}"))
         part = F.broadcast(part) if sizes.get(i, 0) <= BROADCAST_VALUES else part

@@ -47,15 +47,19 @@ def marker_codec(w: int, clean_bits: int | None = None, extend: bool = False) ->
 
 #: Words that one window takes; runs over the borders of such chunks are put together afterwards.
 CHUNK_WORDS = 1 << 16
+#: Block sizes are one row a block; so many are broadcast.
+BROADCAST_BLOCKS = 100_000
 
 
 def runs(words: DataFrame, blocks: DataFrame, w: int) -> DataFrame:
     """(block, attr, bitmap, full, len, first_at, last_at, zeros, words, is_last): runs of equal kind, with the zero words before each.
 
-    No window takes a whole bitmap: runs are found chunk by chunk, and only the first and the last
-    run of each chunk meet those of its neighbours.
+    No window takes more than CHUNK_WORDS of a bitmap: runs are found chunk by chunk, and only the
+    first and the last run of each chunk meet those of its neighbours.  Where every block fits a
+    chunk there are no neighbours.
     """
-    sized = words.join(F.broadcast(blocks), "block") if _small(blocks) else words.join(blocks, "block")
+    shape = blocks.agg(F.count(F.lit(1)).alias("n"), F.max("words").alias("words")).first()
+    sized = words.join(F.broadcast(blocks) if shape["n"] <= BROADCAST_BLOCKS else blocks, "block")
     at = F.col("word_no") - F.col("first_word")
     rows_in = F.when(at == F.col("words") - 1, F.col("last_rows")).otherwise(F.lit(w))
     sized = sized.filter(F.col("bits") != 0).select(*KEY, at.alias("at"), (F.col("bits") == word_mask(rows_in, w)).alias("full"), "words").withColumn("chunk", F.floor(F.col("at") / CHUNK_WORDS))
@@ -69,6 +73,8 @@ def runs(words: DataFrame, blocks: DataFrame, w: int) -> DataFrame:
     found = found.withColumn("begins", F.col("run") == 1).withColumn("ends", F.col("run") == F.max("run").over(of_chunk))
     found = found.withColumn("zeros", F.col("first_at") - F.lag("last_at").over(of_chunk.orderBy("run")) - 1)
     columns = [*KEY, "full", "len", "first_at", "last_at", "zeros", "words"]
+    if (shape["words"] or 0) <= CHUNK_WORDS:
+        return found.withColumn("zeros", F.coalesce("zeros", F.col("first_at"))).select(*columns, F.col("ends").alias("is_last"))
     inner = found.filter(~F.col("begins") & ~F.col("ends")).select(*columns, F.lit(False).alias("is_last"))
     border = found.filter(F.col("begins") | F.col("ends"))
     order = Window.partitionBy(*KEY).orderBy("first_at")
@@ -82,11 +88,6 @@ def runs(words: DataFrame, blocks: DataFrame, w: int) -> DataFrame:
     return inner.unionByName(whole.select(*columns, "is_last"))
 
 
-def _small(blocks: DataFrame) -> bool:
-    """Block sizes are one row a block; broadcast them while they are few."""
-    return len(blocks.select("block").head(100_001)) <= 100_000
-
-
 def _ceil(x: Column, y: int) -> Column:
     return F.ceil(x / F.lit(y)).cast("long")
 

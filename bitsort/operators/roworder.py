@@ -10,11 +10,12 @@ from __future__ import annotations
 from itertools import permutations
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from bitsort.operators.codes import reflected_key
-from bitsort.operators.dictionary import BROADCAST_VALUES, histograms
+from bitsort.operators.dictionary import BROADCAST_VALUES, attribute_counts, histograms
 from bitsort.plans.recovery import checkpointed, partitions
 
 #: A prime and multipliers of the portable shuffle: h = sum(c_i * m_i) mod p, any SQL can compute it.
@@ -31,9 +32,11 @@ def shuffle_key(cols: list[str], seed: int = 0) -> Column:
 
 def _counted(df: DataFrame, cols: list[str]) -> DataFrame:
     """Add _f<i>, the frequency of each column's value."""
+    every = checkpointed(histograms(df, cols))
+    sizes = attribute_counts(every)
     for i, c in enumerate(cols):
-        h = histograms(df, [c]).select(F.col("value").alias(f"_v{i}"), F.col("cnt").alias(f"_f{i}"))
-        h = F.broadcast(h) if h.count() <= BROADCAST_VALUES else h
+        h = every.filter(F.col("attr") == i).select(F.col("value").alias(f"_v{i}"), F.col("cnt").alias(f"_f{i}"))
+        h = F.broadcast(h) if sizes.get(i, 0) <= BROADCAST_VALUES else h
         df = df.join(h, F.col(c).cast("long").eqNullSafe(F.col(f"_v{i}"))).drop(f"_v{i}")
     return df
 
@@ -83,6 +86,11 @@ def _shift(by: int):
 
 def number_rows(df: DataFrame, _frame: DataFrame, keys: list[Column], row_id: str = "row_id", block_rows: int | None = None) -> DataFrame:
     """Sort by keys and add row_id (0-based, gapless) and block.  The sorted table is the recovery point."""
+    return counted_rows(df, _frame, keys, row_id, block_rows)[0]
+
+
+def counted_rows(df: DataFrame, _frame: DataFrame, keys: list[Column], row_id: str = "row_id", block_rows: int | None = None) -> tuple[DataFrame, int]:
+    """The numbered rows, and how many they are."""
     base = _frame
     named = base.select("*", *[k.alias(f"_o{i}") for i, k in enumerate(keys)])
     names = [f"_o{i}" for i in range(len(keys))]
@@ -93,15 +101,20 @@ def number_rows(df: DataFrame, _frame: DataFrame, keys: list[Column], row_id: st
     for p, n in counts:
         offsets[p] = total
         total += n
-    table = df.sparkSession.createDataFrame(list(offsets.items()) or [(0, 0)], "_p int, _before long")
+    table = df.sparkSession.createDataFrame(pa.table({"_p": pa.array(list(offsets), pa.int32()), "_before": pa.array(list(offsets.values()), pa.int64())}))
     out = own.withColumn("_p", pid).withColumn("_at", F.monotonically_increasing_id().bitwiseAND((1 << 33) - 1))
     out = out.join(F.broadcast(table), "_p").withColumn(row_id, F.col("_before") + F.col("_at")).drop("_p", "_at", "_before", "_b")
-    return out.withColumn("block", (F.floor(F.col(row_id) / block_rows) if block_rows else F.lit(0)).cast("long"))
+    return out.withColumn("block", (F.floor(F.col(row_id) / block_rows) if block_rows else F.lit(0)).cast("long")), total
 
 
 def order_rows(df: DataFrame, how: str, cols: list[str], block_rows: int | None = None, **options) -> DataFrame:
     """Rows in an order, with row_id and block."""
-    return number_rows(df, *order_keys(df, how, cols, **options), block_rows=block_rows)
+    return ordered_rows(df, how, cols, block_rows, **options)[0]
+
+
+def ordered_rows(df: DataFrame, how: str, cols: list[str], block_rows: int | None = None, **options) -> tuple[DataFrame, int]:
+    """Rows in an order, with row_id and block, and how many they are."""
+    return counted_rows(df, *order_keys(df, how, cols, **options), block_rows=block_rows)
 
 
 def bitmap_positions(dictionary: DataFrame, words: DataFrame, n_rows: int, how: str, w: int = 32) -> DataFrame:

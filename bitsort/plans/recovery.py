@@ -4,18 +4,45 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Callable
+from concurrent.futures import ThreadPoolExecutor
 
-from pyspark.sql import DataFrame
+from pyspark import inheritable_thread_target
+from pyspark.sql import DataFrame, SparkSession
 
 
-def checkpointed(df: DataFrame) -> DataFrame:
-    """checkpoint() into spark.checkpoint.dir; a folder of its own only where that is unset and Spark is local."""
-    spark = df.sparkSession
+#: Independent jobs that are submitted side by side; their fixed costs overlap.
+AT_ONCE = 4
+
+
+def together(spark: SparkSession, tasks: list[Callable[[], DataFrame]]) -> DataFrame:
+    """The rows of many small results, each of its own jobs, in the order of the tasks.
+
+    Every result is a summary of a few rows; these reach the driver, their inputs do not.
+    """
+    ensure_folder(spark)
+
+    def run(task: Callable[[], DataFrame]):
+        df = task()
+        return df.schema, df.collect()
+
+    with ThreadPoolExecutor(AT_ONCE) as pool:
+        done = list(pool.map(inheritable_thread_target(spark)(run), tasks))
+    return spark.createDataFrame([r for _, rows in done for r in rows], done[0][0])
+
+
+def ensure_folder(spark: SparkSession) -> None:
+    """Set the checkpoint folder once."""
     if not spark.sparkContext._jsc.sc().getCheckpointDir().isDefined():
         folder = spark.conf.get("spark.checkpoint.dir", None)
         if not folder and not spark.sparkContext.master.startswith("local"):
             raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         spark.sparkContext.setCheckpointDir(folder or tempfile.mkdtemp(prefix="bitsort-"))
+
+
+def checkpointed(df: DataFrame) -> DataFrame:
+    """checkpoint() into spark.checkpoint.dir; a folder of its own only where that is unset and Spark is local."""
+    ensure_folder(df.sparkSession)
     return df.checkpoint(eager=True)
 
 

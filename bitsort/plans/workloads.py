@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from bitsort.operators import aggregate, build, codecs, codes, dictionary, measure, query, relational, roworder, theory
 from bitsort.plans import oracles as O
-from bitsort.plans.recovery import checkpointed, shared_folder
+from bitsort.plans.recovery import checkpointed, shared_folder, together
 from bitsort.sources import tables as S
 from bitsort.streaming import events as stream_events
 
@@ -195,8 +195,8 @@ def _allocations(name: str):
         for k in (1, 2, 3, 4):
             for allocation, how in (("numeric", "shuffle"), ("random", "lex"), ("numeric", "lex"), ("reflected", "lex"), ("reflected_alternating", "lex"), ("freq_reflected", "freq_lex")):
                 label = "unsorted" if how == "shuffle" else allocation
-                out.append(tagged(measure.total_sizes(build.build_index(df, cols, k, allocation, how, 32)).select("compressed"), fixture=name, k=k, method=label))
-        return measure.size_ratio(checkpointed(union(out)), "unsorted", ["fixture", "k"])
+                out.append(lambda k=k, allocation=allocation, how=how, label=label: tagged(measure.total_sizes(build.build_index(df, cols, k, allocation, how, 32)).select("compressed"), fixture=name, k=k, method=label))
+        return measure.size_ratio(together(spark, out), "unsorted", ["fixture", "k"])
 
     return run
 
@@ -209,7 +209,7 @@ for _f in ("line4", "event4", "rating4"):
 def rarest_first_order(spark, sf_dir):
     df, _ = S.fixture(spark, sf_dir, "event4")
     df, cols = checkpointed(df), SORTED_BY["event4"]
-    return union([tagged(measure.total_sizes(build.build_index(df, cols, k, "reflected", "rarest_first", 32, ties=t)).select("compressed"), k=k, ties=t) for k in (1, 2, 3, 4) for t in ("freq_vector", "pairwise")])
+    return together(spark, [lambda k=k, t=t: tagged(measure.total_sizes(build.build_index(df, cols, k, "reflected", "rarest_first", 32, ties=t)).select("compressed"), k=k, ties=t) for k in (1, 2, 3, 4) for t in ("freq_vector", "pairwise")])
 
 
 def _column_orders(name: str, k: int):
@@ -218,11 +218,12 @@ def _column_orders(name: str, k: int):
         df = checkpointed(df)
         cards = dictionary.cardinalities(df, cols)
         picked = theory.column_order(cards, "density", k)
-        out = []
-        for p in permutations(range(len(cols))):
-            sizes = measure.total_sizes(build.build_index(df, [cols[i] for i in p], k, "reflected", "lex", 32)).select("compressed")
-            out.append(tagged(sizes, columns="".join(str(i + 1) for i in p), k=k, picked=list(p) == picked))
-        return union(out)
+
+        def sizes(p: tuple[int, ...]) -> DataFrame:
+            index = build.build_index(df, [cols[i] for i in p], k, "reflected", "lex", 32)
+            return tagged(measure.total_sizes(index).select("compressed"), columns="".join(str(i + 1) for i in p), k=k, picked=list(p) == picked)
+
+        return together(spark, [lambda p=p: sizes(p) for p in permutations(range(len(cols)))])
 
     return run
 
@@ -256,15 +257,21 @@ def _bitmap_permutations(name: str, ks: tuple[int, ...]):
         df, cols = S.fixture(spark, sf_dir, name)
         df, out = checkpointed(df), []
         n, cards = df.count(), dictionary.cardinalities(df, cols)
-        for k in ks:
+
+        def by_columns(k: int) -> DataFrame:
             picked = [cols[i] for i in theory.column_order(cards, "density", k)]
-            out.append(tagged(measure.total_sizes(build.build_index(df, picked, k, "reflected", "lex", 32)).select("compressed"), fixture=name, k=k, method="column_order"))
+            return tagged(measure.total_sizes(build.build_index(df, picked, k, "reflected", "lex", 32)).select("compressed"), fixture=name, k=k, method="column_order")
+
+        def by_bitmaps(k: int, how: str, plain: build.Index) -> DataFrame:
+            order = roworder.bitmap_positions(plain.dictionary, plain.words, n, how)
+            sized = build.build_index(df, cols, k, "reflected", "reflected", 32, bitmap_order=order)
+            return tagged(measure.total_sizes(sized).select("compressed"), fixture=name, k=k, method=how)
+
+        for k in ks:
             plain = build.build_index(df, cols, k, "reflected", "shuffle", 32)
-            for how in ("IF", "MSF", "SF", "interleaved", "natural"):
-                order = roworder.bitmap_positions(plain.dictionary, plain.words, n, how)
-                sized = build.build_index(df, cols, k, "reflected", "reflected", 32, bitmap_order=order)
-                out.append(tagged(measure.total_sizes(sized).select("compressed"), fixture=name, k=k, method=how))
-        return measure.size_ratio(checkpointed(union(out)), "column_order", ["fixture", "k"])
+            out.append(lambda k=k: by_columns(k))
+            out += [lambda k=k, how=how, plain=plain: by_bitmaps(k, how, plain) for how in ("IF", "MSF", "SF", "interleaved", "natural")]
+        return measure.size_ratio(together(spark, out), "column_order", ["fixture", "k"])
 
     return run
 
@@ -286,21 +293,21 @@ def component_allocations(spark, sf_dir):
             digits += [f"{c}_d{i}" for i in reversed(range(len(radices)))]
         own = checkpointed(own.select(*cols, *digits))
         for allocation in ("numeric", "reflected_alternating", "reflected"):
-            out.append(tagged(measure.total_sizes(build.build_index(own, digits, 1, allocation, "lex", 32)).select("bitmaps", "compressed"), kappa=kappa, encoding="components", allocation=allocation))
-        out.append(tagged(measure.total_sizes(build.build_index(own, cols, kappa, "reflected", "lex", 32)).select("bitmaps", "compressed"), kappa=kappa, encoding="k_of_n", allocation="reflected"))
-    return union(out)
+            out.append(lambda own=own, digits=digits, allocation=allocation, kappa=kappa: tagged(measure.total_sizes(build.build_index(own, digits, 1, allocation, "lex", 32)).select("bitmaps", "compressed"), kappa=kappa, encoding="components", allocation=allocation))
+        out.append(lambda own=own, kappa=kappa: tagged(measure.total_sizes(build.build_index(own, cols, kappa, "reflected", "lex", 32)).select("bitmaps", "compressed"), kappa=kappa, encoding="k_of_n", allocation="reflected"))
+    return together(spark, out)
 
 
 @query_of("measured_savings")
 def measured_savings(spark, sf_dir):
     """Storage cost saved by sorting a single column, beside the model's figure."""
-    out = []
-    for c in (2, 100, 1245, 5000, 20000):
-        df = checkpointed(S.uniform(spark, [c]))
-        for k in (1, 2):
-            cost = [measure.total_sizes(build.build_index(df, ["c1"], k, "reflected", how, 32, **options)).select(F.col("storage_cost").alias(how)) for how, options in (("natural", {"natural": ["place"]}), ("lex", {}))]
-            out.append(cost[0].join(cost[1]).select(F.lit(c).alias("card"), F.lit(k).alias("k"), (F.col("natural") - F.col("lex")).alias("saving"), F.lit(round(theory.saving_model(100_000, c, codes.cap_k(c, k)), 3)).alias("model")))
-    return union(out)
+
+    def saved(df: DataFrame, c: int, k: int) -> DataFrame:
+        cost = [measure.total_sizes(build.build_index(df, ["c1"], k, "reflected", how, 32, **options)).select(F.col("storage_cost").alias(how)) for how, options in (("natural", {"natural": ["place"]}), ("lex", {}))]
+        return cost[0].join(cost[1]).select(F.lit(c).alias("card"), F.lit(k).alias("k"), (F.col("natural") - F.col("lex")).alias("saving"), F.lit(round(theory.saving_model(100_000, c, codes.cap_k(c, k)), 3)).alias("model"))
+
+    columns = {c: checkpointed(S.uniform(spark, [c])) for c in (2, 100, 1245, 5000, 20000)}
+    return together(spark, [lambda df=df, c=c, k=k: saved(df, c, k) for c, df in columns.items() for k in (1, 2)])
 
 
 # --- synthetic studies ---------------------------------------------------------------------------
@@ -308,7 +315,7 @@ def _synthetic_orders(make: Callable[[SparkSession], DataFrame], k: int):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         """All 24 column orders."""
         df = checkpointed(make(spark))
-        return union([tagged(measure.total_sizes(build.build_index(df, [f"c{i}" for i in p], k, "reflected", "lex", 32)).select("compressed"), columns="".join(map(str, p)), k=k) for p in permutations((1, 2, 3, 4))])
+        return together(spark, [lambda p=p: tagged(measure.total_sizes(build.build_index(df, [f"c{i}" for i in p], k, "reflected", "lex", 32)).select("compressed"), columns="".join(map(str, p)), k=k) for p in permutations((1, 2, 3, 4))])
 
     return run
 
@@ -325,8 +332,8 @@ def _zipf_dimensions(k: int):
             df = checkpointed(S.zipf(spark, [1.0] * d))
             cols = [f"c{i + 1}" for i in range(d)]
             for method, allocation, how, options in (("shuffled", "numeric", "natural", {"natural": ["place"]}), ("numeric", "numeric", "lex", {}), ("reflected", "reflected", "lex", {})):
-                out.append(tagged(measure.total_sizes(build.build_index(df, cols, k, allocation, how, 32, **options)).select("compressed"), d=d, k=k, method=method))
-        return measure.size_ratio(checkpointed(union(out)), "shuffled", ["d", "k"])
+                out.append(lambda df=df, cols=cols, allocation=allocation, how=how, options=options, d=d, method=method: tagged(measure.total_sizes(build.build_index(df, cols, k, allocation, how, 32, **options)).select("compressed"), d=d, k=k, method=method))
+        return measure.size_ratio(together(spark, out), "shuffled", ["d", "k"])
 
     return run
 
@@ -341,7 +348,7 @@ def _growth(how: str):
         df, cols = S.fixture(spark, sf_dir, "gram4")
         numbered = roworder.order_rows(df, "shuffle", cols)
         n = numbered.count()
-        return union([tagged(measure.total_sizes(build.build_index(numbered.filter(F.col("row_id") < n * f // 100).select(*cols), cols, 1, "numeric", how, 32)).select("compressed"), percent=f, row_order=how) for f in range(10, 101, 10)])
+        return together(spark, [lambda f=f: tagged(measure.total_sizes(build.build_index(numbered.filter(F.col("row_id") < n * f // 100).select(*cols), cols, 1, "numeric", how, 32)).select("compressed"), percent=f, row_order=how) for f in range(10, 101, 10)])
 
     return run
 
@@ -443,7 +450,7 @@ def data_examined_line4(spark, sf_dir):
 def data_examined_by_k(spark, sf_dir):
     df, _ = S.fixture(spark, sf_dir, "line4")
     df = checkpointed(df)
-    return union([tagged(measure.data_examined(build.build_index(df, SORTED_BY["line4"], k, "reflected", how, 32)), k=k, row_order=how) for k in (1, 2, 3) for how in ("lex", "shuffle")])
+    return together(spark, [lambda k=k, how=how: tagged(measure.data_examined(build.build_index(df, SORTED_BY["line4"], k, "reflected", how, 32)), k=k, row_order=how) for k in (1, 2, 3) for how in ("lex", "shuffle")])
 
 
 @query_of("sorted_bounds", f"WITH {O.per_bitmap_ctes(_ORD4, SORTED_BY['line4'])}, s AS (SELECT attr, sum(dirty)::BIGINT AS dirty FROM per_bitmap GROUP BY attr) SELECT attr::INT AS attr, dirty, dirty <= 2 * CASE attr WHEN 0 THEN n0 WHEN 1 THEN n0 * n1 WHEN 2 THEN n0 * n1 * n2 ELSE n0 * n1 * n2 * n3 END AS holds FROM s, (SELECT count(DISTINCT part)::HUGEINT AS n0, count(DISTINCT ship)::HUGEINT AS n1, count(DISTINCT disc)::HUGEINT AS n2, count(DISTINCT ln)::HUGEINT AS n3 FROM ord)")
@@ -629,16 +636,20 @@ def combine_work(spark, sf_dir):
     index = _line4_index(spark, sf_dir)
     index.words = checkpointed(index.words)
     out = []
+
+    def worked(words: DataFrame, sizes: DataFrame, op: str, s: str, n: int) -> DataFrame:
+        done = aggregate.combine(words, index.blocks, op, s, 32)
+        work = done.agg(F.coalesce(F.sum(F.bit_count("bits")), F.lit(0)).cast("long").alias("rows"), F.count(F.lit(1)).alias("answer_words"), *[F.coalesce(F.max(c), F.lit(0).cast("long")).alias(c) for c in aggregate.COUNTERS])
+        return tagged(work.join(sizes), bitmaps=n, op=op, strategy=s, chosen=s == aggregate.choose_strategy(op, [1] * n, 1, n / 2500))
+
     for n in (2, 10, 50, 100):
         words = checkpointed(index.words.filter((F.col("attr") == 1) & F.col("bitmap").between(100, 99 + n)))
         sizes = measure.bitmap_sizes(words, index.blocks, measure.MARKER[32]).agg(F.sum("compressed").alias("input_words"))
+        sizes = checkpointed(sizes)
         for op in ("or", "and", "xor"):
             for s in aggregate.STRATEGIES:
-                done = aggregate.combine(words, index.blocks, op, s, 32)
-                work = done.agg(F.coalesce(F.sum(F.bit_count("bits")), F.lit(0)).cast("long").alias("rows"), F.count(F.lit(1)).alias("answer_words"), *[F.coalesce(F.max(c), F.lit(0).cast("long")).alias(c) for c in aggregate.COUNTERS])
-                chosen = aggregate.choose_strategy(op, [1] * n, 1, n / 2500)
-                out.append(tagged(work.join(sizes), bitmaps=n, op=op, strategy=s, chosen=s == chosen))
-    return union(out)
+                out.append(lambda words=words, sizes=sizes, op=op, s=s, n=n: worked(words, sizes, op, s, n))
+    return together(spark, out)
 
 
 # --- samples of queries on written indexes -------------------------------------------------------------
