@@ -104,7 +104,8 @@ def counted_rows(df: DataFrame, _frame: DataFrame, keys: list[Column], row_id: s
     table = df.sparkSession.createDataFrame(pa.table({"_p": pa.array(list(offsets), pa.int32()), "_before": pa.array(list(offsets.values()), pa.int64())}))
     out = own.withColumn("_p", pid).withColumn("_at", F.monotonically_increasing_id().bitwiseAND((1 << 33) - 1))
     out = out.join(F.broadcast(table), "_p").withColumn(row_id, F.col("_before") + F.col("_at")).drop("_p", "_at", "_before", "_b")
-    return out.withColumn("block", (F.floor(F.col(row_id) / block_rows) if block_rows else F.lit(0)).cast("long")), total
+    # computed for a single block too: a constant would turn joins by block into nested loops
+    return out.withColumn("block", F.floor(F.col(row_id) / (block_rows or max(total, 1))).cast("long")), total
 
 
 def order_rows(df: DataFrame, how: str, cols: list[str], block_rows: int | None = None, **options) -> DataFrame:
