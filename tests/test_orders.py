@@ -203,3 +203,44 @@ def test_code_hamming_cost(spark):
             ordered = [tuple(r) for r in index.rows.orderBy("row_id").select("a", "b").collect()]
             want = {a: sum(len(code[(a, x[a])] ^ code[(a, y[a])]) for x, y in zip(ordered, ordered[1:], strict=False)) for a in (0, 1)}
             assert {r["attr"]: r["changes"] for r in measure.code_hamming_cost(index).collect()} == want
+
+
+def test_spans_leave_sizes_alone_and_deal_once(spark, sf, monkeypatch):
+    """Words dealt by spans: the same sizes and answers, and no shuffle of words."""
+    df, _ = S.fixture(spark, sf, "line3")
+    cols = ["disc", "ln", "part"]
+    for how, k in (("lex", 1), ("shuffle", 2)):
+        whole = build.build_index(df, cols, k, "reflected", how)
+        sizes, p = sorted(tuple(r) for r in measure.attribute_sizes(whole).collect()), query.between("part", 10, 60) & query.between("disc", 0, 4)
+        with monkeypatch.context() as m:
+            m.setattr(build, "SPAN_WORDS", 2)
+            m.setattr(build, "SPANS_A_PARTITION", 20)
+            cut = build.build_index(df, cols, k, "reflected", how)
+        assert "span" in cut.words.columns and cut.words.select("span").distinct().count() > 60
+        assert sorted(tuple(r) for r in measure.attribute_sizes(cut).collect()) == sizes
+        assert query.count(cut, p).first()[0] == query.count(whole, p).first()[0] == df.filter("part between 10 and 60 and disc between 0 and 4").count()
+        plan = cut.words._jdf.queryExecution().executedPlan().toString()
+        assert plan.count("Exchange hashpartitioning") == 1 and "hashpartitioning(span" in plan
+
+
+def test_whole_codes_grow_with_rows_only(spark):
+    """A value's bitmaps serve many others; the answer's pieces are as many as the rows."""
+    df = spark.range(2000).select((F.col("id") * 7 % 400).alias("a"))
+    for k in (2, 3, 4):
+        index = build.build_index(df, ["a"], k)
+        pieces = query.coded_bits(index.words, k, index.w)
+        assert pieces.count() == 2000 and pieces.agg(F.sum(F.bit_count("bits"))).first()[0] == 2000
+        assert query.count(index, query.between("a", 50, 349)).first()[0] == 1500
+
+
+def test_studies_leave_no_tables(spark, sf, tmp_path, monkeypatch):
+    """What a task of a study stores goes with it; shuffle files go with the action."""
+    from bitsort.plans import recovery
+
+    monkeypatch.setattr(recovery, "shared_folder", lambda spark: f"{tmp_path}/{recovery.uuid.uuid4().hex}")
+    df, _ = S.fixture(spark, sf, "line3")
+    before = spark.conf.get(recovery.CLEANUP, "false")
+    out = recovery.together(spark, [lambda k=k: measure.total_sizes(build.build_index(df, ["disc", "ln"], k)).select("compressed") for k in (1, 2)])
+    assert out.count() == 2 and not any(tmp_path.iterdir()) and spark.conf.get(recovery.CLEANUP, "false") == before
+    build.build_index(df, ["disc"])
+    assert any(tmp_path.iterdir())
