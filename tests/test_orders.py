@@ -244,3 +244,14 @@ def test_studies_leave_no_tables(spark, sf, tmp_path, monkeypatch):
     assert out.count() == 2 and not any(tmp_path.iterdir()) and spark.conf.get(recovery.CLEANUP, "false") == before
     build.build_index(df, ["disc"])
     assert any(tmp_path.iterdir())
+
+
+@pytest.mark.parametrize("name", ["best_cardinalities", "bitmap_counts", "code_dirty_probability", "code_long_run_probability", "code_neighbour_distances", "code_run_lengths", "component_counts", "measured_savings", "minimal_bitmaps", "query_cost_model", "saving_curve", "synthetic_skewed_orders_k1"])
+def test_closed_forms_read_given_tables(spark, tmp_path, name):
+    """Without tables there is nothing to answer from."""
+    from pyspark.errors import AnalysisException
+
+    from bitsort.plans import workloads
+
+    with pytest.raises(AnalysisException):
+        workloads.queries()[name](spark, str(tmp_path))
