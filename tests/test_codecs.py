@@ -78,3 +78,25 @@ def test_skipping_and_choice():
     sparse[7] = 1
     assert K.words_touched_and(dense, sparse, 32_000, 32, True) < 5 < K.words_touched_and(dense, sparse, 32_000, 32, False)
     assert A.choose_strategy("or", [1] * 50, 10**6, 0.001) == "in_place" and A.choose_strategy("xor", [1, 2], 10, 0.5) == "pairwise"
+
+
+def test_sparse_encoding_equals_dense():
+    """Streams from non-zero words alone, many bitmaps at once, are those of the dense encoders; long bitmaps cost nothing."""
+    rng = np.random.default_rng(3)
+    for codec, encode in ((MARKER[16], K.encode_marker), (marker_codec(16, 12), K.encode_marker), (marker_codec(16, None, True), K.encode_marker), (MARKER[32], K.encode_marker), (MARKER[64], K.encode_marker), (HYBRID31, K.encode_hybrid)):
+        w, parts, want = codec.w, [], []
+        for g in range(60):
+            rows = int(rng.integers(1, 9000))
+            total = -(-rows // w)
+            full = K.full_words(total, w, rows)
+            kinds = np.repeat(rng.integers(0, 3, total), rng.integers(1, 400, total))[:total]
+            bits = np.where(kinds == 0, 0, np.where(kinds == 1, full, np.minimum(rng.integers(1, 1000, total).astype(np.uint64), full))).astype(np.uint64)
+            bits[rng.integers(0, total)] = 1
+            at = np.flatnonzero(bits)
+            parts.append((np.full(len(at), g), at, bits[at], np.full(len(at), total), np.full(len(at), rows - (total - 1) * w)))
+            want.append(encode(bits, rows, codec))
+        stream, lengths = K.encode_sparse(*(np.concatenate(x) for x in zip(*parts, strict=True)), codec)
+        assert np.array_equal(stream, np.concatenate(want)) and lengths.tolist() == [len(x) for x in want]
+    one = np.ones(1, dtype=np.int64)
+    stream, lengths = K.encode_sparse(one * 0, one * 5, one.astype(np.uint64), one * (1 << 40), one * 64, MARKER[64])
+    assert len(stream) == lengths[0] == 258 and stream[1] == 1
