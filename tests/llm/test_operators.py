@@ -2,11 +2,13 @@
 
 import hashlib
 import re
+import unicodedata
 import zlib
 from collections import Counter, defaultdict
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from bitsort.llm import decontamination, html_text, jaccard_join, license_scan, packing, quality, secrets, sharding, substring_dedup, suffix_dedup
 from bitsort.llm.components import components
@@ -316,6 +318,19 @@ def test_quality(docs, rows):
     assert not any(r["kept"] and r["base_failed"] for r in out.collect())
 
 
+def test_quality_counts_in_few_passes(docs, rows):
+    """Characters and common words against plain counts; one pattern over the whole text, no comparison of every word with every known one."""
+    got = quality.measured(docs)
+    letters = lambda t: sum(unicodedata.category(c)[0] == "L" for c in t)
+    want = Counter((doc, letters(t), len(t) - len(re.sub(r"[\x20\x09-\x0D]", "", t)), len(re.findall("[0-9]", t)), len(re.findall(r"[.,;:!?'\"()\-]", t))) for doc, t in rows)
+    assert by_row(got, "doc_id", "n_letters", "n_spaces", "n_digits", "n_punctuation") == want
+    plan = got._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("regexp_replace(_t#") == 1 and plan.count("filter(_common#") == 0
+    words = quality.KNOWN + ["the"] * 3
+    row = docs.sparkSession.createDataFrame([(words,)], "w array<string>").select(quality.coded_words(F.col("w")).alias("s")).select(quality.counts_of("s").alias("n")).first()
+    assert row["n"] == [4 if w == "the" else 1 for w in quality.KNOWN]
+
+
 def test_quality_labels(spark, sf):
     base = sf.replace("0.001", "0.01")
     kept = {r["doc_id"] for r in quality.kept_documents(spark.read.parquet(f"{base}/documents.parquet")).collect()}
