@@ -255,3 +255,25 @@ def test_closed_forms_read_given_tables(spark, tmp_path, name):
 
     with pytest.raises(AnalysisException):
         workloads.queries()[name](spark, str(tmp_path))
+
+
+def test_batches_are_answered_where_words_lie(spark, monkeypatch):
+    """Many queries, some that leave columns free, on codes of one and several bitmaps and on row-id lists; words dealt by spans are not shuffled again."""
+    rows = [(i * 7 % 90, i * i % 11) for i in range(3000)]
+    df, asked = S.literal(spark, rows, ["a", "b"]), {}
+    for q in range(70):
+        asked[q] = [(0, q, q + 9)] + ([(1, q % 5, q % 5 + 3)] if q % 3 else [])
+    asked |= {70: [(0, 5000, 6000)], 71: [(1, 2, 2)]}
+    queries = S.literal(spark, [(q, a, lo, hi) for q, parts in asked.items() for a, lo, hi in parts], ["qid", "attr", "lo", "hi"]).withColumn("attr", F.col("attr").cast("int"))
+    want = {q: sum(all(lo <= r[a] <= hi for a, lo, hi in parts) for r in rows) for q, parts in asked.items()}
+    monkeypatch.setattr(build, "SPAN_WORDS", 8)
+    monkeypatch.setattr(build, "SPANS_A_PARTITION", 2)
+    base = build.build_index(df, ["a", "b"], 1)
+    for k, w in ((1, 32), (1, 64), (2, 32), (3, 64)):
+        index = build.recoded(base, k, w)
+        assert "span" in index.words.columns
+        out = query.batch_counts(index, queries)
+        assert {r["qid"]: r["rows"] for r in out.collect()} == want, (k, w)
+        plan = out._jdf.queryExecution().executedPlan().toString()
+        assert not any("Exchange" in x and "word_no" in x for x in plan.splitlines()), (k, w)
+    assert {r["qid"]: r["rows"] for r in query.batch_postings(query.postings(base.rows, base.cols), queries).collect()} == want
