@@ -277,3 +277,31 @@ def test_batches_are_answered_where_words_lie(spark, monkeypatch):
         plan = out._jdf.queryExecution().executedPlan().toString()
         assert not any("Exchange" in x and "word_no" in x for x in plan.splitlines()), (k, w)
     assert {r["qid"]: r["rows"] for r in query.batch_postings(query.postings(base.rows, base.cols), queries).collect()} == want
+
+
+@pytest.mark.parametrize("k", [1, 3])
+def test_orders_of_one_table_are_sorted_once(spark, monkeypatch, k):
+    """Several orders, by value and by reflected codes, as blocks of one index: one sort of rows, the sizes of an index each."""
+    cols = ["a", "b", "c"]
+    df = S.literal(spark, [(None if i % 37 == 0 else i * 7 % 190, i * i % 11, i % 5) for i in range(3001)], cols)
+    plain = build.build_index(df, cols, k, "reflected", "shuffle")
+    by_value, want = [["a", "b", "c"], ["c", "a", "b"]], []
+    for order in by_value:
+        want.append(build.build_index(df, order, k, "reflected", "lex"))
+    for how in ("IF", "SF"):
+        placed = roworder.bitmap_positions(plain.dictionary, plain.words, 3001, how)
+        want.append(build.build_index(df, cols, k, "reflected", "reflected", bitmap_order=placed))
+    want = {i: measure.total_sizes(x).first()["compressed"] for i, x in enumerate(want)}
+    ranked, sorts, own = D.ranked_rows(df, cols), [], roworder.counted_rows
+    monkeypatch.setattr(build, "SPAN_WORDS", 16)
+    monkeypatch.setattr(roworder, "counted_rows", lambda *args, **options: sorts.append(args) or own(*args, **options))
+    known = D.ranked_dictionary(ranked, k)
+    orders = by_value + [roworder.bitmap_positions(known, None, 3001, how) for how in ("IF", "SF")]
+    index = build.build_orders(ranked, orders, known, k)
+    assert len(sorts) == 1 and "span" in index.words.columns
+    assert {r["block"]: r["compressed"] for r in measure.block_totals(index).collect()} == want
+
+
+def test_packed_numbers_sort_as_they_do():
+    bits = [20, 12, 40, 3]
+    assert roworder.layout(bits) == [(0, 12), (0, 0), (1, 3), (1, 0)] and build.even_names(7, 3) == build.even_names(6, 3) + build.even_names(7, 3)[6:]
