@@ -305,3 +305,15 @@ def test_orders_of_one_table_are_sorted_once(spark, monkeypatch, k):
 def test_packed_numbers_sort_as_they_do():
     bits = [20, 12, 40, 3]
     assert roworder.layout(bits) == [(0, 12), (0, 0), (1, 3), (1, 0)] and build.even_names(7, 3) == build.even_names(6, 3) + build.even_names(7, 3)[6:]
+
+
+@pytest.mark.parametrize("order", ["value", "frequency"])
+def test_ranks_of_large_columns_follow_their_order(spark, monkeypatch, order):
+    """Beyond the values that one window takes ranks come from sorted files, which are read in an order of their sizes."""
+    monkeypatch.setattr(D, "BROADCAST_VALUES", 10)
+    rows = [(0, i if i < 3000 else i * i * 7919, 1 + i % 3) for i in range(4000)] + [(1, -i * i, 1) for i in range(500)] + [(1, None, 2)]
+    hist = spark.createDataFrame(rows, "attr int, value long, cnt long")
+    got = {(r["attr"], r["value"]): r["rank"] for r in D.ranked(hist, order).collect()}
+    for a in (0, 1):
+        own = sorted((r for r in rows if r[0] == a), key=lambda r: ((r[2] if order == "frequency" else 0), r[1] is not None, r[1] or 0))
+        assert [got[(a, r[1])] for r in own] == list(range(len(own)))
