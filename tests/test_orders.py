@@ -317,3 +317,12 @@ def test_ranks_of_large_columns_follow_their_order(spark, monkeypatch, order):
     for a in (0, 1):
         own = sorted((r for r in rows if r[0] == a), key=lambda r: ((r[2] if order == "frequency" else 0), r[1] is not None, r[1] or 0))
         assert [got[(a, r[1])] for r in own] == list(range(len(own)))
+
+
+def test_numbered_grams_leave_no_texts(spark, sf, tmp_path, monkeypatch):
+    """Of all that numbering the grams stores only the numbers stay."""
+    from bitsort.plans import recovery
+
+    monkeypatch.setattr(recovery, "shared_folder", lambda spark: f"{tmp_path}/{recovery.uuid.uuid4().hex}")
+    df, cols = S.fixture(spark, sf, "gram4")
+    assert len(list(tmp_path.iterdir())) == 1 and df.count() == S.word_grams(spark, sf).count()
