@@ -100,3 +100,22 @@ def test_sparse_encoding_equals_dense():
     one = np.ones(1, dtype=np.int64)
     stream, lengths = K.encode_sparse(one * 0, one * 5, one.astype(np.uint64), one * (1 << 40), one * 64, MARKER[64])
     assert len(stream) == lengths[0] == 258 and stream[1] == 1
+
+
+def test_streams_take_no_more_than_their_words():
+    """Long bitmaps of few words: memory follows the streams, and streams are made so many words at once."""
+    import tracemalloc
+
+    n, codec = 500, MARKER[16]
+    words = (np.arange(2 * n) // 2, np.tile([7, 900_000], n), np.full(2 * n, 5, dtype=np.uint64), np.full(2 * n, 1 << 20), np.full(2 * n, 16))
+    tracemalloc.start()
+    stream, lengths = K.encode_sparse(*words, codec)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    dense = np.zeros(1 << 20, dtype=np.uint64)
+    dense[[7, 900_000]] = 5
+    assert np.array_equal(stream[: lengths[0]], K.encode_marker(dense, 16 << 20, codec)) and peak < 3 * stream.nbytes
+    cuts = K.stream_cuts(np.arange(0, 2 * n, 2), 2 * n, np.full(n, 1 << 28), codec)
+    assert cuts[0] == 0 and cuts[-1] == n and (np.diff(cuts)[:-1] == K.STREAMED // ((1 << 28) // 255 + 10)).all()
+    alone = K.stream_cuts(np.arange(3), 3, np.full(3, 1 << 40), codec)
+    assert alone.tolist() == [0, 1, 2, 3]
