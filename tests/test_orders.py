@@ -326,3 +326,34 @@ def test_numbered_grams_leave_no_texts(spark, sf, tmp_path, monkeypatch):
     monkeypatch.setattr(recovery, "shared_folder", lambda spark: f"{tmp_path}/{recovery.uuid.uuid4().hex}")
     df, cols = S.fixture(spark, sf, "gram4")
     assert len(list(tmp_path.iterdir())) == 1 and df.count() == S.word_grams(spark, sf).count()
+
+
+def test_batches_give_row_ids(spark, monkeypatch):
+    """Row ids of many queries from bitmaps of codes of one and several bitmaps, from row-id lists and from the rows, against brute force."""
+    rows = [(i * 7 % 90, i * i % 11) for i in range(3000)]
+    df = S.literal(spark, rows, ["a", "b"])
+    asked = {q: [(0, q, q + 9)] + ([(1, q % 5, q % 5 + 3)] if q % 3 else []) for q in range(66)} | {66: [(0, 5000, 6000)], 67: [(0, 1, 2), (0, 80, 85), (1, 2, 2)]}
+    queries = S.literal(spark, [(q, a, lo, hi) for q, parts in asked.items() for a, lo, hi in parts], ["qid", "attr", "lo", "hi"]).withColumn("attr", F.col("attr").cast("int"))
+    monkeypatch.setattr(build, "SPAN_WORDS", 8)
+    base = build.build_index(df, ["a", "b"], 1)
+    placed = [(r["row_id"], (r["a"], r["b"])) for r in base.rows.collect()]
+    want = sorted((q, i) for q, parts in asked.items() for i, r in placed if all(any(lo <= r[a] <= hi for x, lo, hi in parts if x == a) for a in {a for a, _, _ in parts}))
+    ids = lambda out: sorted((r["qid"], r["row_id"]) for r in out.collect())
+    for k, w in ((1, 32), (1, 64), (2, 32), (3, 64)):
+        assert ids(query.batch_row_ids(build.recoded(base, k, w), queries)) == want, (k, w)
+    lists = query.postings(base.rows, base.cols)
+    assert ids(query.batch_postings_ids(lists, queries)) == want and ids(query.batch_scan(base.rows, base.cols, queries)) == want
+    entries = {r["qid"]: r["entries"] for r in query.batch_postings_load(lists, queries).collect()}
+    assert entries == {q: n for q, parts in asked.items() if (n := sum(lo <= r[a] <= hi for a, lo, hi in parts for _, r in placed))}
+
+
+def test_range_times_make_row_ids(spark, sf, monkeypatch):
+    """Whole answers are row ids by every method; lists are loaded alone too, a scan stands beside them, and all building counts the sort."""
+    from bitsort.plans import workloads
+
+    made, own = [], workloads._row_id_seconds
+    monkeypatch.setattr(workloads, "_row_id_seconds", lambda f: made.append(f().columns) or own(f))
+    out = workloads.queries()["range_times"](spark, sf).collect()
+    assert made == [["qid", "row_id"]] * 20  # a warm-up and the boxes for each of five methods and two orders
+    assert [(r["method"], r["w"], r["k"]) for r in out] == [("bitmaps", 32, 1), ("bitmaps", 64, 1), ("bitmaps", 32, 2), ("row_ids", 0, 1), ("scan", 0, 0)] * 2
+    assert all(r["load_s"] > 0 and r["total_s"] > 0 and r["build_s"] >= s["build_s"] for r, s in zip(out, [out[4]] * 5 + [out[9]] * 5, strict=True))
