@@ -357,3 +357,20 @@ def test_range_times_make_row_ids(spark, sf, monkeypatch):
     assert made == [["qid", "row_id"]] * 20  # a warm-up and the boxes for each of five methods and two orders
     assert [(r["method"], r["w"], r["k"]) for r in out] == [("bitmaps", 32, 1), ("bitmaps", 64, 1), ("bitmaps", 32, 2), ("row_ids", 0, 1), ("scan", 0, 0)] * 2
     assert all(r["load_s"] > 0 and r["total_s"] > 0 and r["build_s"] >= s["build_s"] for r, s in zip(out, [out[4]] * 5 + [out[9]] * 5, strict=True))
+
+
+def test_allocations_sort_once_an_order(spark, monkeypatch):
+    """Three sorts for 24 indexes; sizes are those of indexes that are built one by one."""
+    from bitsort.plans import workloads
+
+    cols = workloads.SORTED_BY["line4"]
+    df = S.literal(spark, [(i * i % 97, i * 7 % 31, i % 11, i % 3) for i in range(2000)], cols)
+    sorts, own, together = [], roworder.counted_rows, workloads.together
+    monkeypatch.setattr(S, "fixture", lambda *_: (df, cols))
+    monkeypatch.setattr(workloads, "together", lambda spark, tasks, n: together(spark, [tasks[i] for i in (0, 7, 9, 16, 17, 18, 23)], n))
+    with monkeypatch.context() as m:
+        m.setattr(roworder, "counted_rows", lambda *args, **options: sorts.append(args) or own(*args, **options))
+        got = {(r["k"], r["method"]): r["compressed"] for r in workloads.queries()["allocations_line4"](spark, "").collect()}
+    assert len(sorts) == 3
+    asked = {(1, "unsorted"): ("numeric", "shuffle"), (2, "random"): ("random", "lex"), (2, "reflected"): ("reflected", "lex"), (3, "reflected_alternating"): ("reflected_alternating", "lex"), (3, "freq_reflected"): ("freq_reflected", "freq_lex"), (4, "unsorted"): ("numeric", "shuffle"), (4, "freq_reflected"): ("freq_reflected", "freq_lex")}
+    assert got == {(k, m): measure.total_sizes(build.build_index(df, cols, k, a, how, 32)).first()["compressed"] for (k, m), (a, how) in asked.items()}
