@@ -374,3 +374,18 @@ def test_allocations_sort_once_an_order(spark, monkeypatch):
     assert len(sorts) == 3
     asked = {(1, "unsorted"): ("numeric", "shuffle"), (2, "random"): ("random", "lex"), (2, "reflected"): ("reflected", "lex"), (3, "reflected_alternating"): ("reflected_alternating", "lex"), (3, "freq_reflected"): ("freq_reflected", "freq_lex"), (4, "unsorted"): ("numeric", "shuffle"), (4, "freq_reflected"): ("freq_reflected", "freq_lex")}
     assert got == {(k, m): measure.total_sizes(build.build_index(df, cols, k, a, how, 32)).first()["compressed"] for (k, m), (a, how) in asked.items()}
+
+
+def test_equality_times_load_once(spark, monkeypatch):
+    """The words that queries load are those of the timed load; it runs once for each column, k and order."""
+    from bitsort.plans import workloads
+
+    cols = workloads.SORTED_BY["line4"]
+    df = S.literal(spark, [(i * i % 17, i * 7 % 31, i % 11, i % 3) for i in range(500)], cols)
+    loads, own = [], query.batch_load
+    monkeypatch.setattr(S, "fixture", lambda *_: (df, cols))
+    monkeypatch.setattr(query, "batch_load", lambda *args: loads.append(args) or own(*args))
+    out = workloads.queries()["equality_times"](spark, "").collect()
+    assert len(loads) == len(out) == 32 and {(r["col"], r["k"], r["row_order"]) for r in out} == {(c, k, how) for c in cols for k in (1, 2, 3, 4) for how in ("lex", "shuffle")}
+    index, asked = loads[0]
+    assert out[0]["words"] == round(own(index, asked).agg(F.avg("words")).first()[0], 3) and all(r["measured_words_ratio"] == 1 for r in out if r["k"] == 1)
